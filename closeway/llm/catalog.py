@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import small, table
-from . import decontam, langid, secrets, sharding, toxicity
+from . import decontam, langid, merge_replay, planes, secrets, sharding, toxicity
 from .common import fold
 
 
@@ -38,6 +38,22 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, model).select("doc_id", held_out.alias("held_out"), "score", "predicted")
 
 
+def op6_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    with open(public_tokenizers.path("byte_bpe_50k.json")) as f:
+        spec = f.read()
+    files = planes.write_files(table(spark, sf_dir, "documents"), spec, public_tokenizers.PATTERN)
+    return planes.read_files(files.df)
+
+
+def op8_merge_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    ranks = merge_replay.read_ranks(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))
+    return merge_replay.encode_and_decode(table(spark, sf_dir, "documents"), ranks, public_tokenizers.PATTERN)
+
+
 def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = secrets.scan_secrets(table(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_assign", "n_access", "n_hex", F.sha2("base_spans", 256).alias("base_sha256"), "spans")
@@ -48,7 +64,7 @@ def op10_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_language, op2_decontaminate, op4_toxicity, op9_secrets, op10_shards)}
+    return {f.__name__: f for f in (op1_language, op2_decontaminate, op4_toxicity, op6_planes, op8_merge_replay, op9_secrets, op10_shards)}
 
 
 def oracle_sql() -> dict[str, str]:
