@@ -40,7 +40,12 @@ class Stored:
         spark = df.sparkSession
         self.spark, self.path = spark, f"{shared_dir(spark)}/closeway-{name}-{uuid.uuid4().hex}"
         df.write.partitionBy(*partition_by).parquet(self.path)
-        self.df = spark.read.schema(df.schema).parquet(self.path)
+        self.schema = df.schema
+
+    @property
+    def df(self) -> DataFrame:
+        """The table, read anew each time so that it can be joined with itself."""
+        return self.spark.read.schema(self.schema).parquet(self.path)
 
     def drop(self) -> None:
         jvm = self.spark.sparkContext._jvm
