@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import small, table
-from . import decontam, langid, merge_replay, planes, secrets, sharding, toxicity
+from . import decontam, hmm, langid, merge_replay, planes, secrets, sharding, toxicity
 from .common import fold
 
 
@@ -38,6 +38,11 @@ def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, model).select("doc_id", held_out.alias("held_out"), "score", "predicted")
 
 
+def op5_hmm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", (fold("doc_id", 10) == 0).alias("held_out"), "text")
+    return hmm.Trained(docs).scores()
+
+
 def op6_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -64,7 +69,7 @@ def op10_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_language, op2_decontaminate, op4_toxicity, op6_planes, op8_merge_replay, op9_secrets, op10_shards)}
+    return {f.__name__: f for f in (op1_language, op2_decontaminate, op4_toxicity, op5_hmm, op6_planes, op8_merge_replay, op9_secrets, op10_shards)}
 
 
 def oracle_sql() -> dict[str, str]:
