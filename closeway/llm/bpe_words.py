@@ -1,14 +1,22 @@
-"""Splitting texts before byte-level merges, and a bounded cache of what each piece encodes to."""
+"""Cutting texts into segments that byte-level merges never cross, and a bounded memory of what each encodes to.
+
+The pattern of the byte-level vocabularies always starts a piece at a blank that stands before something other than
+white space. So a text without further white space after a blank is cut at its blanks, which is much cheaper than the
+pattern; a segment's pieces are only looked for when the segment is new. Other texts are cut by the pattern.
+"""
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
 from functools import lru_cache
 
 import regex
 
-#: Most pieces a worker remembers; when more are met the memory starts anew.
-REMEMBERED = 500_000
+#: Most segments a worker remembers; when more are met the memory starts anew.
+REMEMBERED = 800_000
+#: A blank before white space or the text's end: such a text is left to the pattern.
+LOOSE = re.compile(r" (?:\s|\Z)")
 
 
 @lru_cache(maxsize=4)
@@ -16,18 +24,41 @@ def splitter(pattern: str) -> Callable[[str], list[str]]:
     return regex.compile(pattern).findall
 
 
-class Memory(dict):
-    """piece -> encoded form. Lives as long as the worker process, shared by its tasks."""
+class Memory:
+    """Encoded forms of segments. Lives as long as the worker process, shared by its tasks."""
+
+    def __init__(self):
+        self.after_blank: dict = {}  # segments without the blank that they begin with
+        self.as_is: dict = {}
 
-    def learn(self, pieces: set[str], encode: Callable[[list[str]], list]) -> None:
-        """Encode those pieces that are new, all at once."""
-        new = pieces - self.keys()
-        if len(self) + len(new) > REMEMBERED:
-            self.clear()
-            new = pieces
+    def _learn(self, have: dict, keys: set[str], blank: str, encode: Callable[[list[str]], list]) -> None:
+        new = keys.difference(have)
         if new:
-            order = sorted(new)
-            self.update(zip(order, encode(order), strict=True))
+            if len(have) + len(new) > REMEMBERED:
+                have.clear()
+                new = keys
+            order = list(new)
+            have.update(zip(order, encode([blank + k for k in order]), strict=True))
+
+    def forms(self, texts: list[str], findall: Callable[[str], list[str]], encode: Callable[[list[str]], list]) -> list[list]:
+        """The forms of each text's segments, in order."""
+        cut = []
+        tails: set[str] = set()
+        heads: set[str] = set()
+        for text in texts:
+            if LOOSE.search(text):
+                head, tail = findall(text), []
+            else:
+                tail = text.split(" ")
+                head = tail[:1] if tail[0] else []
+                del tail[0]
+            cut.append((head, tail))
+            heads.update(head)
+            tails.update(tail)
+        self._learn(self.after_blank, tails, " ", encode)
+        self._learn(self.as_is, heads, "", encode)
+        a, b = self.as_is.__getitem__, self.after_blank.__getitem__
+        return [[*map(a, head), *map(b, tail)] for head, tail in cut]
 
 
 _MEMORIES: dict[str, Memory] = {}
@@ -35,3 +66,15 @@ _MEMORIES: dict[str, Memory] = {}
 
 def memory(name: str) -> Memory:
     return _MEMORIES.setdefault(name, Memory())
+
+
+def rounds(texts: list[str], most: int) -> list[list[str]]:
+    """Runs of texts of about so many characters in all."""
+    out, size = [[]], 0
+    for t in texts:
+        if size >= most:
+            out.append([])
+            size = 0
+        out[-1].append(t)
+        size += len(t)
+    return out if out[0] else []

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import small, table
-from . import decontam, hmm, langid, merge_replay, planes, secrets, sharding, toxicity
+from . import decontam, hmm, langid, merge_replay, planes, secrets, setsketch, sharding, toxicity
 from .common import fold
 
 
@@ -52,6 +52,10 @@ def op6_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return planes.read_files(files.df)
 
 
+def op7_setsketch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return setsketch.NearDuplicates(table(spark, sf_dir, "documents")).result()
+
+
 def op8_merge_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -69,7 +73,7 @@ def op10_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_language, op2_decontaminate, op4_toxicity, op5_hmm, op6_planes, op8_merge_replay, op9_secrets, op10_shards)}
+    return {f.__name__: f for f in (op1_language, op2_decontaminate, op4_toxicity, op5_hmm, op6_planes, op7_setsketch, op8_merge_replay, op9_secrets, op10_shards)}
 
 
 def oracle_sql() -> dict[str, str]:

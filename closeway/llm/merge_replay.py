@@ -23,12 +23,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bpe_words import memory, splitter
+from .bpe_words import memory, rounds, splitter
 from .common import only
 
 NONE = np.int64(1 << 40)
-#: Bytes of text whose new words are encoded together.
-ROUND_BYTES = 8 << 20
+#: Characters of text whose new segments are encoded together.
+ROUND_CHARS = 8 << 20
 
 
 def parse_ranks(lines: list[str]) -> dict[bytes, int]:
@@ -172,30 +172,26 @@ def read_ranks(path: str) -> list[str]:
 
 
 class Encoder:
-    """Encodes texts; remembers for each piece its ids as text, its bytes decoded from the ids, and their number."""
+    """Encodes texts; remembers for each segment its ids as text, its bytes decoded from the ids, and their number."""
 
     def __init__(self, ranks: list[str], pattern: str):
         key, self.merges = _ready(ranks)
         self.split, self.memory = splitter(pattern), memory(f"replay-{key}")
 
-    def _encode(self, pieces: list[str]) -> list[tuple]:
+    def _encode(self, segments: list[str]) -> list[tuple]:
+        split = [self.split(x) for x in segments]
+        pieces = sorted(set().union(*split))
+        known = dict(zip(pieces, self.merges.replay([p.encode("utf-8", "surrogatepass") for p in pieces]), strict=True))
         out = []
-        for ids in self.merges.replay([p.encode("utf-8", "surrogatepass") for p in pieces]):
-            out.append((b",".join(b"%d" % i for i in ids.tolist()), self.merges.decode(ids), len(ids)))
+        for x in split:
+            ids = [i for p in x for i in known[p].tolist()]
+            out.append((b",".join([b"%d" % i for i in ids]), self.merges.decode(ids), len(ids)))
         return out
 
-    def rounds(self, texts: list[str]) -> Iterator[list[list[tuple]]]:
-        """The remembered forms of each text's pieces, for a run of texts at a time."""
-        at = 0
-        while at < len(texts):
-            size, split = 0, []
-            while at < len(texts) and (size < ROUND_BYTES or not split):
-                split.append(self.split(texts[at]))
-                size += len(texts[at])
-                at += 1
-            self.memory.learn(set().union(*split), self._encode)
-            get = self.memory.__getitem__
-            yield [list(map(get, pieces)) for pieces in split]
+    def encode(self, texts: list[str]) -> Iterator[list[tuple]]:
+        """The remembered forms of each text's segments."""
+        for part in rounds(texts, ROUND_CHARS):
+            yield from self.memory.forms(part, self.split, self._encode)
 
 
 def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
@@ -212,14 +208,13 @@ def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: s
         for batch in batches:
             encoder = encoder or Encoder(sent.value, pattern)
             n, a, b, every = [], [], [], []
-            for forms in encoder.rounds([x or "" for x in batch.column(1).to_pylist()]):
-                for pieces in forms:
-                    ids = b",".join([x[0] for x in pieces])
-                    n.append(sum([x[2] for x in pieces]))
-                    a.append(hashlib.sha256(ids).hexdigest())
-                    b.append(hashlib.sha256(b"".join([x[1] for x in pieces])).hexdigest())
-                    if with_ids:
-                        every.append(np.array(ids.split(b","), np.int32) if ids else np.empty(0, np.int32))
+            for forms in encoder.encode([x or "" for x in batch.column(1).to_pylist()]):
+                ids = b",".join([x[0] for x in forms])
+                n.append(sum([x[2] for x in forms]))
+                a.append(hashlib.sha256(ids).hexdigest())
+                b.append(hashlib.sha256(b"".join([x[1] for x in forms])).hexdigest())
+                if with_ids:
+                    every.append(np.array(ids.split(b","), np.int32) if ids else np.empty(0, np.int32))
             cols = [batch.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
             yield pa.RecordBatch.from_arrays(cols + [pa.array(every, pa.list_(pa.int32()))] * with_ids, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids)
 

@@ -20,6 +20,7 @@ from __future__ import annotations
 import os
 import struct
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import Stored
-from .bpe_words import memory, splitter
+from .bpe_words import memory, rounds, splitter
 from .common import only
 
 MAGIC = b"CWPLN1"
@@ -40,6 +41,8 @@ BLOCK_IDS = 1 << 16
 #: A file ends with the document that brings it to so many ids.
 FILE_IDS = 1 << 20
 LEVEL = 3
+#: Characters of text whose new segments are encoded together.
+ROUND_CHARS = 4 << 20
 
 
 def to_planes(block: np.ndarray, mode: int) -> np.ndarray:
@@ -108,8 +111,8 @@ class PlaneFile:
         return np.concatenate([self.block(k) for k in range(n)]) if n else np.empty(0, "<u4")
 
 
-class PieceTokenizer:
-    """Encodes texts by the tokenizers library, each distinct piece once; the pieces are what its pre-tokenizer parts."""
+class SegmentTokenizer:
+    """Encodes texts by the tokenizers library, each distinct segment once."""
 
     def __init__(self, spec: str, pattern: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -119,21 +122,15 @@ class PieceTokenizer:
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
         self.split, self.memory = splitter(pattern), memory(f"library-{zlib.crc32(spec.encode())}")
 
-    def _encode(self, pieces: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)]
+    def _encode(self, segments: list[str]) -> list[bytes]:
+        split = [self.split(x) for x in segments]
+        pieces = list(set().union(*split))
+        known = dict(zip(pieces, [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)], strict=True))
+        return [known[x[0]] if len(x) == 1 else b"".join([known[p] for p in x]) for x in split]
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Each text's ids as little-endian u32."""
-        split = [self.split(t) for t in texts]
-        out, lo, size = [], 0, 0
-        for hi, pieces in enumerate(split, 1):
-            size += len(pieces)
-            if size > 1_000_000 or hi == len(split):
-                self.memory.learn(set().union(*split[lo:hi]), self._encode)
-                get = self.memory.__getitem__
-                out += [b"".join(map(get, x)) for x in split[lo:hi]]
-                lo, size = hi, 0
-        return out
+        return [b"".join(x) for part in rounds(texts, ROUND_CHARS) for x in self.memory.forms(part, self.split, self._encode)]
 
 
 FILES = "part int, seq int, first long, n_ids long, n_docs long, content binary"
@@ -164,9 +161,9 @@ def write_files(docs: DataFrame, spec: str, pattern: str, end_id: int = 0, mode:
 
         held = 0
         for batch in batches:
-            coder = coder or PieceTokenizer(*sent.value)
-            for lo in range(0, batch.num_rows, 512):
-                some = batch.slice(lo, 512)
+            coder = coder or SegmentTokenizer(*sent.value)
+            for lo in range(0, batch.num_rows, 2048):
+                some = batch.slice(lo, 2048)
                 for doc, text in zip(some.column(0).to_pylist(), coder.encode([x or "" for x in some.column(1).to_pylist()]), strict=True):
                     ids += [text, tail]
                     who.append(doc)
