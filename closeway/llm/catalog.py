@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import small, table
-from . import decontam, hmm, langid, merge_replay, planes, secrets, setsketch, sharding, toxicity
+from . import decontam, hmm, langid, merge_replay, planes, projection_forest, secrets, setsketch, sharding, toxicity
 from .common import fold
 
 
@@ -29,6 +29,10 @@ def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hits.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(ids, 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
+def op3_projection_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return projection_forest.near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     held_out = fold("doc_id", 5) == 0
@@ -73,7 +77,7 @@ def op10_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_language, op2_decontaminate, op4_toxicity, op5_hmm, op6_planes, op7_setsketch, op8_merge_replay, op9_secrets, op10_shards)}
+    return {f.__name__: f for f in (op1_language, op2_decontaminate, op3_projection_forest, op4_toxicity, op5_hmm, op6_planes, op7_setsketch, op8_merge_replay, op9_secrets, op10_shards)}
 
 
 def oracle_sql() -> dict[str, str]:
