@@ -147,6 +147,31 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, id_col: s
     return at.select("doc_id", "n_words", "spans", "items", hit.alias("n_hit"))
 
 
+def uncontaminated(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", part_bytes: int = PART_BYTES) -> DataFrame:
+    """The rows, with all their columns, that hold no window of any item."""
+
+    def one_part(part: list, rows: DataFrame) -> DataFrame:
+        held: list[Table] = []
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            if not held:
+                held.extend(compile_tables(part, size))
+            for batch, texts in text_rows(batches, text_col):
+                clean = []
+                for text in texts:
+                    words, spans = words_of(text), []
+                    for t in held:
+                        t.search(words, spans, set())
+                    clean.append(not spans)
+                yield batch.filter(pa.array(clean, pa.bool_()))
+
+        return rows.mapInArrow(run, docs.schema)
+
+    for part in parts_of(only(benchmark, item_id=item_col, text=item_text), part_bytes):
+        docs = one_part(part, docs)
+    return docs
+
+
 ORACLE = r"""
 WITH dw AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
 bw AS (SELECT item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),

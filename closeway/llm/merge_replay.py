@@ -214,7 +214,7 @@ def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: s
                 a.append(hashlib.sha256(ids).hexdigest())
                 b.append(hashlib.sha256(b"".join([x[1] for x in forms])).hexdigest())
                 if with_ids:
-                    every.append(np.array(ids.split(b","), np.int32) if ids else np.empty(0, np.int32))
+                    every.append(np.fromstring(ids.decode(), np.int32, sep=",") if ids else np.empty(0, np.int32))
             cols = [batch.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
             yield pa.RecordBatch.from_arrays(cols + [pa.array(every, pa.list_(pa.int32()))] * with_ids, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids)
 

@@ -291,7 +291,16 @@ class NearDuplicates:
         return linked.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
-def deduplicated(docs: DataFrame, percent: int = 85, id_col: str = "doc_id") -> DataFrame:
-    """One row of each group with all its columns: that of the group's smallest id; rows without links all stay."""
-    gone = NearDuplicates(docs, percent, id_col).result().where("not kept").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(small(gone, SENT_IDS), F.col(f"`{id_col}`") == F.col("_gone"), "left_anti")
+def deduplicated(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row of each group with all its columns: that of the group's smallest id; rows without links all stay.
+
+    Of rows that repeat both id and set, one stays.
+    """
+    found = NearDuplicates(docs, percent, id_col, text_col)
+    gone = found.result().where("not kept").select(F.col("doc_id").alias("_gone")).distinct()
+    left = docs.join(small(gone, SENT_IDS), F.col(f"`{id_col}`") == F.col("_gone"), "left_anti")
+    twice = cut(found.sketches.df.where("doc_id is not null").groupBy("doc_id", "key").count().where("count > 1").select(F.col("doc_id").alias("_twice")).distinct())
+    if twice.isEmpty():
+        return left
+    again = F.col(f"`{id_col}`") == F.col("_twice")
+    return left.join(twice, again, "left_anti").unionByName(left.join(twice, again, "left_semi").dropDuplicates([id_col, text_col]))
