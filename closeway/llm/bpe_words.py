@@ -10,11 +10,12 @@ from __future__ import annotations
 import re
 from collections.abc import Callable
 from functools import lru_cache
+from itertools import islice
 
 import regex
 
-#: Most segments a worker remembers; when more are met the memory starts anew.
-REMEMBERED = 800_000
+#: Most segments a worker remembers. When more are met the later half is forgotten: frequent segments are met early.
+REMEMBERED = 700_000
 #: A blank before white space or the text's end: such a text is left to the pattern.
 LOOSE = re.compile(r" (?:\s|\Z)")
 
@@ -27,24 +28,31 @@ def splitter(pattern: str) -> Callable[[str], list[str]]:
 class Memory:
     """Encoded forms of segments. Lives as long as the worker process, shared by its tasks."""
 
-    def __init__(self):
+    def __init__(self, most: int = REMEMBERED):
+        self.most = most
         self.after_blank: dict = {}  # segments without the blank that they begin with
         self.as_is: dict = {}
 
-    def _learn(self, have: dict, keys: set[str], blank: str, encode: Callable[[list[str]], list]) -> None:
-        new = keys.difference(have)
-        if new:
-            if len(have) + len(new) > REMEMBERED:
-                have.clear()
-                new = keys
-            order = list(new)
-            have.update(zip(order, encode([blank + k for k in order]), strict=True))
+    def _fill(self, have: dict, rows: list[tuple[list[str], list]], blank: str, encode: Callable[[list[str]], list]) -> None:
+        """Complete the forms of rows of (segments, forms or None), encoding each new segment once."""
+        gaps = [(keys, forms, [i for i, f in enumerate(forms) if f is None]) for keys, forms in rows if None in forms]
+        new = list({keys[i] for keys, _, at in gaps for i in at})
+        if not new:
+            return
+        found = dict(zip(new, encode([blank + k for k in new]), strict=True))
+        for keys, forms, at in gaps:
+            for i in at:
+                forms[i] = found[keys[i]]
+        if len(have) + len(found) > self.most:
+            early = dict(islice(have.items(), self.most // 2))
+            have.clear()
+            have.update(early)
+        have.update(islice(found.items(), max(self.most - len(have), 0)))
 
     def forms(self, texts: list[str], findall: Callable[[str], list[str]], encode: Callable[[list[str]], list]) -> list[list]:
         """The forms of each text's segments, in order."""
-        cut = []
-        tails: set[str] = set()
-        heads: set[str] = set()
+        heads, tails = [], []
+        a, b = self.as_is.get, self.after_blank.get
         for text in texts:
             if LOOSE.search(text):
                 head, tail = findall(text), []
@@ -52,20 +60,20 @@ class Memory:
                 tail = text.split(" ")
                 head = tail[:1] if tail[0] else []
                 del tail[0]
-            cut.append((head, tail))
-            heads.update(head)
-            tails.update(tail)
-        self._learn(self.after_blank, tails, " ", encode)
-        self._learn(self.as_is, heads, "", encode)
-        a, b = self.as_is.__getitem__, self.after_blank.__getitem__
-        return [[*map(a, head), *map(b, tail)] for head, tail in cut]
+            heads.append((head, list(map(a, head))))
+            tails.append((tail, list(map(b, tail))))
+        self._fill(self.as_is, heads, "", encode)
+        self._fill(self.after_blank, tails, " ", encode)
+        return [head + tail for (_, head), (_, tail) in zip(heads, tails, strict=True)]
 
 
 _MEMORIES: dict[str, Memory] = {}
 
 
-def memory(name: str) -> Memory:
-    return _MEMORIES.setdefault(name, Memory())
+def memory(name: str, most: int = REMEMBERED) -> Memory:
+    if name not in _MEMORIES:
+        _MEMORIES[name] = Memory(most)
+    return _MEMORIES[name]
 
 
 def rounds(texts: list[str], most: int) -> list[list[str]]:

@@ -120,7 +120,7 @@ class SegmentTokenizer:
 
         self.tokenizer = Tokenizer.from_str(spec)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
-        self.split, self.memory = splitter(pattern), memory(f"library-{zlib.crc32(spec.encode())}")
+        self.split, self.memory = splitter(pattern), memory(f"library-{zlib.crc32(spec.encode())}", 1_200_000)
 
     def _encode(self, segments: list[str]) -> list[bytes]:
         split = [self.split(x) for x in segments]
