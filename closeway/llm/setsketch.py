@@ -9,7 +9,7 @@ similarity.
 2. Bands of registers are hashed; representatives with a common band value share a bucket. Buckets of one vanish.
 3. A bucket's pairs are not spelled out. First each member meets the bucket's smallest id, then another leader; links
    found join components. Only buckets that still hold several components are compared in full, block by block, and
-   only pairs of different components.
+   only rows of different components that may be linked; their sets are brought together and counted at once.
 4. A met pair's similarity is estimated by maximum likelihood from the numbers of registers that are greater, smaller
    and equal, given both set sizes. Pairs whose estimate lies ``SLACK`` standard errors under the bound are dropped.
 5. The rest are confirmed on the full sets of both texts.
@@ -141,7 +141,7 @@ def sketches(docs: DataFrame) -> DataFrame:
 
 
 def bands(reps: DataFrame) -> DataFrame:
-    """(h, id) per band of each representative; h hashes the band's place and values."""
+    """(h, band, id) per band of each representative; h hashes the band's place and values."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -150,9 +150,9 @@ def bands(reps: DataFrame) -> DataFrame:
                 h = np.arange(1, BANDS + 1, dtype=np.uint64)[None, :] * POLY
                 for k in range(WIDTH):
                     h = mixed(h * POLY + r[:, :, k])
-                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64).ravel()), pa.array(np.repeat(batch.column(0).to_numpy(), BANDS))], ["h", "id"])
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64).ravel()), pa.array(np.tile(np.arange(BANDS, dtype=np.int32), len(r))), pa.array(np.repeat(batch.column(0).to_numpy(), BANDS))], ["h", "band", "id"])
 
-    return reps.select("id", "regs").mapInArrow(run, "h long, id long")
+    return reps.select("id", "regs").mapInArrow(run, "h long, band int, id long")
 
 
 def likely(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
@@ -193,40 +193,94 @@ def confirmed(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
     return pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
-def rest(buckets: DataFrame, reps: DataFrame, percent: int, block: int = BLOCK) -> DataFrame:
-    """Pairs of different components in the buckets (h, id, comp), estimated above the bound; block by block."""
-    least = bound_of(percent)
+def _hopeful(regs: np.ndarray, n: np.ndarray, r: int, others: np.ndarray, band: int, percent: int) -> np.ndarray:
+    """Of ``others`` those whose first common band with row r is this one and whose estimate reaches the bound."""
+    equal = regs[others] == regs[r]
+    first = equal.reshape(-1, BANDS, WIDTH).all(2).argmax(1) == band
+    others, equal = others[first], equal[first]
+    same = equal.sum(1)
+    some = same >= (bound_of(percent) - 0.1) * REGISTERS
+    others, same = others[some], same[some]
+    if not len(others):
+        return others
+    above = (regs[r] > regs[others]).sum(1)
+    return others[likeliest(np.full(len(others), n[r]), n[others], above, REGISTERS - above - same, same) >= bound_of(percent)]
+
+
+def rest(buckets: DataFrame, reps: DataFrame, texts: DataFrame, percent: int, block: int = BLOCK) -> DataFrame:
+    """Links (a, b) between different components of the buckets (h, band, id, comp), block by block.
+
+    A first pass over the sketches finds the rows of each block that some row of another component may be linked with;
+    a second one brings those rows' full sets together and counts all their intersections at once. Neither writes pairs:
+    the first gives rows, the second at most a spanning set of links.
+    """
     parts = F.ceil(F.col("members") / block).cast("int")
     sized = buckets.join(buckets.groupBy("h").agg(F.count("*").alias("members")), "h")
     own = F.pmod(F.xxhash64("id"), parts).cast("int")
     met = (
         sized.join(reps, "id")
-        .select("h", "id", "comp", "n", "regs", own.alias("own"), parts.alias("parts"))
+        .select("h", "band", "id", "comp", "n", "regs", own.alias("own"), parts.alias("parts"))
         .select("*", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("other"))
-        .select("h", "id", "comp", "n", "regs", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+        .select("h", "band", "id", "comp", "n", "regs", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
     )
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+    def take_part(pdf: pd.DataFrame) -> pd.DataFrame:
         regs = np.frombuffer(b"".join(pdf["regs"]), np.uint16).reshape(-1, REGISTERS)
-        n, ids, comp, own = pdf["n"].to_numpy(float), pdf["id"].to_numpy(), pdf["comp"].to_numpy(), pdf["own"].to_numpy()
+        n, comp, own, band = pdf["n"].to_numpy(float), pdf["comp"].to_numpy(), pdf["own"].to_numpy(), int(pdf["band"].iloc[0])
         apart = pdf["i"].iloc[0] != pdf["j"].iloc[0]
-        out = []
-        for r in range(len(ids)):
-            other = (comp != comp[r]) & (ids > ids[r]) & (100 * np.minimum(n, n[r]) >= percent * np.maximum(n, n[r]))
+        mark = np.zeros(len(n), bool)
+        # Rows of the largest component meet only the rest, so its own square is never walked.
+        most = pd.Series(comp).mode().iloc[0]
+        rest_rows = np.flatnonzero(comp != most)
+        for r in rest_rows:
+            other = (comp != comp[r]) & (100 * np.minimum(n, n[r]) >= percent * np.maximum(n, n[r]))
             if apart:
                 other &= own != own[r]
-            at = np.flatnonzero(other)
-            if len(at):
-                x = regs[at]
-                same = (x == regs[r]).sum(1)
-                at, x, same = at[same > 0], x[same > 0], same[same > 0]
-                above = (regs[r] > x).sum(1)
-                j = likeliest(np.full(len(at), n[r]), n[at], above, REGISTERS - above - same, same)
-                out.append(np.stack((np.full((j >= least).sum(), ids[r]), ids[at[j >= least]]), 1))
-        both = np.concatenate(out) if out else np.empty((0, 2), np.int64)
-        return pd.DataFrame({"a": both[:, 0], "b": both[:, 1]})
+            hit = _hopeful(regs, n, r, np.flatnonzero(other), band, percent)
+            if len(hit):
+                mark[r] = True
+                mark[hit] = True
+        return pdf.loc[mark, ["h", "id", "comp", "i", "j"]]
+
+    rows = Stored(met.groupBy("h", "i", "j").applyInPandas(take_part, "h long, id long, comp long, i int, j int"), "rest-rows")
+    with_sets = rows.df.join(texts, "id")
+
+    def link(pdf: pd.DataFrame) -> pd.DataFrame:
+        ids, comp = pdf["id"].to_numpy(), pdf["comp"].to_numpy()
+        sets = [shingles(t.encode()) for t in pdf["text"]]
+        size = np.array([len(x) for x in sets])
+        shingle, at = np.unique(np.concatenate(sets), return_inverse=True)
+        row = np.repeat(np.arange(len(ids)), size)
+        shared = np.bincount(at) > 1
+        both = np.zeros((len(ids), len(ids)), np.float32)
+        order = np.argsort(at, kind="stable")
+        at, row = at[order], row[order]
+        keep = shared[at]
+        at, row = at[keep], row[keep]
+        for lo in range(0, len(shingle), 4096):  # exact: counts stay below 2**24
+            a, b = np.searchsorted(at, (lo, lo + 4096))
+            if b > a:
+                held = np.zeros((len(ids), 4096), np.float32)
+                held[row[a:b], at[a:b] - lo] = 1
+                both += held @ held.T
+        union = size[:, None] + size[None, :] - both
+        ok = np.triu((100 * both >= percent * union) & (comp[:, None] != comp[None, :]), 1)
+        joined: dict[int, int] = {}
+
+        def root(c: int) -> int:
+            while joined.get(c, c) != c:
+                c = joined[c]
+            return c
+
+        out = []
+        for r, c in zip(*np.nonzero(ok), strict=True):
+            x, y = root(comp[r]), root(comp[c])
+            if x != y:
+                joined[max(x, y)] = min(x, y)
+                out.append((ids[r], ids[c]))
+        return pd.DataFrame(out, columns=["a", "b"])
 
-    return met.groupBy("h", "i", "j").applyInPandas(run, "a long, b long").distinct()
+    return with_sets.groupBy("h", "i", "j").applyInPandas(link, "a long, b long").distinct()
 
 
 def class_texts(rows: DataFrame, classes: DataFrame) -> DataFrame:
@@ -260,7 +314,7 @@ class NearDuplicates:
         picked = self.classes.df.join(alone, "id").where("key = _k").select("id", "n", "regs")
         banded = bands(picked)
         many = banded.groupBy("h").agg(F.min("id").alias("lead"), F.max("id").alias("last"), F.min_by("id", F.xxhash64("id")).alias("second")).where("lead < last")
-        buckets = Stored(banded.join(many, "h").select("h", "id", "lead", "second").distinct(), "buckets")
+        buckets = Stored(banded.join(many, "h").select("h", "band", "id", "lead", "second").distinct(), "buckets")
         members = cut(buckets.df.select("id").distinct())
         reps = Stored(picked.join(small(members, SENT_IDS), "id").dropDuplicates(["id"]), "reps")
         texts = Stored(class_texts(rows.join(small(members.withColumnRenamed("id", "doc_id"), SENT_IDS), "doc_id"), self.classes.df), "texts")
@@ -273,12 +327,11 @@ class NearDuplicates:
             found = Stored(confirmed(Stored(likely(pairs, reps.df, percent), "likely").df, texts.df, percent), "links")
             links = found.df if links is None else links.unionByName(found.df)
             roots = cut(components(links))
-        left = _labelled(buckets.df.select("h", "id"), roots)
+        left = _labelled(buckets.df.select("h", "band", "id"), roots)
         mixed_up = left.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("h")
         left = cut(left.join(mixed_up, "h"))
         if not left.isEmpty():
-            pairs = Stored(rest(left, reps.df, percent), "rest")
-            links = links.unionByName(confirmed(pairs.df, texts.df, percent))
+            links = links.unionByName(Stored(rest(left, reps.df, texts.df, percent), "rest").df)
             roots = cut(components(Stored(links, "links").df))
         self.roots = roots
 
