@@ -31,6 +31,8 @@ UNKNOWN = "und"
 RANKS = 400
 #: Distinct (language, n-gram) counts a partition holds before it passes them on.
 HELD = 2_000_000
+#: Texts whose counts are gathered before they are summed up.
+GATHERED = 256
 #: Salted parts a language's n-grams are ranked in before the last ranking.
 PARTS = 16
 #: Most languages whose profiles are sent to the executors.
@@ -88,14 +90,16 @@ def gram_counts(texts: DataFrame) -> DataFrame:
             held.clear()
 
         for batch in batches:
-            new: dict[str, list] = defaultdict(list)
-            for lang, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                new[lang].append(grams(text.as_py()))
-            for lang, found in new.items():
-                found += [held[lang]] if lang in held else []
-                held[lang] = summed([x for x, _ in found], [x for _, x in found])
-            if sum(len(x) for x, _ in held.values()) > HELD:
-                yield from out()
+            for lo in range(0, batch.num_rows, GATHERED):
+                some = batch.slice(lo, GATHERED)
+                new: dict[str, list] = defaultdict(list)
+                for lang, text in zip(some.column(0).to_pylist(), some.column(1), strict=True):
+                    new[lang].append(grams(text.as_py()))
+                for lang, found in new.items():
+                    found += [held[lang]] if lang in held else []
+                    held[lang] = summed([x for x, _ in found], [x for _, x in found])
+                if sum(len(x) for x, _ in held.values()) > HELD:
+                    yield from out()
         yield from out()
 
     bare = texts.where("lang is not null").select("lang", "text")
