@@ -172,7 +172,7 @@ def _blocked(left: DataFrame, edges: DataFrame, source: str) -> tuple[DataFrame,
     """Sources dealt into blocks per city, and the city's arcs once for every block of it."""
     counted = left.groupBy("city_id").agg(F.count_distinct(source).alias("_n")).withColumn("_parts", F.ceil(F.col("_n") / SOURCES).cast("int"))
     dealt = left.join(small(counted.select("city_id", "_parts")), "city_id").withColumn("block", F.pmod(F.xxhash64(source), F.col("_parts")).cast("int")).drop("_parts")
-    every = edges.join(small(counted.select("city_id", "_parts")), "city_id").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("_parts") - 1))).drop("_parts")
+    every = edges.join(small(counted.select("city_id", "_parts")), "city_id").withColumn("_b", F.explode(F.sequence(F.lit(0), F.col("_parts") - 1))).drop("_parts").withColumnRenamed("city_id", "_c")
     return dealt, every
 
 
@@ -196,7 +196,7 @@ def tree_local(g: RoadGraph, sources: DataFrame, weight: str = "len_dm") -> Data
             out += [(key[0], s, int(ids[v]), c, h, int(ids[p]) if p >= 0 else None, e if e >= 0 else None) for v, (c, h, p, e) in labels.items()]
         return pd.DataFrame(out, columns=["city_id", "source", "v", "cost", "hops", "pred", "edge_id"]).astype({"pred": "Int64", "edge_id": "Int64"})
 
-    return left.groupBy("city_id", "block").cogroup(every.groupBy("city_id", "block")).applyInPandas(run, LABELS)
+    return left.groupBy("city_id", "block").cogroup(every.groupBy("_c", "_b")).applyInPandas(run, LABELS)
 
 
 def paths_local(g: RoadGraph, pairs: DataFrame, weight: str = "len_dm", goal: bool = False) -> DataFrame:
@@ -230,9 +230,9 @@ def paths_local(g: RoadGraph, pairs: DataFrame, weight: str = "len_dm", goal: bo
                     labels, _ = adj.tree(at, {to}, xy(to))
                 for seq, (v, e) in enumerate(adj.walk(labels, to) or []):
                     out.append((key[0], pair, int(s), int(t), seq, int(adj.ids[v]), e if e >= 0 else None))
-        return pd.DataFrame(out, columns=["city_id", "pair_id", "s", "t", "seq", "vertex_id", "edge_id"]).astype({"edge_id": "Int64"})
+        return pd.DataFrame(out, columns=["city_id", "pair_id", "s", "t", "seq", "vertex_id", "edge_id"]).astype({"edge_id": "Int64", "pair_id": object})
 
-    return left.groupBy("city_id", "block").cogroup(every.groupBy("city_id", "block")).applyInPandas(run, PATHS)
+    return left.groupBy("city_id", "block").cogroup(every.groupBy("_c", "_b")).applyInPandas(run, PATHS)
 
 
 def _positions(adj: Adjacency, pdf: pd.DataFrame):

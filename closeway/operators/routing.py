@@ -77,7 +77,7 @@ def poi_sequence(edges: DataFrame, ends: DataFrame, weight: F.Column | None = No
     """
     w = F.col("dist") if weight is None else weight
     left = ends.select("city_id", "pair_id", "entry", "exit")
-    right = edges.select("city_id", "pair_id", "pi", "pj", w.cast("double").alias("w"))
+    right = edges.select(F.col("city_id").alias("_c"), F.col("pair_id").alias("_p"), "pi", "pj", w.cast("double").alias("w"))
 
     def run(key, want: pd.DataFrame, pdf: pd.DataFrame) -> pd.DataFrame:
         out: list[tuple] = []
@@ -103,9 +103,9 @@ def poi_sequence(edges: DataFrame, ends: DataFrame, weight: F.Column | None = No
             while at is not None and at != -1:
                 out.append(at)
                 at = done[at][2]
-        return pd.DataFrame({"city_id": [key[0]] * len(out), "pair_id": [key[1]] * len(out), "seq": range(len(out)), "poi_id": out[::-1]}).astype({"seq": "int32", "poi_id": "int64", "city_id": "int32"})
+        return pd.DataFrame({"city_id": [key[0]] * len(out), "pair_id": [key[1]] * len(out), "seq": range(len(out)), "poi_id": out[::-1]}).astype({"seq": "int32", "poi_id": "int64", "city_id": "int32", "pair_id": object})
 
-    return left.groupBy("city_id", "pair_id").cogroup(right.groupBy("city_id", "pair_id")).applyInPandas(run, "city_id int, pair_id string, seq int, poi_id long")
+    return left.groupBy("city_id", "pair_id").cogroup(right.groupBy("_c", "_p")).applyInPandas(run, "city_id int, pair_id string, seq int, poi_id long")
 
 
 def stops(trips_xy: DataFrame, sequence: DataFrame, pois: DataFrame) -> DataFrame:
