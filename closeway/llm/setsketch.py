@@ -48,8 +48,6 @@ CHUNK = 8192
 #: Ids that are sent to the executors to find their texts; more are joined by shuffling.
 SENT_IDS = 2_000_000
 
-_WORD_HASHES: dict[bytes, int] = {}
-_WORDS_HELD = 1_000_000
 MIX1, MIX2, POLY = np.uint64(0xFF51AFD7ED558CCD), np.uint64(0xC4CEB9FE1A85EC53), np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -70,12 +68,7 @@ def shingles(text: bytes | None, words: int = WORDS) -> np.ndarray:
     tokens = text.lower().split() if text else []
     if not tokens:
         return np.empty(0, np.uint64)
-    if len(_WORD_HASHES) > _WORDS_HELD:
-        _WORD_HASHES.clear()
-    known = _WORD_HASHES
-    for w in set(tokens).difference(known):
-        known[w] = xxhash.xxh3_64_intdigest(w)
-    h = np.array(list(map(known.__getitem__, tokens)), np.uint64)
+    h = np.fromiter(map(xxhash.xxh3_64_intdigest, tokens), np.uint64, len(tokens))
     n = min(words, len(h))
     x = h[: len(h) - n + 1]
     for k in range(1, n):
