@@ -172,26 +172,31 @@ def read_ranks(path: str) -> list[str]:
 
 
 class Encoder:
-    """Encodes texts; remembers for each segment its ids as text, its bytes decoded from the ids, and their number."""
+    """Encodes texts; remembers each segment's ids as bytes."""
 
     def __init__(self, ranks: list[str], pattern: str):
         key, self.merges = _ready(ranks)
         self.split, self.memory = splitter(pattern), memory(f"replay-{key}")
+        self.bytes_of = [self.merges.bytes_of.get(i, b"") for i in range(max(self.merges.bytes_of, default=-1) + 1)]
+        self.digits_of = [b"%d" % i for i in range(len(self.bytes_of))]
 
-    def _encode(self, segments: list[str]) -> list[tuple]:
+    def _encode(self, segments: list[str]) -> list[bytes]:
         split = [self.split(x) for x in segments]
-        pieces = sorted(set().union(*split))
-        known = dict(zip(pieces, self.merges.replay([p.encode("utf-8", "surrogatepass") for p in pieces]), strict=True))
-        out = []
-        for x in split:
-            ids = [i for p in x for i in known[p].tolist()]
-            out.append((b",".join([b"%d" % i for i in ids]), self.merges.decode(ids), len(ids)))
-        return out
+        pieces = list(set().union(*split))
+        known = dict(zip(pieces, [x.astype("<u4").tobytes() for x in self.merges.replay([p.encode("utf-8", "surrogatepass") for p in pieces])], strict=True))
+        return [known[x[0]] if len(x) == 1 else b"".join([known[p] for p in x]) for x in split]
 
-    def encode(self, texts: list[str]) -> Iterator[list[tuple]]:
-        """The remembered forms of each text's segments."""
+    def encode(self, texts: list[str]) -> Iterator[np.ndarray]:
+        """The ids of each text."""
         for part in rounds(texts, ROUND_CHARS):
-            yield from self.memory.forms(part, self.split, self._encode)
+            for forms in self.memory.forms(part, self.split, self._encode):
+                yield np.frombuffer(b"".join(forms), "<u4")
+
+    def decode(self, ids: list[int]) -> bytes:
+        return b"".join(map(self.bytes_of.__getitem__, ids))
+
+    def digits(self, ids: list[int]) -> bytes:
+        return b",".join(map(self.digits_of.__getitem__, ids))
 
 
 def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
@@ -208,13 +213,13 @@ def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: s
         for batch in batches:
             encoder = encoder or Encoder(sent.value, pattern)
             n, a, b, every = [], [], [], []
-            for forms in encoder.encode([x or "" for x in batch.column(1).to_pylist()]):
-                ids = b",".join([x[0] for x in forms])
-                n.append(sum([x[2] for x in forms]))
-                a.append(hashlib.sha256(ids).hexdigest())
-                b.append(hashlib.sha256(b"".join([x[1] for x in forms])).hexdigest())
+            for ids in encoder.encode([x or "" for x in batch.column(1).to_pylist()]):
+                listed = ids.tolist()
+                n.append(len(listed))
+                a.append(hashlib.sha256(encoder.digits(listed)).hexdigest())
+                b.append(hashlib.sha256(encoder.decode(listed)).hexdigest())
                 if with_ids:
-                    every.append(np.fromstring(ids.decode(), np.int32, sep=",") if ids else np.empty(0, np.int32))
+                    every.append(ids.astype(np.int32))
             cols = [batch.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
             yield pa.RecordBatch.from_arrays(cols + [pa.array(every, pa.list_(pa.int32()))] * with_ids, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids)
 
