@@ -25,9 +25,10 @@ def stored(df: DataFrame, name: str) -> DataFrame:
 class World:
     """All stages of one scale, each made when first asked for."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, prior: str = "pair_frequency", scope: str = "per_relation", use_syntax: bool = True, pairs: str = "ordered", shape: str = "drawn", pseudo: bool = False, max_components: int = 3, combine: str = "sum"):
+    def __init__(self, spark: SparkSession, sf_dir: str, prior: str = "pair_frequency", scope: str = "per_relation", use_syntax: bool = True, pairs: str = "ordered", shape: str = "drawn", pseudo: bool = False, max_components: int = 3, combine: str = "sum", single: bool = False):
         self.spark, self.sf_dir, self.prior, self.scope, self.use_syntax = spark, sf_dir, prior, scope, use_syntax
         self.pair_mode, self.shape, self.pseudo, self.max_components, self.combine = pairs, shape, pseudo, max_components, combine
+        self.single = single  # one Gaussian per word in closed form instead of a grown mixture
         self.lexicon = text.TABLE_LEXICON
 
     @property
@@ -66,6 +67,8 @@ class World:
 
     @cached_property
     def model(self) -> DataFrame:
+        if self.single:
+            return stored(mixture.fit_single(self.vectors), "single")
         return mixture.to_table(self.spark, self.grown.model)
 
     @cached_property
