@@ -15,7 +15,7 @@ from itertools import islice
 import regex
 
 #: Most segments a worker remembers. When more are met the later half is forgotten: frequent segments are met early.
-REMEMBERED = 450_000
+REMEMBERED = 250_000
 #: A blank before white space or the text's end: such a text is left to the pattern.
 LOOSE = re.compile(r" (?:\s|\Z)")
 

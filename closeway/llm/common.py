@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -26,3 +28,12 @@ def text_rows(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterat
 def only(df: DataFrame, **names: str) -> DataFrame:
     """Only the named columns, under the operator's own names, so that further columns can't clash."""
     return df.select(*[F.col(f"`{have}`").alias(want) for want, have in names.items()])
+
+
+def hand_back() -> None:
+    """Give a worker's freed memory back to the machine: workers outlive their tasks and the next stage needs room."""
+    gc.collect()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library keeps its own pools
+        return

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import only
+from .common import hand_back, only
 
 UNKNOWN = "und"
 #: n-grams in a profile, of a language and of a document.
@@ -101,6 +101,7 @@ def gram_counts(texts: DataFrame) -> DataFrame:
                 if sum(len(x) for x, _ in held.values()) > HELD:
                     yield from out()
         yield from out()
+        hand_back()
 
     bare = texts.where("lang is not null").select("lang", "text")
     return bare.mapInArrow(count, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe_words import memory, rounds, splitter
-from .common import only
+from .common import hand_back, only
 
 NONE = np.int64(1 << 40)
 #: Characters of text whose new segments are encoded together.
@@ -222,5 +222,6 @@ def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: s
                     every.append(ids.astype(np.int32))
             cols = [batch.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
             yield pa.RecordBatch.from_arrays(cols + [pa.array(every, pa.list_(pa.int32()))] * with_ids, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids)
+        hand_back()
 
     return only(docs, doc_id=id_col, text=text_col).mapInArrow(run, schema)
