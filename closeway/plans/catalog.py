@@ -350,10 +350,19 @@ def _streamed(make: Callable[[DataFrame], DataFrame], mode: str = "complete"):
     return lambda s, d: streams.finished(make(streams.events(s, d)), f"closeway_{uuid.uuid4().hex}", mode)
 
 
-QUERIES |= {"stream_daily_photos": _streamed(lambda e: streams.windowed(e)), "stream_sliding_photos": _streamed(lambda e: streams.windowed(e, "1 day", "6 hours")), "stream_sessions": _streamed(lambda e: streams.sessions(e)), "stream_running_counts": _streamed(streams.running_counts, "update")}
+DAILY = "SELECT CAST(ts AS DATE) AS day, event_type, count(*) AS photos FROM events GROUP BY 1, 2"
 
 
-@query("SELECT CAST(ts AS DATE) AS day, event_type, count(*) AS photos FROM events GROUP BY 1, 2")
+@query(DAILY)
+def stream_daily_photos(s, d):
+    done = _streamed(lambda e: streams.windowed(e))(s, d)
+    return done.select(F.to_date("start").alias("day"), "event_type", "photos")
+
+
+QUERIES |= {"stream_sliding_photos": _streamed(lambda e: streams.windowed(e, "1 day", "6 hours")), "stream_sessions": _streamed(lambda e: streams.sessions(e)), "stream_running_counts": _streamed(streams.running_counts, "update")}
+
+
+@query(DAILY)
 def daily_photos(s, d):
     return streams.windowed(table(s, d, "events")).select(F.to_date("start").alias("day"), "event_type", "photos")
 

@@ -18,7 +18,8 @@ def events(spark: SparkSession, sf_dir: str, files_per_trigger: int = 1) -> Data
     """The photo events as a stream of Parquet files."""
     path = f"{sf_dir}/events.parquet"
     schema = spark.read.parquet(path).schema
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path if spark_is_folder(spark, path) else f"{sf_dir}/event[s].parquet")
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path if spark_is_folder(spark, path) else f"{sf_dir}/event[s].parquet")
+    return stream.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks need a time with a zone
 
 
 def spark_is_folder(spark: SparkSession, path: str) -> bool:
