@@ -35,7 +35,7 @@ SCHEMA = "rel_id int, m int, weight double, mu_d double, mu_o double, s_dd doubl
 
 
 def to_table(spark: SparkSession, model: Model) -> DataFrame:
-    return spark.createDataFrame([tuple(c) for c in model], SCHEMA)
+    return spark.createDataFrame([(c.rel_id, c.m, *map(float, c[2:])) for c in model], SCHEMA)
 
 
 def from_table(df: DataFrame) -> Model:
@@ -304,7 +304,7 @@ def sample(spark: SparkSession, model: Model, n: int, seed: int = 1) -> DataFram
         cut[c.rel_id] += c.weight
         a = math.sqrt(c.s_dd)
         b = c.s_do / a
-        rows.append((c.rel_id, lo, cut[c.rel_id], c.mu_d, c.mu_o, a, b, math.sqrt(max(c.s_oo - b * b, 0.0))))
+        rows.append((c.rel_id, *map(float, (lo, cut[c.rel_id], c.mu_d, c.mu_o, a, b, math.sqrt(max(c.s_oo - b * b, 0.0))))))
     comps = spark.createDataFrame(rows, "rel_id int, lo double, hi double, md double, mo double, a double, b double, c double")
     words = spark.createDataFrame([(k,) for k in sorted(cut)], "rel_id int")
     draws = spark.range(n).join(F.broadcast(words)).select("rel_id", F.rand(seed).alias("u"), F.randn(seed + 1).alias("g"), F.randn(seed + 2).alias("h"))
