@@ -199,10 +199,11 @@ class Encoder:
         return b",".join(map(self.digits_of.__getitem__, ids))
 
 
-def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
+def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False, forget: bool = False) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256[, ids]) of every row; a null text is encoded as empty.
 
-    ``ids`` are the token ids. Texts are encoded whole; repeated rows each get a row.
+    ``ids`` are the token ids. ``forget`` empties the worker's memory of segments after each task, for stages that
+    others follow. Texts are encoded whole; repeated rows each get a row.
     """
     spark = docs.sparkSession
     sent = spark.sparkContext.broadcast(ranks)  # one vocabulary file
@@ -222,6 +223,9 @@ def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: s
                     every.append(ids.astype(np.int32))
             cols = [batch.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
             yield pa.RecordBatch.from_arrays(cols + [pa.array(every, pa.list_(pa.int32()))] * with_ids, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids)
+        if forget and encoder:
+            encoder.memory.after_blank.clear()
+            encoder.memory.as_is.clear()
         hand_back()
 
     return only(docs, doc_id=id_col, text=text_col).mapInArrow(run, schema)

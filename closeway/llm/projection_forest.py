@@ -59,7 +59,7 @@ class Forest:
     def add(self, found: list[tuple[int, str, int, float]]) -> None:
         new: dict[tuple[int, str], list] = {}
         for tree, group, node, at in found:
-            if np.isnan(at):
+            if at is None or np.isnan(at):
                 self.stuck.add((tree, group, node))
             else:
                 new.setdefault((tree, group), []).append((node, at))

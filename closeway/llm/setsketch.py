@@ -32,7 +32,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..session import Stored, cut, small
-from .common import only, text_rows
+from .common import hand_back, only, text_rows
 from .components import components
 
 WORDS = 5
@@ -129,6 +129,7 @@ def sketches(docs: DataFrame) -> DataFrame:
                 key.append(xxhash.xxh3_128_digest(x.tobytes()) if len(x) else None)
                 regs.append(registers(x).tobytes() if len(x) else None)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(key, pa.binary()), pa.array(regs, pa.binary())], ["doc_id", "n_shingles", "key", "regs"])
+        hand_back()
 
     return docs.mapInArrow(run, SKETCH)
 
@@ -182,6 +183,7 @@ def confirmed(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
                 ok.append(100 * both >= percent * (len(mine) + len(other) - both))
             keep = pa.array(ok, pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep)], ["a", "b"])
+        hand_back()
 
     return pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 

@@ -37,9 +37,9 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every text, with digests of the ids and of what they decode to."""
+    """Encodes and decodes every text: number of token ids, digests of the ids and of the decoded bytes."""
     ranks = merge_replay.read_ranks(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))
-    return merge_replay.encode_and_decode(docs, ranks, public_tokenizers.PATTERN, with_ids=True)
+    return merge_replay.encode_and_decode(docs, ranks, public_tokenizers.PATTERN, forget=True)
 
 
 STAGES = [
