@@ -66,6 +66,10 @@ class Memory:
         self._fill(self.after_blank, tails, " ", encode)
         return [head + tail for (_, head), (_, tail) in zip(heads, tails, strict=True)]
 
+    def clear(self) -> None:
+        for held in (self.after_blank, self.as_is):
+            held.clear()
+
 
 _MEMORIES: dict[str, Memory] = {}
 

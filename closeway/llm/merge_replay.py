@@ -224,8 +224,7 @@ def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: s
             cols = [batch.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
             yield pa.RecordBatch.from_arrays(cols + [pa.array(every, pa.list_(pa.int32()))] * with_ids, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids)
         if forget and encoder:
-            encoder.memory.after_blank.clear()
-            encoder.memory.as_is.clear()
+            encoder.memory.clear()
         hand_back()
 
     return only(docs, doc_id=id_col, text=text_col).mapInArrow(run, schema)

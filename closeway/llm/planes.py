@@ -41,6 +41,8 @@ BLOCK_IDS = 1 << 16
 #: A file ends with the document that brings it to so many ids.
 FILE_IDS = 1 << 20
 LEVEL = 3
+#: New segments in one call's text.
+TOGETHER = 2_000
 #: Characters of text whose new segments are encoded together.
 ROUND_CHARS = 4 << 20
 
@@ -120,13 +122,26 @@ class SegmentTokenizer:
 
         self.tokenizer = Tokenizer.from_str(spec)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        (self.line,) = self.tokenizer.encode("\n", add_special_tokens=False).ids
         self.split, self.memory = splitter(pattern), memory(f"library-{zlib.crc32(spec.encode())}", 1_200_000)
 
     def _encode(self, segments: list[str]) -> list[bytes]:
-        split = [self.split(x) for x in segments]
-        pieces = list(set().union(*split))
-        known = dict(zip(pieces, [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)], strict=True))
-        return [known[x[0]] if len(x) == 1 else b"".join([known[p] for p in x]) for x in split]
+        """Segments without inner white space are encoded many at a time, parted by line breaks: a line break between
+        them is always a piece, and a token, of its own, so cutting at its id gives each segment's ids."""
+        out: dict[str, bytes] = {}
+        plain = [x for x in segments if x.split() == [x.removeprefix(" ")]]
+        joined = ["\n".join(plain[lo : lo + TOGETHER]) for lo in range(0, len(plain), TOGETHER)]
+        found: list[bytes] = []
+        for lo in range(0, len(joined), 64):
+            for e in self.tokenizer.encode_batch_fast(joined[lo : lo + 64], add_special_tokens=False):
+                ids = np.array(e.ids, "<u4")
+                cut = np.flatnonzero(ids == self.line) * 4
+                data = ids.tobytes()
+                found += [data[x:y] for x, y in zip([0, *(cut + 4).tolist()], [*cut.tolist(), len(data)], strict=True)]
+        out.update(zip(plain, found, strict=True))
+        rest = [x for x in segments if x not in out]
+        out.update(zip(rest, [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(rest, add_special_tokens=False)], strict=True))
+        return [out[x] for x in segments]
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Each text's ids as little-endian u32."""
