@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.geo import distance
-from ..operators import closeness, features, graph, measures, mixture, routing, text
+from ..operators import closeness, extra, features, graph, measures, mixture, routing, text
 from ..session import table
 from ..sources import fixtures
 from ..streaming import photos as streams
@@ -373,6 +373,58 @@ def photo_sessions(s, d):
     return streams.sessions(table(s, d, "events")).select("user_id", "photos", "start")
 
 
+# ---------------------------------------------------------------- around the paper's steps
+
+VERSIONS = "SELECT city_id, CAST(DATE '2024-01-01' + CAST(5 * k AS INTEGER) AS TIMESTAMP) AS ts, k AS version FROM (SELECT DISTINCT city_id FROM v), (SELECT unnest(range(0, 6)) AS k)"
+
+
+@query(f"SELECT p.city_id, p.photo_id, m.version FROM photo p ASOF LEFT JOIN ({VERSIONS}) m ON m.city_id = p.city_id AND m.ts <= p.ts", "photo", "v")
+def photo_asof_model(s, d):
+    """Each photo with the latest version of its city's relation model before it (a version every five days)."""
+    w = world(s, d)
+    versions = w.vertices.select("city_id").distinct().select("city_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(5).cast("long"))).alias("version"))
+    versions = versions.select("city_id", F.expr("cast(date'2024-01-01' + cast(5 * version as int) as timestamp_ntz)").alias("ts"), "version")
+    return extra.asof_join(w.photos.select("city_id", "photo_id", "ts"), versions, ["city_id"]).select("city_id", "photo_id", "version")
+
+
+@query()
+def reachable(s, d):
+    return extra.reachable(world(s, d).base.edges, 0, 0, 6)
+
+
+O.BLOCKS["around"] = (("e",), "SELECT CAST(0 AS BIGINT) AS v, 0 AS h UNION SELECT a.b, h + 1 FROM around JOIN (SELECT u AS a, v AS b FROM e WHERE city_id = 0 UNION ALL SELECT v, u FROM e WHERE city_id = 0) a ON a.a = around.v WHERE h < 6")
+ORACLES["reachable"] = O.sql("SELECT v, CAST(min(h) AS INTEGER) AS hops FROM around GROUP BY 1", "around")
+
+
+@query()
+def fuzzy_names(s, d):
+    w = world(s, d)
+    return extra.fuzzy_names(fixtures.heldout_names(s, d), w.gazetteer)
+
+
+@query()
+def route_geojson(s, d):
+    w = world(s, d)
+    return extra.geojson(routing.plain(w.roads, w.trips_i), w.vertices)
+
+
+@query()
+def sampled_trips(s, d):
+    return extra.sample_trips(world(s, d).trips_i, 0.25)
+
+
+@query("SELECT city_id, bracket, count(*) AS trips, CAST(grouping(city_id) * 2 + grouping(bracket) AS BIGINT) AS level FROM (SELECT city_id, '30-50' AS bracket FROM trip) GROUP BY GROUPING SETS ((city_id), (bracket), ())", "trip")
+def trips_grouping_sets(s, d):
+    world(s, d).trips_i.createOrReplaceTempView("closeway_trips")
+    return s.sql("SELECT city_id, bracket, count(*) AS trips, CAST(grouping_id() AS BIGINT) AS level FROM closeway_trips GROUP BY city_id, bracket GROUPING SETS ((city_id), (bracket), ())")
+
+
+@query("SELECT photo_id, city_id, json_extract_string(props, '$.k') AS k FROM photo JOIN events ON event_id = photo_id", "photo")
+def photo_props(s, d):
+    props = table(s, d, "events").select(F.col("event_id").alias("photo_id"), F.from_json("props", "k string")["k"].alias("k"))
+    return world(s, d).photos.select("photo_id", "city_id").join(props, "photo_id")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return dict(QUERIES)
 
