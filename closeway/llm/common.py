@@ -7,7 +7,7 @@ import gc
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
@@ -30,6 +30,22 @@ def only(df: DataFrame, **names: str) -> DataFrame:
     return df.select(*[F.col(f"`{have}`").alias(want) for want, have in names.items()])
 
 
+#: Bytes in an Arrow batch where many stages share the executors.
+BATCH_BYTES = 4 << 20
+
+
+def steady(spark: SparkSession, most: int = BATCH_BYTES) -> None:
+    """Bound the session's Arrow batches by bytes: JVM and workers then hold few texts at a time, however long they are.
+
+    The setting may be changed in a running session; a lower one is kept.
+    """
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    have = spark.conf.get(key)
+    size = int(have.rstrip("bB"))
+    if size <= 0 or size > most:
+        spark.conf.set(key, str(most))
+
+
 def hand_back() -> None:
     """Give a worker's freed memory back to the machine: workers outlive their tasks and the next stage needs room."""
     gc.collect()

@@ -11,33 +11,38 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from closeway.llm import decontam, langid, merge_replay, secrets, setsketch
-from closeway.llm.common import fold
+from closeway.llm.common import fold, steady
 from closeway.session import Stored, table
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rejects documents in which no profile recognises a language: null texts and texts without a letter."""
+    steady(spark)
     profiles = langid.learn(docs.where(fold("doc_id", 3) != 1).select("lang", "text"))
     return langid.recognised(docs, profiles)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the document of the smallest id of each group of near copies."""
+    steady(spark)
     return setsketch.deduplicated(docs)
 
 
 def drop_benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents that hold ten words of a benchmark item in a row."""
+    steady(spark)
     return decontam.uncontaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps all documents and replaces the secrets in their texts; n_chars follows."""
+    steady(spark)
     return secrets.redacted(docs).withColumn("n_chars", F.char_length("text").cast("long"))
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Encodes and decodes every text: number of token ids, digests of the ids and of the decoded bytes."""
+    steady(spark)
     ranks = merge_replay.read_ranks(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))
     return merge_replay.encode_and_decode(docs, ranks, public_tokenizers.PATTERN, forget=True)
 
