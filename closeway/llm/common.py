@@ -40,8 +40,7 @@ def steady(spark: SparkSession, most: int = BATCH_BYTES) -> None:
     The setting may be changed in a running session; a lower one is kept.
     """
     key = "spark.sql.execution.arrow.maxBytesPerBatch"
-    have = spark.conf.get(key)
-    size = int(have.rstrip("bB"))
+    size = spark.sparkContext._jvm.org.apache.spark.network.util.JavaUtils.byteStringAsBytes(spark.conf.get(key))
     if size <= 0 or size > most:
         spark.conf.set(key, str(most))
 
