@@ -81,4 +81,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_decontaminate": decontam.ORACLE}
+    return {"op2_decontaminate": decontam.ORACLE, "op3_projection_forest": projection_forest.ORACLE, "op7_setsketch": setsketch.ORACLE, "op10_shards": sharding.ORACLE}

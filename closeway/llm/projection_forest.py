@@ -118,7 +118,7 @@ def vectors(rows: DataFrame, kind: str) -> DataFrame:
     return rows.mapInArrow(run, "id long, grp string, vec binary")
 
 
-def leaves(nodes: DataFrame, forest: Forest, kind: str, share: DataFrame | None = None) -> DataFrame:
+def leaves(nodes: DataFrame, forest: Forest, kind: str) -> DataFrame:
     """(tree, grp, node, id, n, vec, all) per leaf of each row; ``all`` numbers all of its leaves, tree by tree."""
     trees = forest.trees
 
@@ -273,3 +273,12 @@ def near_vectors(table: DataFrame, least: float = 0.98, trees: int = TREES, leaf
     return rows.select("id").join(keyed, "id", "left").select(
         F.col("id").alias("vec_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("comp", "id").alias("component_id"), F.coalesce(F.coalesce("comp", "id") == F.col("id"), F.lit(True)).alias("kept")
     )
+
+
+ORACLE = """
+WITH RECURSIVE v AS (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS x FROM embeddings),
+l AS (SELECT a.vec_id AS a, b.vec_id AS b FROM v a JOIN v b ON a.label = b.label AND len(a.x) = len(b.x) AND a.vec_id <> b.vec_id WHERE list_cosine_similarity(a.x, b.x) >= 0.98),
+c(vec_id, comp) USING KEY (vec_id) AS (SELECT vec_id, vec_id FROM embeddings
+  UNION (SELECT b, m FROM (SELECT l.b, min(c.comp) AS m FROM c JOIN l ON l.a = c.vec_id GROUP BY 1) t WHERE m < (SELECT r.comp FROM recurring.c r WHERE r.vec_id = t.b)))
+SELECT c.vec_id, coalesce(n, 0) AS n_links, comp AS component_id, c.vec_id = comp AS kept FROM c LEFT JOIN (SELECT a, count(*) AS n FROM l GROUP BY 1) q ON q.a = c.vec_id
+"""

@@ -352,3 +352,15 @@ def deduplicated(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", tex
         return left
     again = F.col(f"`{id_col}`") == F.col("_twice")
     return left.join(twice, again, "left_anti").unionByName(left.join(twice, again, "left_semi").dropDuplicates([id_col, text_col]))
+
+
+ORACLE = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (SELECT DISTINCT doc_id, array_to_string(w[p:p + least(5, len(w)) - 1], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - least(5, len(w)) + 2)) AS p FROM w WHERE len(w) > 0)),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY 1),
+l AS (SELECT a.doc_id AS a, b.doc_id AS b FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id JOIN n x ON x.doc_id = a.doc_id JOIN n y ON y.doc_id = b.doc_id GROUP BY 1, 2, x.n, y.n HAVING 100 * count(*) >= 85 * (x.n + y.n - count(*))),
+e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+c(doc_id, comp) USING KEY (doc_id) AS (SELECT doc_id, doc_id FROM documents
+  UNION (SELECT b, m FROM (SELECT e.b, min(c.comp) AS m FROM c JOIN e ON e.a = c.doc_id GROUP BY 1) t WHERE m < (SELECT r.comp FROM recurring.c r WHERE r.doc_id = t.b)))
+SELECT c.doc_id, coalesce(n, 0) AS n_shingles, comp AS component_id, c.doc_id = comp AS kept FROM c LEFT JOIN n ON n.doc_id = c.doc_id
+"""

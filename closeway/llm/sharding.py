@@ -98,14 +98,18 @@ def shard_by_bytes(docs: DataFrame, shards: int = 24, ranges_per_shard: int = 32
     )
 
 
+# CRC-32 in SQL: the table of 256 remainders by its rule, then one step per byte. Fixed value: the polynomial 3988292384.
 ORACLE = """
-WITH k AS (
-  SELECT doc_id, CAST(octet_length(encode(coalesce(text, ''))) + 8 AS BIGINT) AS size, coalesce(text, '') AS t,
+WITH RECURSIVE bits(k, i, c) AS (SELECT i, 0, i FROM range(256) t(i) UNION ALL SELECT k, i + 1, CASE WHEN c % 2 = 1 THEN xor(c // 2, 3988292384) ELSE c // 2 END FROM bits WHERE i < 8),
+tab AS (SELECT list(c ORDER BY k) AS r FROM bits WHERE i = 8),
+k AS (
+  SELECT doc_id, CAST(octet_length(encode(coalesce(text, ''))) + 8 AS BIGINT) AS size, hex(encode(coalesce(text, ''))) AS h,
          CAST('0x' || substr(md5(coalesce(text, '')), 1, 15) AS BIGINT) AS key FROM documents),
 o AS (SELECT *, coalesce(sum(size) OVER (ORDER BY key, doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS b,
          row_number() OVER (ORDER BY key, doc_id) AS nth, sum(size) OVER () AS total FROM k),
 s AS (SELECT *, CAST((24 * b) // total AS INTEGER) AS shard FROM o)
-SELECT doc_id, size, {crc} AS text_crc32, 'bytes' AS law, shard,
+SELECT doc_id, size, xor(list_reduce(list_prepend(CAST(4294967295 AS BIGINT), list_transform(range(0, length(h) // 2), lambda p: CAST('0x' || substr(h, CAST(2 * p + 1 AS BIGINT), 2) AS BIGINT))),
+         lambda c, x: xor(c // 256, r[xor(c, x) % 256 + 1])), 4294967295) AS text_crc32, 'bytes' AS law, shard,
        CAST(row_number() OVER (PARTITION BY shard ORDER BY nth) - 1 AS BIGINT) AS slot, CAST(NULL AS INTEGER) AS grown_shard
-FROM s
+FROM s, tab
 """
