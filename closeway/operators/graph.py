@@ -20,6 +20,8 @@ from ..session import cut, small
 
 #: Sources searched by one task of the local form.
 SOURCES = 32
+#: Vertices whose distances bound the rest of a way.
+LANDMARKS = 6
 #: Cities with more edges than this are searched by rounds over all executors.
 LOCAL_EDGES = 4_000_000
 
@@ -199,35 +201,39 @@ def tree_local(g: RoadGraph, sources: DataFrame, weight: str = "len_dm") -> Data
     return left.groupBy("city_id", "block").cogroup(every.groupBy("_c", "_b")).applyInPandas(run, LABELS)
 
 
-def paths_local(g: RoadGraph, pairs: DataFrame, weight: str = "len_dm", goal: bool = False) -> DataFrame:
+def paths_local(g: RoadGraph, pairs: DataFrame, weight: str = "len_dm", goal: str | None = None) -> DataFrame:
     """Path rows of (city_id, pair_id, s, t): one per vertex, seq 0 at s; edge_id leads into the vertex. No rows if unreachable.
 
-    A source's search stops when all of its targets are settled. ``goal`` searches pair by pair with the bound
-    m times the straight line to the target, m the least cost per metre of any arc (needs x and y of vertices).
+    A source's search stops when all of its targets are settled. ``goal`` searches pair by pair with a lower bound on
+    the rest of the way: ``line`` is m times the straight line to the target, m the least cost per metre of any arc
+    (needs x and y of vertices); ``landmarks`` is the largest difference of the two vertices' distances from
+    ``LANDMARKS`` vertices far apart (roads that run both ways only).
     """
+    if goal == "landmarks" and g.directed:
+        raise ValueError("landmark bounds need roads that run both ways")
     edges = arcs(g, weight)
-    if goal:
+    if goal == "line":
         xy = g.vertices.select("city_id", "vertex_id", "x", "y")
         edges = edges.join(xy.select("city_id", F.col("vertex_id").alias("a"), F.col("x").alias("ax"), F.col("y").alias("ay")), ["city_id", "a"]).join(xy.select("city_id", F.col("vertex_id").alias("b"), F.col("x").alias("bx"), F.col("y").alias("by")), ["city_id", "b"])
     left, every = _blocked(pairs.select("city_id", "pair_id", "s", "t"), edges, "s")
 
     def run(key, want: pd.DataFrame, pdf: pd.DataFrame) -> pd.DataFrame:
         adj = Adjacency(pdf)
-        xy = _positions(adj, pdf) if goal else None
+        bound = _line_bound(adj, pdf) if goal == "line" else _landmark_bound(adj) if goal == "landmarks" else None
         out = []
         for s, own in want.groupby("s", sort=True):
             at = adj.place(int(s))
             targets = {int(t): adj.place(int(t)) for t in own["t"].unique()}
             if at < 0:
                 continue
-            if not goal:
+            if bound is None:
                 labels, _ = adj.tree(at, {t for t in targets.values() if t >= 0})
             for pair, t in zip(own["pair_id"], own["t"], strict=True):
                 to = targets[int(t)]
                 if to < 0:
                     continue
-                if goal:
-                    labels, _ = adj.tree(at, {to}, xy(to))
+                if bound is not None:
+                    labels, _ = adj.tree(at, {to}, bound(to))
                 for seq, (v, e) in enumerate(adj.walk(labels, to) or []):
                     out.append((key[0], pair, int(s), int(t), seq, int(adj.ids[v]), e if e >= 0 else None))
         return pd.DataFrame(out, columns=["city_id", "pair_id", "s", "t", "seq", "vertex_id", "edge_id"]).astype({"edge_id": "Int64", "pair_id": object})
@@ -235,7 +241,29 @@ def paths_local(g: RoadGraph, pairs: DataFrame, weight: str = "len_dm", goal: bo
     return left.groupBy("city_id", "block").cogroup(every.groupBy("_c", "_b")).applyInPandas(run, PATHS)
 
 
-def _positions(adj: Adjacency, pdf: pd.DataFrame):
+def _landmark_bound(adj: Adjacency, many: int = LANDMARKS):
+    """Distances from vertices chosen one after the other as far as possible from those before."""
+    n, far, at = len(adj.ids), [], 0
+    nearest = np.full(n, np.inf)
+    for _ in range(min(many, n)):
+        d = np.full(n, np.inf)
+        for v, label in adj.tree(at)[0].items():
+            d[v] = label[0]
+        far.append(d)
+        nearest = np.minimum(nearest, d)
+        at = int(np.where(np.isfinite(nearest), nearest, -1).argmax())
+    table = np.array(far) if far else np.zeros((0, n))
+
+    def to(target: int):
+        with np.errstate(invalid="ignore"):
+            gap = np.abs(table - table[:, [target]])
+        low = np.where(np.isfinite(gap), gap, 0.0).max(0, initial=0.0) * (1 - 1e-12)
+        return low.tolist().__getitem__
+
+    return to
+
+
+def _line_bound(adj: Adjacency, pdf: pd.DataFrame):
     x, y = {}, {}
     for i, px, py in zip(pdf["a"], pdf["ax"], pdf["ay"], strict=True):
         x[i], y[i] = float(px), float(py)
@@ -315,8 +343,8 @@ def shortest(g: RoadGraph, pairs: DataFrame, weight: str = "len_dm", strategy: s
         strategy = "local" if largest <= LOCAL_EDGES else "distributed"
     if strategy == "local":
         return paths_local(g, pairs, weight)
-    if strategy == "astar":
-        return paths_local(g, pairs, weight, goal=True)
+    if strategy in ("astar", "landmarks"):
+        return paths_local(g, pairs, weight, "line" if strategy == "astar" else "landmarks")
     if strategy != "distributed":
         raise ValueError(f"unknown strategy {strategy}")
     sources = pairs.select("city_id", F.col("s").alias("source"))

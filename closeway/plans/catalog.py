@@ -278,6 +278,7 @@ def search_effort(s, d):
 TPATH = "SELECT city_id, pair_id, seq, vertex_id FROM tpath"
 simple(None, TPATH, "tpath", name="route_plain", of=lambda w: routing.plain(w.roads, w.trips_i).select("city_id", "pair_id", "seq", "vertex_id"))
 simple(None, TPATH, "tpath", name="route_astar", of=lambda w: routing.plain(w.roads, w.trips_i, "astar").select("city_id", "pair_id", "seq", "vertex_id"))
+simple(None, TPATH, "tpath", name="route_landmarks", of=lambda w: routing.plain(w.roads, w.trips_i, "landmarks").select("city_id", "pair_id", "seq", "vertex_id"))
 simple(ONE, "SELECT t.city_id, t.pair_id, round(r.cost, 4) AS cost FROM trip t JOIN rtree r ON r.city_id = t.city_id AND r.s = t.s AND r.v = t.t", "trip", "rtree", name="route_enriched", of=lambda w: rounded(measures.path_costs(routing.enriched(w.enriched, w.trips_i, "cost_100"), w.costs, "cost_100").select("city_id", "pair_id", F.col("c").alias("cost"))))
 for _shape in ("drawn", "box", "confocal"):
     simple(None, f"SELECT city_id, pair_id, poi_id, round(ds, 4) AS ds, round(dt, 4) AS dt FROM node_{_shape}", f"node_{_shape}", name="ellipse_pois" if _shape == "drawn" else f"ellipse_pois_{_shape}", of=lambda w, k=_shape: rounded(routing.ellipse_pois(routing.located(w.trips_i, w.base.vertices), w.places, k).drop("vertex_id")))

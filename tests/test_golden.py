@@ -139,7 +139,7 @@ def _square(spark):
     return graph.RoadGraph(v, e)
 
 
-@pytest.mark.parametrize("strategy", ["local", "distributed", "astar"])
+@pytest.mark.parametrize("strategy", ["local", "distributed", "astar", "landmarks"])
 def test_ties_take_the_smaller_predecessor(spark, strategy):
     pair = spark.createDataFrame([(0, "p", 0, 3), (0, "q", 0, 0)], "city_id int, pair_id string, s long, t long")
     rows = graph.shortest(_square(spark), pair, strategy=strategy).collect()
