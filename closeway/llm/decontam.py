@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import only, text_rows
+from .common import hand_back, only, text_rows
 
 SIZE = 10
 BLOCK = 2
@@ -164,6 +164,7 @@ def uncontaminated(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, text
                         t.search(words, spans, set())
                     clean.append(not spans)
                 yield batch.filter(pa.array(clean, pa.bool_()))
+            hand_back()
 
         return rows.mapInArrow(run, docs.schema)
 

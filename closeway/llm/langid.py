@@ -165,5 +165,6 @@ def recognised(docs: DataFrame, profiles: Profiles, text_col: str = "text") -> D
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             yield batch.filter(pa.array([judge(t.as_py(), profiles)[0] != UNKNOWN for t in batch.column(place)], pa.bool_()))
+        hand_back()
 
     return docs.mapInArrow(run, docs.schema)

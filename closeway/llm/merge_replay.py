@@ -23,12 +23,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bpe_words import memory, rounds, splitter
+from .bpe_words import REMEMBERED, memory, rounds, splitter
 from .common import hand_back, only
 
 NONE = np.int64(1 << 40)
 #: Characters of text whose new segments are encoded together.
 ROUND_CHARS = 8 << 20
+#: Segments remembered where the memory is emptied after each task.
+FORGOTTEN = 100_000
 
 
 def parse_ranks(lines: list[str]) -> dict[bytes, int]:
@@ -174,9 +176,9 @@ def read_ranks(path: str) -> list[str]:
 class Encoder:
     """Encodes texts; remembers each segment's ids as bytes."""
 
-    def __init__(self, ranks: list[str], pattern: str):
+    def __init__(self, ranks: list[str], pattern: str, most: int = REMEMBERED):
         key, self.merges = _ready(ranks)
-        self.split, self.memory = splitter(pattern), memory(f"replay-{key}")
+        self.split, self.memory = splitter(pattern), memory(f"replay-{key}-{most}", most)
         self.bytes_of = [self.merges.bytes_of.get(i, b"") for i in range(max(self.merges.bytes_of, default=-1) + 1)]
         self.digits_of = [b"%d" % i for i in range(len(self.bytes_of))]
 
@@ -212,7 +214,7 @@ def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: s
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = None
         for batch in batches:
-            encoder = encoder or Encoder(sent.value, pattern)
+            encoder = encoder or Encoder(sent.value, pattern, FORGOTTEN if forget else REMEMBERED)
             n, a, b, every = [], [], [], []
             for ids in encoder.encode([x or "" for x in batch.column(1).to_pylist()]):
                 listed = ids.tolist()
