@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.geo import distance
 from ..operators import closeness, extra, features, graph, measures, mixture, routing, text
-from ..session import table
+from ..session import sweep, table
 from ..sources import fixtures
 from ..streaming import photos as streams
 from . import oracles as O
@@ -31,8 +31,9 @@ def world(spark: SparkSession, sf_dir: str, **options) -> World:
 
 
 def forget() -> None:
-    """Drop the shared stages; the next query makes its own."""
+    """Drop the shared stages and their files; the next query makes its own."""
     _WORLDS.clear()
+    sweep()
 
 
 def query(final: str | None = None, *need: str, name: str | None = None):

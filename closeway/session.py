@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from typing import ClassVar
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -34,13 +35,16 @@ def cut(df: DataFrame) -> DataFrame:
 
 
 class Stored:
-    """A table written once as Parquet in the shared folder and read back; ``drop`` removes it."""
+    """A table written once as Parquet in the shared folder and read back; ``drop`` removes it, ``sweep`` removes all."""
+
+    live: ClassVar[dict[str, Stored]] = {}
 
     def __init__(self, df: DataFrame, name: str, *partition_by: str):
         spark = df.sparkSession
         self.spark, self.path = spark, f"{shared_dir(spark)}/closeway-{name}-{uuid.uuid4().hex}"
         df.write.partitionBy(*partition_by).parquet(self.path)
         self.schema = df.schema
+        Stored.live[self.path] = self
 
     @property
     def df(self) -> DataFrame:
@@ -51,6 +55,15 @@ class Stored:
         jvm = self.spark.sparkContext._jvm
         p = jvm.org.apache.hadoop.fs.Path(self.path)
         p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+        Stored.live.pop(self.path, None)
+
+
+def sweep() -> int:
+    """Remove every stored table of this process, once the results that read them have been written; gives their number."""
+    every = list(Stored.live.values())
+    for t in every:
+        t.drop()
+    return len(every)
 
 
 def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:

@@ -73,3 +73,15 @@ def test_texts_as_a_stream(spark, tmp_path):
 def test_html_to_text(spark):
     p = spark.createDataFrame([(1, "<p>A&nbsp;&amp; b</p><!-- x --><script>var a;</script><STYLE>p{}</STYLE> c")], "page_id long, html string")
     assert text.pages_to_text(p).first().text == "A & b c"
+
+
+def test_stored_tables_can_be_swept(spark):
+    from closeway.plans import catalog
+    from closeway.session import Stored, sweep
+
+    catalog.forget()  # its shared stages are stored tables too
+    t = Stored(spark.range(3), "some")
+    assert t.df.join(t.df, "id").count() == 3 and t.path in Stored.live
+    assert sweep() >= 1 and not Stored.live
+    with pytest.raises(Exception, match="PATH_NOT_FOUND|does not exist"):
+        t.df.count()
