@@ -82,9 +82,8 @@ BLOCKS |= {
     # Two components by a fixed rule: the single one's mean moved half a deviation either way, half the weight each.
     "two": (("one",), """SELECT rel_id, m, 0.5 AS weight, mu_d + (1 - 2 * m) * 0.5 * sqrt(s_dd) AS mu_d, mu_o + (1 - 2 * m) * 0.5 * sqrt(s_oo) AS mu_o, 0.75 * s_dd AS s_dd, 0.5 * s_do AS s_do, 0.75 * s_oo AS s_oo FROM one, (VALUES (0), (1)) t(m)"""),
     "term": (("two", "vec"), f"SELECT vec.*, m, ln(weight) + {log_gauss('two')} AS t FROM vec JOIN two USING (rel_id)"),
-    "logp": (("term",), "SELECT city_id, rel_id, pi, pj, dist, theta, w, max(t) + ln(sum(exp(t - mt))) AS log_p FROM (SELECT *, max(t) OVER (PARTITION BY city_id, rel_id, pi, pj) AS mt FROM term) GROUP BY ALL HAVING TRUE"),
+    "logp": (("term",), "SELECT city_id, rel_id, pi, pj, dist, theta, w, max(mt) + ln(sum(exp(t - mt))) AS log_p FROM (SELECT *, max(t) OVER (PARTITION BY city_id, rel_id, pi, pj) AS mt FROM term) GROUP BY city_id, rel_id, pi, pj, dist, theta, w"),
 }
-BLOCKS["logp"] = (("term",), "SELECT city_id, rel_id, pi, pj, dist, theta, w, max(mt) + ln(sum(exp(t - mt))) AS log_p FROM (SELECT *, max(t) OVER (PARTITION BY city_id, rel_id, pi, pj) AS mt FROM term) GROUP BY city_id, rel_id, pi, pj, dist, theta, w")
 
 
 def em_round(model: str, out: str) -> dict[str, tuple[tuple[str, ...], str]]:
