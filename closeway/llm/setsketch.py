@@ -36,10 +36,11 @@ from .common import hand_back, only, text_rows
 from .components import components
 
 WORDS = 5
-#: Sketch parameters: base, rate, largest value; bands of so many registers.
+#: Sketch parameters: base, rate, largest value, length.
 BASE, RATE, TOP = 1.001, 20.0, (1 << 16) - 2
-BANDS, WIDTH = 20, 5
-REGISTERS = BANDS * WIDTH
+REGISTERS = 100
+#: Largest share of pairs right at the bound that may have no band in common.
+MISSED = 1e-5
 SLACK = 5.0
 #: Members of a bucket compared in one block.
 BLOCK = 1500
@@ -114,6 +115,14 @@ def bound_of(percent: int) -> float:
     return j - SLACK * float(np.sqrt(j * (1 - j) / REGISTERS))
 
 
+def banding(percent: int) -> tuple[int, int]:
+    """(bands, registers in each): the widest bands of which pairs at the bound share one but for ``MISSED``."""
+    j = percent / 100
+    widths = [w for w in range(1, REGISTERS + 1) if REGISTERS % w == 0 and (1 - j**w) ** (REGISTERS // w) <= MISSED]
+    width = max(widths, default=1)
+    return REGISTERS // width, width
+
+
 SKETCH = "doc_id long, n_shingles long, key binary, regs binary"
 
 
@@ -134,17 +143,18 @@ def sketches(docs: DataFrame) -> DataFrame:
     return docs.mapInArrow(run, SKETCH)
 
 
-def bands(reps: DataFrame) -> DataFrame:
+def bands(reps: DataFrame, percent: int) -> DataFrame:
     """(h, band, id) per band of each representative; h hashes the band's place and values."""
+    many, width = banding(percent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                r = np.frombuffer(b"".join(batch.column(1).to_pylist()), np.uint16).reshape(-1, BANDS, WIDTH).astype(np.uint64)
-                h = np.arange(1, BANDS + 1, dtype=np.uint64)[None, :] * POLY
-                for k in range(WIDTH):
+                r = np.frombuffer(b"".join(batch.column(1).to_pylist()), np.uint16).reshape(-1, many, width).astype(np.uint64)
+                h = np.arange(1, many + 1, dtype=np.uint64)[None, :] * POLY
+                for k in range(width):
                     h = mixed(h * POLY + r[:, :, k])
-                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64).ravel()), pa.array(np.tile(np.arange(BANDS, dtype=np.int32), len(r))), pa.array(np.repeat(batch.column(0).to_numpy(), BANDS))], ["h", "band", "id"])
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64).ravel()), pa.array(np.tile(np.arange(many, dtype=np.int32), len(r))), pa.array(np.repeat(batch.column(0).to_numpy(), many))], ["h", "band", "id"])
 
     return reps.select("id", "regs").mapInArrow(run, "h long, band int, id long")
 
@@ -191,7 +201,7 @@ def confirmed(pairs: DataFrame, texts: DataFrame, percent: int) -> DataFrame:
 def _hopeful(regs: np.ndarray, n: np.ndarray, r: int, others: np.ndarray, band: int, percent: int) -> np.ndarray:
     """Of ``others`` those whose first common band with row r is this one and whose estimate reaches the bound."""
     equal = regs[others] == regs[r]
-    first = equal.reshape(-1, BANDS, WIDTH).all(2).argmax(1) == band
+    first = equal.reshape(-1, *banding(percent)).all(2).argmax(1) == band
     others, equal = others[first], equal[first]
     same = equal.sum(1)
     some = same >= (bound_of(percent) - 0.1) * REGISTERS
@@ -307,7 +317,7 @@ class NearDuplicates:
         self.classes = Stored(classes, "classes")
         alone = self.sketches.df.select(F.col("doc_id").alias("id"), F.col("key").alias("_k"), F.col("n_shingles").alias("n"), "regs")
         picked = self.classes.df.join(alone, "id").where("key = _k").select("id", "n", "regs")
-        banded = bands(picked)
+        banded = bands(picked, percent)
         many = banded.groupBy("h").agg(F.min("id").alias("lead"), F.max("id").alias("last"), F.min_by("id", F.xxhash64("id")).alias("second")).where("lead < last")
         buckets = Stored(banded.join(many, "h").select("h", "band", "id", "lead", "second").distinct(), "buckets")
         members = cut(buckets.df.select("id").distinct())

@@ -321,6 +321,25 @@ def test_near_duplicates_against_brute_force(spark, monkeypatch):
     assert kept == {i for i in texts if groups[i] == i}
 
 
+def test_pipeline_stage_joins_copies_alike_by_080(spark, small_dir):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    rng, texts = random.Random(21), near_copies(22, 30, 200)
+    for _ in range(60):  # four changes far apart: 176 of 216 shingles in common
+        base = [rng.choice(WORDS) + str(rng.randint(0, 50)) for _ in range(200)]
+        texts += [" ".join(base), " ".join(f"new{rng.random()}" if k in (30, 70, 110, 150) else w for k, w in enumerate(base))]
+    texts = dict(enumerate(texts))
+    d = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    kept = {r.doc_id for r in dict(pipeline.STAGES)["near_dedup"](spark, d, small_dir).collect()}
+    _, groups = brute_groups(texts, 80)
+    assert kept == {i for i in texts if groups[i] == i} and len(kept) < len(set(brute_groups(texts)[1].values()))
+
+
+def test_bands_miss_few_pairs_at_the_bound():
+    for percent in (70, 80, 85, 90):
+        many, width = setsketch.banding(percent)
+        assert many * width == setsketch.REGISTERS and (1 - (percent / 100) ** width) ** many <= 1e-5
+
+
 def test_near_duplicate_estimate():
     rng = np.random.default_rng(10)
     for j in (0.5, 0.85, 0.95):
