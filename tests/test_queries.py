@@ -79,6 +79,13 @@ def test_settings_have_all_points(spark, small_dir):
     assert q["tradeoff"](spark, small_dir).count() > 0
 
 
+def test_search_effort_counts_all_trip_starts(spark, small_dir):
+    trips = catalog.world(spark, small_dir).trips_i
+    rows = catalog.queries()["search_effort"](spark, small_dir).toPandas().sort_values("round")["frontier_rows"]
+    edges = graph.arcs(catalog.world(spark, small_dir).roads).select("city_id", F.col("a").alias("s"), "b").distinct()
+    assert rows.iloc[0] == trips.select("city_id", "s").distinct().join(edges, ["city_id", "s"]).count() and rows.iloc[-1] == 0
+
+
 def test_streams_finish(spark, small_dir):
     q = catalog.queries()
     assert q["stream_sliding_photos"](spark, small_dir).agg(F.sum("photos")).first()[0] == 4 * spark.read.parquet(f"{small_dir}/events.parquet").count()
