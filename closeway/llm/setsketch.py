@@ -16,7 +16,7 @@ similarity.
 
 Defined results: null and wordless texts have an empty set, are linked with nothing and kept; fewer words than a
 shingle make one shingle of them all; rows with a null id are linked with nothing and have a null component; rows that
-repeat an id share its component.
+repeat an id are told apart by their sets, and of a group's sets with its smallest id the smallest key's is kept.
 """
 
 from __future__ import annotations
@@ -30,6 +30,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType, StructField, StructType
 
 from ..session import Stored, cut, small
 from .common import hand_back, only, text_rows
@@ -289,7 +290,7 @@ def rest(buckets: DataFrame, reps: DataFrame, texts: DataFrame, percent: int, bl
 
 
 def class_texts(rows: DataFrame, classes: DataFrame) -> DataFrame:
-    """(id, text): each class's text from rows of (doc_id, text); of rows that repeat an id, one that has the class's set."""
+    """(id, text): each class's text by its node, from rows of (doc_id, text); of rows that repeat an id, one that has the class's set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, texts in text_rows(batches):
@@ -297,7 +298,20 @@ def class_texts(rows: DataFrame, classes: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(key, pa.binary())], ["doc_id", "text", "_k"])
 
     keyed = rows.select("doc_id", "text").where("text is not null").mapInArrow(run, "doc_id long, text string, _k binary")
-    return keyed.join(classes, (F.col("id") == F.col("doc_id")) & (F.col("key") == F.col("_k"))).select("id", "text").dropDuplicates(["id"])
+    return keyed.join(classes, (F.col("id") == F.col("doc_id")) & (F.col("key") == F.col("_k"))).select(F.col("node").alias("id"), "text").dropDuplicates(["id"])
+
+
+def with_key(docs: DataFrame, text_col: str) -> DataFrame:
+    """All rows and columns, and _set_key: the text's set key, null for an empty set."""
+    place = docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingles(t.encode()) if t else () for t in batch.column(place).to_pylist()]
+            keys = [xxhash.xxh3_128_digest(x.tobytes()) if len(x) else None for x in sets]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(keys, pa.binary())], [*batch.schema.names, "_set_key"])
+
+    return docs.mapInArrow(run, StructType([*docs.schema.fields, StructField("_set_key", BinaryType())]))
 
 
 def _labelled(t: DataFrame, roots: DataFrame | None, column: str = "id") -> DataFrame:
@@ -314,15 +328,20 @@ class NearDuplicates:
         rows = only(docs, doc_id=id_col, text=text_col).withColumn("doc_id", F.col("doc_id").cast("long"))
         self.sketches = Stored(sketches(rows), "sketches")
         classes = self.sketches.df.where("key is not null and doc_id is not null").groupBy("key").agg(F.min("doc_id").alias("id"))
-        self.classes = Stored(classes, "classes")
+        self.again = cut(self.sketches.df.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias("_again")))
+        self.repeats = not self.again.isEmpty()
+        self.classes = Stored(_nodes(classes) if self.repeats else classes.withColumn("node", F.col("id")), "classes")
         alone = self.sketches.df.select(F.col("doc_id").alias("id"), F.col("key").alias("_k"), F.col("n_shingles").alias("n"), "regs")
-        picked = self.classes.df.join(alone, "id").where("key = _k").select("id", "n", "regs")
+        picked = self.classes.df.join(alone, "id").where("key = _k").select(F.col("node").alias("id"), "n", "regs")
         banded = bands(picked, percent)
         many = banded.groupBy("h").agg(F.min("id").alias("lead"), F.max("id").alias("last"), F.min_by("id", F.xxhash64("id")).alias("second")).where("lead < last")
         buckets = Stored(banded.join(many, "h").select("h", "band", "id", "lead", "second").distinct(), "buckets")
         members = cut(buckets.df.select("id").distinct())
         reps = Stored(picked.join(small(members, SENT_IDS), "id").dropDuplicates(["id"]), "reps")
-        texts = Stored(class_texts(rows.join(small(members.withColumnRenamed("id", "doc_id"), SENT_IDS), "doc_id"), self.classes.df), "texts")
+        named = members.withColumnRenamed("id", "doc_id")
+        if self.repeats:
+            named = cut(self.classes.df.join(members.withColumnRenamed("id", "node"), "node").select(F.col("id").alias("doc_id")).distinct())
+        texts = Stored(class_texts(rows.join(small(named, SENT_IDS), "doc_id"), self.classes.df), "texts")
         links, roots = None, None
         for leader in ("lead", "second"):
             labelled = buckets.df.select("h", "id", F.col(leader).alias("with"))
@@ -340,28 +359,50 @@ class NearDuplicates:
             roots = cut(components(Stored(links, "links").df))
         self.roots = roots
 
-    def result(self) -> DataFrame:
-        """(doc_id, n_shingles, component_id, kept) of every row."""
-        named = _labelled(self.classes.df, self.roots).select(F.col("key").alias("_k"), "comp")
+    def marked(self) -> DataFrame:
+        """(doc_id, key, n_shingles, component_id, kept) of every row."""
+        named = _labelled(self.classes.df, self.roots, "node").select(F.col("key").alias("_k"), "id", "comp")
+        if self.repeats:  # a node may be no id: the component has its smallest id, and that id's smallest set
+            first = named.groupBy("comp").agg(F.min(F.struct("id", "_k")).alias("first"))
+            named = named.join(first, "comp").select("_k", F.col("first.id").alias("comp"), ((F.col("first._k") == F.col("_k")) | (F.col("first.id") != F.col("id"))).alias("own"))
+        else:
+            named = named.select("_k", "comp", F.lit(True).alias("own"))
         s = self.sketches.df.select("doc_id", "n_shingles", "key")
         linked = s.join(named, F.col("key") == F.col("_k"), "left")
         component = F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "doc_id"))
-        return linked.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
+        kept = F.coalesce((F.col("doc_id") == component) & F.coalesce("own", F.lit(True)), F.lit(True))
+        return linked.select("doc_id", "key", "n_shingles", component.alias("component_id"), kept.alias("kept"))
+
+    def result(self) -> DataFrame:
+        """(doc_id, n_shingles, component_id, kept) of every row."""
+        return self.marked().drop("key")
+
+
+def _nodes(classes: DataFrame) -> DataFrame:
+    """Classes (key, id) with a node each: the id, or a number above all ids where a class of a smaller key has the id."""
+    c = cut(classes)
+    first = c.groupBy("id").agg(F.min("key").alias("_first"))
+    top = c.agg(F.max("id")).first()[0] or 0
+    more = cut(c.join(first, "id").where("key <> _first").select(F.col("key").alias("_k"), (F.lit(top) + 1 + F.monotonically_increasing_id()).alias("_node")))
+    return c.join(more, F.col("key") == F.col("_k"), "left").select("key", "id", F.coalesce("_node", "id").alias("node"))
 
 
 def deduplicated(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row of each group with all its columns: that of the group's smallest id; rows without links all stay.
 
-    Of rows that repeat both id and set, one stays.
+    Of rows that repeat both id and set, one stays; rows that repeat an id with other sets go or stay by their own set.
     """
     found = NearDuplicates(docs, percent, id_col, text_col)
-    gone = found.result().where("not kept").select(F.col("doc_id").alias("_gone")).distinct()
-    left = docs.join(small(gone, SENT_IDS), F.col(f"`{id_col}`") == F.col("_gone"), "left_anti")
-    twice = cut(found.sketches.df.where("doc_id is not null").groupBy("doc_id", "key").count().where("count > 1").select(F.col("doc_id").alias("_twice")).distinct())
-    if twice.isEmpty():
-        return left
-    again = F.col(f"`{id_col}`") == F.col("_twice")
-    return left.join(twice, again, "left_anti").unionByName(left.join(twice, again, "left_semi").dropDuplicates([id_col, text_col]))
+    gone = found.marked().where("not kept").select(F.col("doc_id").alias("_gone"), "key")
+    own = F.col(f"`{id_col}`")
+    if not found.repeats:
+        return docs.join(small(gone.select("_gone").distinct(), SENT_IDS), own == F.col("_gone"), "left_anti")
+    once = docs.join(found.again, own == F.col("_again"), "left_anti").join(small(gone.select("_gone").distinct(), SENT_IDS), own == F.col("_gone"), "left_anti")
+    gone_sets = gone.select("_gone", F.col("key").alias("_gone_key")).distinct()
+    rows = with_key(docs.join(found.again, own == F.col("_again"), "left_semi"), text_col)
+    rows = rows.join(gone_sets, (own == F.col("_gone")) & (F.col("_set_key") == F.col("_gone_key")), "left_anti")
+    empty, full = rows.where("_set_key is null").dropDuplicates([id_col, text_col]), rows.where("_set_key is not null").dropDuplicates([id_col, "_set_key"])
+    return once.unionByName(empty.unionByName(full).drop("_set_key"))
 
 
 ORACLE = r"""

@@ -364,6 +364,22 @@ def test_near_duplicates_dirty(dirty, nothing):
     assert setsketch.NearDuplicates(nothing).result().count() == 0 and setsketch.deduplicated(nothing).count() == 0
 
 
+def test_rows_that_repeat_an_id_go_by_their_own_set(spark):
+    rng = random.Random(23)
+    one, two, three = ([rng.choice(WORDS) + str(rng.randint(0, 50)) for _ in range(200)] for _ in range(3))
+    near = lambda w: " ".join(["other", *w[1:]])
+    one_text, two_text, three_text = map(" ".join, (one, two, three))
+    rows = [(1, one_text), (5, near(one)), (5, two_text), (5, three_text), (6, near(two)), (7, near(three)), (5, three_text.upper()), (5, None), (9, near(two))]
+    d = spark.createDataFrame(rows, "doc_id int, text string")
+    for percent in (85, 80):
+        kept = sorted((r.doc_id, (r.text or "").lower()) for r in setsketch.deduplicated(d, percent).collect())
+        assert kept == sorted([(1, one_text), (5, two_text), (5, three_text), (5, "")])
+    got = {(r.doc_id, r.component_id, r.kept) for r in setsketch.NearDuplicates(d).result().collect()}
+    assert {(1, 1, True), (5, 1, False), (5, 5, True), (6, 5, False), (7, 5, False), (9, 5, False)} == got
+    same = spark.createDataFrame([(3, two_text), (3, near(two)), (4, one_text)], d.schema)
+    assert [r.doc_id for r in setsketch.deduplicated(same).orderBy("doc_id").collect()] == [3, 4]
+
+
 def test_components_of_paths_and_stars(spark):
     edges = [(i, i + 1) for i in range(100, 160)] + [(7, k) for k in range(8, 30)] + [(500, 3), (500, 501), (3, 3)]
     got = {r.v: r.p for r in components.components(spark.createDataFrame(edges, "a long, b long")).collect()}
