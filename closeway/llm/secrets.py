@@ -2,8 +2,8 @@
 
 Candidates are maximal runs of token characters. A window slides over each run; the counts of its characters and
 their sum of c*log2(c) are updated by one character in and one out, so each step costs the same whatever the
-window's length. Every character class has its own threshold in bits. Windows over it are joined to spans; the
-allow-list and spans that the fixed patterns already have suppress them.
+window's length. Every character class has its own threshold in bits. Windows over it are joined to spans; without
+a digit a window needs more bits. The allow-list, place holders and spans that the fixed patterns already have suppress them.
 
 Defined results: a null text counts as empty and has no spans; a text is scanned whole at any length; repeated rows
 are scanned each; an empty table gives no rows. Offsets are code points, the end exclusive.
@@ -29,19 +29,22 @@ HEX = re.compile(r"[0-9a-f]{24,}")
 ASSIGN_LEAST, ACCESS_LEAST = 6, 20
 KEYWORDS = ("password", "passwd", "secret", "token", "api_key", "apikey")
 BASE_KINDS = ("assign", "access", "hex")
-KINDS = (*BASE_KINDS, "hexentropy", "entropy")
+KINDS = (*BASE_KINDS, "hexentropy", "entropy", "letters")
 
 WINDOW = 20
 RUN = re.compile(r"[A-Za-z0-9+/_=-]{%d,}" % WINDOW)
 HEX_RUN = re.compile(r"[0-9A-Fa-f-]+")
-#: Bits a window needs, by class: hexadecimal digits, or the wider token alphabet.
-BITS = {"hexentropy": 3.0, "entropy": 3.85}
-#: Strings that look random and are not secret: version-style ids of the UUID form, place holders, paths of words, rulers.
+#: Bits a window needs, by class: hexadecimal digits, the wider token alphabet, or that alphabet without a digit.
+BITS = {"hexentropy": 3.0, "entropy": 3.85, "letters": 3.95}
+#: Runs that look random and are not secret: version-style ids of the UUID form, paths of words.
 ALLOW = (
     r"[0-9A-Fa-f]{8}-[0-9A-Fa-f]{4}-[0-9A-Fa-f]{4}-[0-9A-Fa-f]{4}-[0-9A-Fa-f]{12}",
-    r"(?i:.*(example|sample|placeholder|changeme|dummy).*)",
-    r"/?([A-Za-z]+[/_-])+[A-Za-z]+",
+    r"[/_=-]*(?:(?:[A-Z]?[a-z]+|[A-Z]+)[/_=-]+)+(?:[A-Z]?[a-z]+|[A-Z]+)?",
 )
+#: Place holders suppress the span that holds them; as a name before ``=`` or a word of their own they are only left out.
+HOLDER = re.compile(r"(?i)example|sample|placeholder|changeme|dummy")
+LABEL = re.compile(r"(?i)(?<![A-Z0-9+])(?:example|sample|placeholder|changeme|dummy)(?![A-Z0-9+])")
+FIELD = re.compile(r"[^=]+=*|=+")
 
 
 @lru_cache(maxsize=8)
@@ -78,6 +81,32 @@ def mixed(piece: str) -> bool:
     return any(c.isdigit() for c in piece) and any(c.isalpha() for c in piece)
 
 
+def stretches(run: str) -> list[tuple[int, int]]:
+    """Parts of a run between names and words that mark place holders."""
+    if not HOLDER.search(run):
+        return [(0, len(run))]
+    out, at = [], 0
+    for m in FIELD.finditer(run):
+        name = m[0].endswith("=") and m.end() < len(run) and HOLDER.search(m[0])
+        for lo, hi in [m.span()] if name else [(m.start() + w.start(), m.start() + w.end()) for w in LABEL.finditer(m[0])]:
+            out.append((at, lo))
+            at = hi
+    return [(lo, hi) for lo, hi in (*out, (at, len(run))) if hi - lo >= WINDOW]
+
+
+def hot_spans(run: str) -> list[tuple[int, int, str]]:
+    """(start, end, kind) of a run's parts of high entropy; a part without a digit must reach its own bound, one without a letter is no secret."""
+    kind, out = "hexentropy" if HEX_RUN.fullmatch(run) else "entropy", []
+    for start, end in stretches(run):
+        for lo, hi in hot_windows(run[start:end], BITS[kind]):
+            lo, hi = start + lo, start + hi
+            if mixed(run[lo:hi]):
+                out.append((lo, hi, kind))
+            elif any(c.isalpha() for c in run[lo:hi]):
+                out += [(lo + a, lo + b, "letters") for a, b in hot_windows(run[lo:hi], BITS["letters"])]
+    return [(lo, hi, k) for lo, hi, k in out if not HOLDER.search(run, lo, hi)]
+
+
 def base_spans(text: str) -> list[tuple[int, int, str]]:
     out = []
     low = text.lower()
@@ -96,12 +125,11 @@ def spans_of(text: str, allow: tuple[str, ...] = ALLOW) -> tuple[list, list]:
     more = []
     for m in RUN.finditer(text):
         run, at = m[0], m.start()
-        if not mixed(run) or _allowed(allow).fullmatch(run):
+        if _allowed(allow).fullmatch(run):
             continue
-        kind = "hexentropy" if HEX_RUN.fullmatch(run) else "entropy"
-        for lo, hi in hot_windows(run, BITS[kind]):
+        for lo, hi, kind in hot_spans(run):
             a, b = at + lo, at + hi
-            if mixed(run[lo:hi]) and not any(s <= a and b <= e for s, e, _ in base):
+            if not any(s <= a and b <= e for s, e, _ in base):
                 more.append((a, b, kind))
     return base, sorted(base + more, key=key)
 

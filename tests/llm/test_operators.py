@@ -452,6 +452,15 @@ def test_secret_spans():
     assert "Zq3x" not in secrets.redact(t) and secrets.redact(t).count("[SECRET]") == 4 and secrets.redact("plain words only") == "plain words only"
 
 
+def test_secrets_without_digits_and_beside_place_holders():
+    found = lambda t: [(k, t[s:e]) for s, e, k in secrets.spans_of(t)[1]]
+    letters, key = "QwZxErTyUiOpAsDfGhJkLm", "Zq3xV9tL0pWm7RkB2cYd5"
+    assert found(f"x {letters} y") == [("letters", letters)] and secrets.redact(letters) == "[SECRET]"
+    assert found(f"sample_key={key}") == [("entropy", key)] and found(f"sample/{key}")[0][1].endswith(key)
+    for t in ("key=EXAMPLE3xV9tL0pWm7RkB2cYd5", "example_tok=abc123", "com/usr/local/share/things/", "getElementByIdentifierNameFromWindow", "2024-01-02-03-04-05-06-07", "the-quick-brown-fox-jumps-over-lazy"):
+        assert found(t) == []
+
+
 def test_secrets_query_and_dirty(spark, small_dir, docs, dirty, nothing):
     p = catalog.op9_secrets(spark, small_dir).toPandas().set_index("doc_id")
     for r in docs.itertuples():
