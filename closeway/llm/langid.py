@@ -159,12 +159,17 @@ def predict(docs: DataFrame, profiles: Profiles, id_col: str = "doc_id", text_co
 
 
 def recognised(docs: DataFrame, profiles: Profiles, text_col: str = "text") -> DataFrame:
-    """The rows, with all their columns, whose text some profile recognises; text without a letter is rejected."""
+    """The rows, with all their columns, whose text has a letter: the nearest profile recognises it at any distance.
+
+    Where nothing was learned no text is judged, and those with a letter stay as well.
+    """
     place = docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield batch.filter(pa.array([judge(t.as_py(), profiles)[0] != UNKNOWN for t in batch.column(place)], pa.bool_()))
+            texts = (t.as_py() for t in batch.column(place))
+            keep = [judge(t, profiles)[0] != UNKNOWN if profiles.langs else len(grams(t)[0]) > 0 for t in texts]
+            yield batch.filter(pa.array(keep, pa.bool_()))
         hand_back()
 
     return docs.mapInArrow(run, docs.schema)

@@ -508,6 +508,13 @@ def test_splitter_search(spark):
 # ---- the pipeline
 
 
+def test_pipeline_keeps_texts_where_no_language_was_learned(spark, small_dir):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    rows = [(i, t, None, None, 0) for i, t in enumerate(["some words", "12 34", None, "", "été", "x1"])]
+    d = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    assert {r.doc_id for r in dict(pipeline.STAGES)["language_id"](spark, d, small_dir).collect()} == {0, 4, 5}
+
+
 def test_pipeline_stages(spark, small_dir, docs):
     pipeline = pytest.importorskip("corpus_pipeline")
     d = spark.read.parquet(f"{small_dir}/documents.parquet")
