@@ -6,8 +6,11 @@ its positions that still hold, and only the pairs with touched neighbours enter
 always merges its pair of least rank first, as the ranks ask. Should a merge make a pair of lower rank while a
 further place of the same merge lies in that word, the word is encoded alone instead, one merge at a time.
 
-The words of a batch of rows are encoded together, each distinct word once per worker memory; so the index is as large
-as a batch's new words, never as the corpus.
+The words of a run of rows are encoded together, each distinct word once per worker memory; so the index is as large
+as a run's new words, never as the corpus.
+
+Defined results: a null text is encoded as the empty text; null ids stay null; repeated rows each get a row; texts of any
+length are encoded whole; of equal pairs in a word the leftmost is merged first; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -17,18 +20,22 @@ import heapq
 import hashlib
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bpe_words import REMEMBERED, memory, rounds, splitter
+from .bpe_words import REMEMBERED, memory, splitter
 from .common import hand_back, only
 
 NONE = np.int64(1 << 40)
-#: Characters of text whose new segments are encoded together.
-ROUND_CHARS = 8 << 20
+#: Bytes of text whose new segments are encoded together; every replay walks all ranks that occur, so few long ones are cheaper.
+TOGETHER_BYTES = 32 << 20
+#: Rows in a batch of results.
+ROWS_OUT = 1000
 #: Segments remembered where the memory is emptied after each task.
 FORGOTTEN = 100_000
 
@@ -58,19 +65,36 @@ class Merges:
 
     def rank(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         """Rank of each pair of ids, NONE where the vocabulary has no joined token."""
-        key = left << 20 | right
+        key = left.astype(np.int64) << 20 | right
         at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
         return np.where(self.keys[at] == key, self.made[at], NONE)
 
     def alone(self, word: bytes) -> list[int]:
-        """One word, one merge at a time: the leftmost pair of least rank."""
-        parts = [word[i : i + 1] for i in range(len(word))]
-        while len(parts) > 1:
-            best = min((self.ranks.get(a + b, 1 << 40), i) for i, (a, b) in enumerate(zip(parts, parts[1:], strict=False)))
-            if best[0] == 1 << 40:
-                break
-            parts[best[1] : best[1] + 2] = [parts[best[1]] + parts[best[1] + 1]]
-        return [self.ranks[p] for p in parts]
+        """One word, one merge at a time: the leftmost pair of least rank, from a heap of pairs."""
+        n = len(word)
+        parts: list[bytes | None] = [word[i : i + 1] for i in range(n)]
+        nxt, prv = list(range(1, n + 1)), list(range(-1, n - 1))
+        heap: list[tuple[int, int, bytes]] = []
+
+        def enter(i: int) -> None:
+            if i >= 0 and nxt[i] < n:
+                both = parts[i] + parts[nxt[i]]
+                if both in self.ranks:
+                    heapq.heappush(heap, (self.ranks[both], i, both))
+
+        for i in range(n):
+            enter(i)
+        while heap:
+            _, i, both = heapq.heappop(heap)
+            if parts[i] is None or nxt[i] >= n or parts[i] + parts[nxt[i]] != both:
+                continue  # touched since
+            gone = nxt[i]
+            parts[i], parts[gone], nxt[i] = both, None, nxt[gone]
+            if nxt[i] < n:
+                prv[nxt[i]] = i
+            enter(prv[i])
+            enter(i)
+        return [self.ranks[p] for p in parts if p is not None]
 
     def replay(self, words: list[bytes]) -> list[np.ndarray]:
         """Ids of each word."""
@@ -78,18 +102,18 @@ class Merges:
         total = int(sizes.sum())
         if not total:
             return [np.empty(0, np.int64) for _ in words]
-        sym = self.single[np.frombuffer(b"".join(words), np.uint8)]
-        word = np.repeat(np.arange(len(words)), sizes)
+        sym = self.single[np.frombuffer(b"".join(words), np.uint8)].astype(np.int32)
+        word = np.repeat(np.arange(len(words), dtype=np.int32), sizes)
         # Links past a word's ends lead to the last place, whose symbol is in no pair.
         end = total
-        sym = np.append(sym, np.int64(1 << 19))
+        sym = np.append(sym, np.int32(1 << 19))
         last = np.cumsum(sizes) - 1
-        nxt = np.arange(1, total + 2)
+        nxt = np.arange(1, total + 2, dtype=np.int32)
         nxt[last[sizes > 0]] = end
         nxt[end] = end
-        prv = np.arange(-1, total)
+        prv = np.arange(-1, total, dtype=np.int32)
         prv[(last - sizes + 1)[sizes > 0]] = end
-        prv = np.append(prv, end)
+        prv = np.append(prv, np.int32(end))
         alive = np.ones(total + 1, bool)
         index: dict[int, list[np.ndarray]] = {}
         queue: list[int] = []
@@ -182,17 +206,12 @@ class Encoder:
         self.bytes_of = [self.merges.bytes_of.get(i, b"") for i in range(max(self.merges.bytes_of, default=-1) + 1)]
         self.digits_of = [b"%d" % i for i in range(len(self.bytes_of))]
 
-    def _encode(self, segments: list[str]) -> list[bytes]:
-        split = [self.split(x) for x in segments]
-        pieces = list(set().union(*split))
-        known = dict(zip(pieces, [x.astype("<u4").tobytes() for x in self.merges.replay([p.encode("utf-8", "surrogatepass") for p in pieces])], strict=True))
-        return [known[x[0]] if len(x) == 1 else b"".join([known[p] for p in x]) for x in split]
+    def _encode(self, pieces: list[str]) -> list[bytes]:
+        return [x.astype("<u4").tobytes() for x in self.merges.replay([p.encode("utf-8", "surrogatepass") for p in pieces])]
 
-    def encode(self, texts: list[str]) -> Iterator[np.ndarray]:
-        """The ids of each text."""
-        for part in rounds(texts, ROUND_CHARS):
-            for forms in self.memory.forms(part, self.split, self._encode):
-                yield np.frombuffer(b"".join(forms), "<u4")
+    def encode(self, texts: pa.Array) -> Iterator[np.ndarray]:
+        """The ids of each text (null: none)."""
+        return self.memory.ids(pc.fill_null(texts, ""), self.split, self._encode, TOGETHER_BYTES)
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, ids))
@@ -201,6 +220,19 @@ class Encoder:
         return b",".join(map(self.digits_of.__getitem__, ids))
 
 
+def together(batches: Iterator[pa.RecordBatch], most: int, column: int = 1) -> Iterator[pa.RecordBatch]:
+    """The batches put together until their texts have about so many bytes."""
+    held, size = [], 0
+    for batch in batches:
+        held.append(batch)
+        size += batch.column(column).nbytes
+        if size >= most:
+            yield pa.concat_batches(held)
+            held, size = [], 0
+    if size:
+        yield pa.concat_batches(held)
+
+
 def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False, forget: bool = False) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256[, ids]) of every row; a null text is encoded as empty.
 
@@ -213,18 +245,24 @@ def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: s
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = None
-        for batch in batches:
+        for batch in together(batches, TOGETHER_BYTES):
             encoder = encoder or Encoder(sent.value, pattern, FORGOTTEN if forget else REMEMBERED)
-            n, a, b, every = [], [], [], []
-            for ids in encoder.encode([x or "" for x in batch.column(1).to_pylist()]):
-                listed = ids.tolist()
-                n.append(len(listed))
-                a.append(hashlib.sha256(encoder.digits(listed)).hexdigest())
-                b.append(hashlib.sha256(encoder.decode(listed)).hexdigest())
+            ids = encoder.encode(batch.column(1))
+            for lo in range(0, batch.num_rows, ROWS_OUT):
+                doc = batch.column(0).slice(lo, ROWS_OUT)
+                n, a, b, every = [], [], [], []
+                for one in islice(ids, len(doc)):
+                    listed = one.tolist()
+                    n.append(len(listed))
+                    a.append(hashlib.sha256(encoder.digits(listed)).hexdigest())
+                    b.append(hashlib.sha256(encoder.decode(listed)).hexdigest())
+                    if with_ids:
+                        every.append(one)
+                cols = [doc.cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
                 if with_ids:
-                    every.append(ids.astype(np.int32))
-            cols = [batch.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())]
-            yield pa.RecordBatch.from_arrays(cols + [pa.array(every, pa.list_(pa.int32()))] * with_ids, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids)
+                    flat = np.concatenate(every).astype(np.int32)
+                    cols.append(pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(n))), pa.int32()), pa.array(flat)))
+                yield pa.RecordBatch.from_arrays(cols, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] + ["ids"] * with_ids)
         if forget and encoder:
             encoder.memory.clear()
         hand_back()

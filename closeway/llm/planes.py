@@ -10,6 +10,9 @@ and a table of documents gives ids and lengths. Layout, little-endian:
     footer: u64 place and u32 length of the index, u64 place and u32 length of the documents, u64 ids, u32 ids in a
     block, u64 documents, u32 crc32 of all before the footer, magic.
 
+Defined results: null texts are empty; null ids come first; rows that repeat an id are each a document, in the order of
+a hash of their texts; texts of any length are encoded whole; an empty table gives no files and no rows.
+
 Rows are dealt by sampled ranges of the id, sorted within each range, and each range becomes a run of files of
 bounded size. The files are rows of one Parquet table in the shared folder, for only Spark reaches every store;
 ``export`` writes them out as plain files.
@@ -18,6 +21,7 @@ bounded size. The files are rows of one Parquet table in the shared folder, for
 from __future__ import annotations
 
 import os
+import re
 import struct
 import zlib
 from array import array
@@ -25,14 +29,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import Stored
-from .bpe_words import memory, rounds, splitter
-from .common import only
+from .bpe_words import memory, splitter
+from .common import hand_back, only
 
 MAGIC = b"CWPLN1"
 FOOT = struct.Struct("<QIQIQIQI6s")
@@ -41,10 +46,8 @@ BLOCK_IDS = 1 << 16
 #: A file ends with the document that brings it to so many ids.
 FILE_IDS = 1 << 20
 LEVEL = 3
-#: New segments in one call's text.
-TOGETHER = 2_000
-#: Characters of text whose new segments are encoded together.
-ROUND_CHARS = 4 << 20
+#: Segments that a worker remembers, and pieces.
+SEGMENTS = 600_000
 
 
 def to_planes(block: np.ndarray, mode: int) -> np.ndarray:
@@ -113,39 +116,64 @@ class PlaneFile:
         return np.concatenate([self.block(k) for k in range(n)]) if n else np.empty(0, "<u4")
 
 
+def byte_letters() -> list[str]:
+    """The byte-level alphabet by byte: printable bytes stand for themselves, the others for letters from 256 on."""
+    own = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    others = iter(range(256, 512))
+    return [chr(b) if b in own else chr(next(others)) for b in range(256)]
+
+
 class SegmentTokenizer:
-    """Encodes texts by the tokenizers library, each distinct segment once."""
+    """Encodes texts as the tokenizers library does by default, each distinct segment once.
+
+    Pieces of letters below ``PLAIN`` go straight to the library's merges; any other piece, and a whole text that holds
+    an added token of the vocabulary (which the library finds before it cuts into pieces), is encoded by the library's
+    whole course.
+    """
+
+    PLAIN = "\u0250"
 
     def __init__(self, spec: str, pattern: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_str(spec)
-        self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
-        (self.line,) = self.tokenizer.encode("\n", add_special_tokens=False).ids
-        self.split, self.memory = splitter(pattern), memory(f"library-{zlib.crc32(spec.encode())}", 1_200_000)
-
-    def _encode(self, segments: list[str]) -> list[bytes]:
-        """Segments without inner white space are encoded many at a time, parted by line breaks: a line break between
-        them is always a piece, and a token, of its own, so cutting at its id gives each segment's ids."""
-        out: dict[str, bytes] = {}
-        plain = [x for x in segments if x.split() == [x.removeprefix(" ")]]
-        joined = ["\n".join(plain[lo : lo + TOGETHER]) for lo in range(0, len(plain), TOGETHER)]
-        found: list[bytes] = []
-        for lo in range(0, len(joined), 64):
-            for e in self.tokenizer.encode_batch_fast(joined[lo : lo + 64], add_special_tokens=False):
-                ids = np.array(e.ids, "<u4")
-                cut = np.flatnonzero(ids == self.line) * 4
-                data = ids.tobytes()
-                found += [data[x:y] for x, y in zip([0, *(cut + 4).tolist()], [*cut.tolist(), len(data)], strict=True)]
-        out.update(zip(plain, found, strict=True))
-        rest = [x for x in segments if x not in out]
-        out.update(zip(rest, [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(rest, add_special_tokens=False)], strict=True))
-        return [out[x] for x in segments]
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        """Each text's ids as little-endian u32."""
-        return [b"".join(x) for part in rounds(texts, ROUND_CHARS) for x in self.memory.forms(part, self.split, self._encode)]
+        self.merge, self.letters = self.tokenizer.model.tokenize, byte_letters()
+        added = [re.escape(t.content) for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.added = re.compile("|".join(added)).search if added else lambda text: None
+        self.split, self.memory = splitter(pattern), memory(f"library-{zlib.crc32(spec.encode())}", SEGMENTS)
+
+    def _whole(self, texts: list[str]) -> list[bytes]:
+        return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _encode(self, pieces: list[str]) -> list[bytes]:
+        merge, letters, plain, blank = self.merge, self.letters, self.PLAIN, self.letters[32]
+        out: list = []
+        for p in pieces:
+            if p.isascii() and p.isprintable():
+                out.append(array("I", [t.id for t in merge(p.replace(" ", blank))]).tobytes())
+            elif max(p) < plain:
+                out.append(array("I", [t.id for t in merge("".join([letters[b] for b in p.encode()]))]).tobytes())
+            else:
+                out.append(None)
+        other = [i for i, x in enumerate(out) if x is None]
+        for i, ids in zip(other, self._whole([pieces[i] for i in other]), strict=True):
+            out[i] = ids
+        return out
+
+    def _cut(self, text: str) -> list[str]:
+        """The pattern's pieces, but a text beyond ``PLAIN`` stays whole for the library to cut."""
+        return self.split(text) if text.isascii() or max(text) < self.PLAIN else [text]
+
+    def encode(self, texts: pa.Array) -> Iterator[np.ndarray]:
+        """Each text's ids (null: none)."""
+        texts = pc.fill_null(texts, "")
+        held = np.zeros(len(texts), bool)
+        for i, t in enumerate(texts):
+            held[i] = self.added(t.as_py()) is not None
+        plain = pc.if_else(pa.array(held), "", texts) if held.any() else texts
+        for i, ids in enumerate(self.memory.ids(plain, self._cut, self._encode)):
+            yield np.frombuffer(self._whole([texts[i].as_py()])[0], "<u4") if held[i] else ids
 
 
 FILES = "part int, seq int, first long, n_ids long, n_docs long, content binary"
@@ -160,16 +188,16 @@ def write_files(docs: DataFrame, spec: str, pattern: str, end_id: int = 0, mode:
     sent = docs.sparkSession.sparkContext.broadcast((spec, pattern))  # one vocabulary file
     rows = only(docs, doc_id=id_col, text=text_col).select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("doc_id"), "text", F.xxhash64("text").alias("tie"))
     dealt = rows.repartitionByRange("doc_id", "tie").sortWithinPartitions("doc_id", "tie").drop("tie")
-    tail = struct.pack("<I", end_id)
+    tail = np.array([end_id], "<u4")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder, part, seq, first = None, TaskContext.get().partitionId(), 0, 0
-        ids: list[bytes] = []
+        ids: list[np.ndarray] = []
         who: list[int] = []
         lengths: list[int] = []
 
         def out() -> pa.RecordBatch:
-            every = np.frombuffer(b"".join(ids), "<u4")
+            every = np.concatenate(ids)
             row = [[part], [seq], [first], [len(every)], [len(who)], [pack(every, who, lengths, mode)]]
             types = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary()]
             return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(row, types, strict=True)], ["part", "seq", "first", "n_ids", "n_docs", "content"])
@@ -177,19 +205,18 @@ def write_files(docs: DataFrame, spec: str, pattern: str, end_id: int = 0, mode:
         held = 0
         for batch in batches:
             coder = coder or SegmentTokenizer(*sent.value)
-            for lo in range(0, batch.num_rows, 2048):
-                some = batch.slice(lo, 2048)
-                for doc, text in zip(some.column(0).to_pylist(), coder.encode([x or "" for x in some.column(1).to_pylist()]), strict=True):
-                    ids += [text, tail]
-                    who.append(doc)
-                    lengths.append(len(text) // 4 + 1)
-                    held += lengths[-1]
-                    if held >= file_ids:
-                        yield out()
-                        seq, first, held = seq + 1, first + held, 0
-                        ids, who, lengths = [], [], []
+            for doc, text in zip(batch.column(0).to_pylist(), coder.encode(batch.column(1)), strict=True):
+                ids += [text, tail]
+                who.append(doc)
+                lengths.append(len(text) + 1)
+                held += lengths[-1]
+                if held >= file_ids:
+                    yield out()
+                    seq, first, held = seq + 1, first + held, 0
+                    ids, who, lengths = [], [], []
         if who:
             yield out()
+        hand_back()
 
     return Stored(dealt.mapInArrow(run, FILES), "planes")
 
