@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import cut
+
 
 def asof_join(left: DataFrame, right: DataFrame, keys: list[str], time: str = "ts", value: str = "version") -> DataFrame:
     """Each left row with the value of the latest right row of its keys not after it (null if none).
@@ -43,9 +45,16 @@ def sample_trips(trips: DataFrame, share: float, seed: int = 7) -> DataFrame:
     return trips.sampleBy("bracket", {b: share for b in brackets}, seed)
 
 
-def reachable(edges: DataFrame, city_id: int, source: int, hops: int) -> DataFrame:
-    """(v, hops): vertices within ``hops`` steps of a source, by a recursive query; for small neighbourhoods."""
-    edges.where(F.col("city_id") == city_id).selectExpr("u as a", "v as b").unionByName(edges.where(F.col("city_id") == city_id).selectExpr("v as a", "u as b")).createOrReplaceTempView("closeway_arcs")
-    return edges.sparkSession.sql(
-        f"WITH RECURSIVE near(v, hops) AS (SELECT CAST({int(source)} AS BIGINT), 0 UNION ALL SELECT a.b, n.hops + 1 FROM near n JOIN closeway_arcs a ON a.a = n.v WHERE n.hops < {int(hops)}) SELECT v, min(hops) AS hops FROM near GROUP BY v"
-    )
+def reachable(edges: DataFrame, sources: DataFrame, hops: int) -> DataFrame:
+    """(city_id, source, v, hops): vertices within ``hops`` steps of each source of (city_id, source); for small neighbourhoods.
+
+    One relaxation per step; vertices met before are left out of the next.
+    """
+    arcs = edges.select("city_id", F.col("u").alias("v"), F.col("v").alias("to")).unionByName(edges.select("city_id", "v", F.col("u").alias("to")))
+    seen = cut(sources.distinct().select("city_id", "source", F.col("source").alias("v"), F.lit(0).alias("hops")))
+    last = seen
+    for k in range(1, hops + 1):
+        step = last.join(arcs, ["city_id", "v"]).select("city_id", "source", F.col("to").alias("v")).distinct()
+        last = cut(step.join(seen, ["city_id", "source", "v"], "left_anti").withColumn("hops", F.lit(k)))
+        seen = seen.unionByName(last)
+    return seen

@@ -45,11 +45,13 @@ def snap(points: DataFrame, vertices: DataFrame, key: str = "poi_id", cell: int
     """Adds vertex_id and snap_dist: the nearest vertex, the smaller id on a tie.
 
     Cells of ``cell`` metres and their neighbours are joined by equality; points without a vertex that is surely the
-    nearest (within one cell) are tried again with cells twice as wide, until none is left.
+    nearest (within one cell) are tried again with cells twice as wide, until none is left. A point of a city without
+    vertices, or without coordinates, keeps a null vertex.
     """
-    todo, done = points, None
+    inhabited = vertices.select("city_id").distinct()
+    todo, done = points.where("x is not null and y is not null").join(F.broadcast(inhabited), "city_id", "left_semi"), None
     c = cell
-    for _ in range(24):
+    while True:
         near = _snap_round(todo, vertices, key, c)
         sure = near.where(F.col("snap_dist") <= c)
         done = sure if done is None else done.unionByName(sure)
@@ -57,7 +59,7 @@ def snap(points: DataFrame, vertices: DataFrame, key: str = "poi_id", cell: int
         if todo.isEmpty():
             break
         c *= 2
-    return points.join(done, ["city_id", key])
+    return points.join(done, ["city_id", key], "left")
 
 
 def _snap_round(points: DataFrame, vertices: DataFrame, key: str, c: int) -> DataFrame:
@@ -75,22 +77,24 @@ def snap_pseudo(points: DataFrame, g: RoadGraph, key: str = "poi_id", cell: int
     """The variant that splits the nearest edge at the point's projection.
 
     Gives a graph with a vertex per point (id: the largest vertex id + 1 + the point's rank) and its edges cut at all
-    of their points, the parts' lengths adding up to the edge's; and the points with vertex_id. Edges must be shorter
-    than ``cell`` and points within ``cell`` of one.
+    of their points, the parts' lengths adding up to the edge's; and the points with vertex_id. Edges are put into all
+    cells that their bounding boxes touch; points without an edge surely the nearest (within one cell) are tried again with
+    cells twice as wide. A point of a city without edges, or without coordinates, keeps a null vertex.
     """
     vs, e = g.vertices, g.edges
     a = vs.select("city_id", F.col("vertex_id").alias("u"), F.col("x").alias("ux"), F.col("y").alias("uy"))
     b = vs.select("city_id", F.col("vertex_id").alias("v"), F.col("x").alias("wx"), F.col("y").alias("wy"))
-    seg = e.join(a, ["city_id", "u"]).join(b, ["city_id", "v"])
-    at = lambda x: F.floor(x / cell).cast("long")
-    around = F.sequence(F.lit(-1), F.lit(1))
-    s = seg.withColumn("cx", at((F.col("ux") + F.col("wx")) / 2)).withColumn("cy", at((F.col("uy") + F.col("wy")) / 2))
-    p = points.select("city_id", key, F.col("x").alias("px"), F.col("y").alias("py")).withColumn("cx", F.explode(F.transform(around, lambda i: at(F.col("px")) + i))).withColumn("cy", F.explode(F.transform(around, lambda i: at(F.col("py")) + i)))
-    dx, dy = F.col("wx") - F.col("ux"), F.col("wy") - F.col("uy")
-    t = F.greatest(F.lit(0.0), F.least(F.lit(1.0), ((F.col("px") - F.col("ux")) * dx + (F.col("py") - F.col("uy")) * dy) / (dx * dx + dy * dy)))
-    hit = s.join(p, ["city_id", "cx", "cy"]).withColumn("t", t)
-    hit = hit.withColumn("d", F.round(distance(F.col("px"), F.col("py"), F.col("ux") + F.col("t") * dx, F.col("uy") + F.col("t") * dy), 9))
-    best = hit.groupBy("city_id", key).agg(F.min(F.struct("d", "edge_id", "t", "u", "v", "len_dm", "ux", "uy", "wx", "wy")).alias("b")).select("city_id", key, "b.*")
+    seg = cut(e.join(a, ["city_id", "u"]).join(b, ["city_id", "v"]))
+    todo = points.where("x is not null and y is not null").join(F.broadcast(seg.select("city_id").distinct()), "city_id", "left_semi")
+    best, c = None, cell
+    while True:
+        found = _pseudo_round(todo, seg, key, c)
+        sure = cut(found.where(F.col("d") <= c))
+        best = sure if best is None else best.unionByName(sure)
+        todo = cut(todo.join(sure.select("city_id", key), ["city_id", key], "left_anti"))
+        if todo.isEmpty():
+            break
+        c *= 2
     top = vs.groupBy("city_id").agg(F.max("vertex_id").alias("top"))
     rank = F.row_number().over(Window.partitionBy("city_id").orderBy(key))
     new = best.join(F.broadcast(top), "city_id").withColumn("vertex_id", (F.col("top") + rank).cast("long"))
@@ -106,7 +110,21 @@ def snap_pseudo(points: DataFrame, g: RoadGraph, key: str = "poi_id", cell: int
     )
     x, y = F.col("ux") + F.col("t") * (F.col("wx") - F.col("ux")), F.col("uy") + F.col("t") * (F.col("wy") - F.col("uy"))
     vertices = vs.select("city_id", "vertex_id", F.col("x").cast("double").alias("x"), F.col("y").cast("double").alias("y")).unionByName(new.select("city_id", "vertex_id", x.alias("x"), y.alias("y")))
-    return RoadGraph(vertices, edges, g.directed), points.join(new.select("city_id", key, "vertex_id", F.col("d").alias("snap_dist"), "edge_id"), ["city_id", key])
+    return RoadGraph(vertices, edges, g.directed), points.join(new.select("city_id", key, "vertex_id", F.col("d").alias("snap_dist"), "edge_id"), ["city_id", key], "left")
+
+
+def _pseudo_round(points: DataFrame, seg: DataFrame, key: str, c: int) -> DataFrame:
+    """(city_id, key, d, edge_id, t, ...): the nearest edge that touches a point's cell or one of the eight around it."""
+    at = lambda x: F.floor(x / c).cast("long")
+    over = lambda p, q: F.explode(F.sequence(at(F.least(p, q)), at(F.greatest(p, q))))
+    around = F.sequence(F.lit(-1), F.lit(1))
+    s = seg.withColumn("cx", over(F.col("ux"), F.col("wx"))).withColumn("cy", over(F.col("uy"), F.col("wy")))
+    p = points.select("city_id", key, F.col("x").alias("px"), F.col("y").alias("py")).withColumn("cx", F.explode(F.transform(around, lambda i: at(F.col("px")) + i))).withColumn("cy", F.explode(F.transform(around, lambda i: at(F.col("py")) + i)))
+    dx, dy = F.col("wx") - F.col("ux"), F.col("wy") - F.col("uy")
+    t = F.coalesce(F.try_divide((F.col("px") - F.col("ux")) * dx + (F.col("py") - F.col("uy")) * dy, dx * dx + dy * dy).cast("double"), F.lit(0.0))
+    hit = s.join(p, ["city_id", "cx", "cy"]).withColumn("t", F.greatest(F.lit(0.0), F.least(F.lit(1.0), t)))
+    hit = hit.withColumn("d", F.round(distance(F.col("px"), F.col("py"), F.col("ux") + F.col("t") * dx, F.col("uy") + F.col("t") * dy), 9))
+    return hit.groupBy("city_id", key).agg(F.min(F.struct("d", "edge_id", "t", "u", "v", "len_dm", "ux", "uy", "wx", "wy")).alias("b")).select("city_id", key, "b.*")
 
 
 # ---------------------------------------------------------------- search, local form
@@ -239,6 +257,50 @@ def paths_local(g: RoadGraph, pairs: DataFrame, weight: str = "len_dm", goal: st
     return left.groupBy("city_id", "block").cogroup(every.groupBy("_c", "_b")).applyInPandas(run, PATHS)
 
 
+def meet_in_the_middle(adj: Adjacency, s: int, t: int) -> tuple[float, int]:
+    """(cost of the cheapest way between two places, places settled): searched from both ends at once; ways run both ways."""
+    if s == t:
+        return 0.0, 1
+    sides = [({s: 0.0}, [(0.0, s)], {}), ({t: 0.0}, [(0.0, t)], {})]
+    best = float("inf")
+    while sides[0][1] and sides[1][1]:
+        k = 0 if sides[0][1][0][0] <= sides[1][1][0][0] else 1
+        near, heap, settled = sides[k]
+        other = sides[1 - k][0]
+        if sides[0][1][0][0] + sides[1][1][0][0] >= best:
+            break
+        cost, u = heapq.heappop(heap)
+        if u in settled:
+            continue
+        settled[u] = cost
+        for v, w, _ in adj.out[u]:
+            if cost + w < near.get(v, float("inf")):
+                near[v] = cost + w
+                heapq.heappush(heap, (cost + w, v))
+            if v in other:
+                best = min(best, cost + w + other[v])
+    return best, len(sides[0][2]) + len(sides[1][2])
+
+
+def costs_both_ends(g: RoadGraph, pairs: DataFrame, weight: str = "len_dm") -> DataFrame:
+    """(city_id, pair_id, cost, settled) of every pair that is connected, by search from both ends."""
+    if g.directed:
+        raise ValueError("search from both ends needs roads that run both ways")
+    left, every = _blocked(pairs.select("city_id", "pair_id", "s", "t"), arcs(g, weight), "s")
+
+    def run(key, want: pd.DataFrame, pdf: pd.DataFrame) -> pd.DataFrame:
+        adj, out = Adjacency(pdf), []
+        for pair, s, t in zip(want["pair_id"], want["s"], want["t"], strict=True):
+            a, b = adj.place(int(s)), adj.place(int(t))
+            if a >= 0 and b >= 0:
+                cost, settled = meet_in_the_middle(adj, a, b)
+                if np.isfinite(cost):
+                    out.append((key[0], pair, cost, settled))
+        return pd.DataFrame(out, columns=["city_id", "pair_id", "cost", "settled"]).astype({"pair_id": object})
+
+    return left.groupBy("city_id", "block").cogroup(every.groupBy("_c", "_b")).applyInPandas(run, "city_id int, pair_id string, cost double, settled long")
+
+
 def _landmark_bound(adj: Adjacency, many: int = LANDMARKS):
     """Distances from vertices chosen one after the other as far as possible from those before."""
     n, far, at = len(adj.ids), [], 0
@@ -281,7 +343,7 @@ def _line_bound(adj: Adjacency, pdf: pd.DataFrame):
 # ---------------------------------------------------------------- search, distributed form
 
 
-def tree_rounds(g: RoadGraph, sources: DataFrame, weight: str = "len_dm", every: int = 4, most: float | None = None, targets: DataFrame | None = None, effort: list | None = None) -> DataFrame:
+def tree_rounds(g: RoadGraph, sources: DataFrame, weight: str = "len_dm", most: float | None = None, targets: DataFrame | None = None, effort: list | None = None) -> DataFrame:
     """The same labels by rounds over all executors: relax, keep the least (cost, hops, pred), go on from what improved.
 
     ``most`` cuts labels above a radius; with ``targets`` (city_id, source, v) a label strictly above the dearest known

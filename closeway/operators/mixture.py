@@ -11,6 +11,8 @@ from collections import defaultdict
 from collections.abc import Iterable
 from typing import NamedTuple
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -226,7 +228,35 @@ class Grown(NamedTuple):
     trace: list[tuple[int, int, float, float, bool]]
 
 
-def fit_greedy(vecs: DataFrame, max_components: int = 4, stop: str = "no_gain", tol: float = 1e-6, max_iter: int = 40, least_gain: float = 1e-9, holdout: float = 0.25, ridge: float = RIDGE) -> Grown:
+#: Vectors (or weighted cells) of all words that are grown one word to a task; more are grown by aggregates over all executors.
+LOCAL_VECTORS = 1_000_000
+
+
+def fit_greedy(vecs: DataFrame, max_components: int = 4, stop: str = "no_gain", tol: float = 1e-6, max_iter: int = 40, least_gain: float = 1e-9, holdout: float = 0.25, ridge: float = RIDGE, strategy: str = "auto") -> Grown:
+    """Grow every word's mixture; ``local`` by one task per word, ``distributed`` by an aggregate per round over all words.
+
+    ``auto`` grows locally up to ``LOCAL_VECTORS`` vectors in all. Both follow the rules of ``grow_distributed``.
+    """
+    if strategy == "auto":
+        strategy = "local" if vecs.limit(LOCAL_VECTORS + 1).count() <= LOCAL_VECTORS else "distributed"
+    if strategy == "distributed":
+        return grow_distributed(vecs, max_components, stop, tol, max_iter, least_gain, holdout, ridge)
+    if strategy != "local":
+        raise ValueError(f"unknown strategy {strategy}")
+    out = F.pmod(F.xxhash64("dist", "theta"), F.lit(1000)) < int(1000 * holdout) if stop == "holdout" else F.lit(False)
+    rules = (max_components, stop, tol, max_iter, least_gain, ridge)
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        model, trace = grow_word(int(pdf["rel_id"].iloc[0]), *(pdf[c].to_numpy(float) for c in ("dist", "theta", "w")), pdf["out"].to_numpy(bool), *rules)
+        rows = [(c.rel_id, c.m, *c[2:], None, None, None, None) for c in model] + [(k, m, *[None] * 6, ll, crit, ok, "trace") for k, m, ll, crit, ok in trace]
+        return pd.DataFrame(rows, columns=["rel_id", "m", "weight", "mu_d", "mu_o", "s_dd", "s_do", "s_oo", "ll", "crit", "accepted", "kind"]).astype({"accepted": object, "kind": object})
+
+    grown = vecs.select("rel_id", "dist", "theta", "w", out.alias("out")).groupBy("rel_id").applyInPandas(run, SCHEMA + ", ll double, crit double, accepted boolean, kind string").collect()
+    model = sorted(Component(*r[:8]) for r in grown if r.kind is None)
+    return Grown(model, sorted((r.rel_id, r.m, r.ll, float("nan") if r.crit is None else r.crit, r.accepted) for r in grown if r.kind))
+
+
+def grow_distributed(vecs: DataFrame, max_components: int = 4, stop: str = "no_gain", tol: float = 1e-6, max_iter: int = 40, least_gain: float = 1e-9, holdout: float = 0.25, ridge: float = RIDGE) -> Grown:
     """Grow every word's mixture from one component, one at a time, until the cap or the criterion stops it.
 
     ``no_gain``: the log likelihood; ``aic``, ``bic``: it less a charge; ``holdout``: that of a quarter of the pairs
@@ -282,9 +312,95 @@ def fit_greedy(vecs: DataFrame, max_components: int = 4, stop: str = "no_gain",
     return Grown(back, sorted(trace))
 
 
+class Word:
+    """One word's vectors in a task, with the same steps as the aggregates."""
+
+    def __init__(self, rel_id: int, d: np.ndarray, o: np.ndarray, w: np.ndarray, ridge: float):
+        self.rel_id, self.d, self.o, self.w, self.ridge, self.n = rel_id, d, o, w, ridge, float(w.sum())
+
+    def terms(self, model: Model) -> tuple[np.ndarray, np.ndarray]:
+        """(log of weight times density of each vector under each component, their log sums)."""
+        t = np.empty((len(self.d), len(model)))
+        for k, c in enumerate(model):
+            det = c.s_dd * c.s_oo - c.s_do * c.s_do
+            u, v = self.d - c.mu_d, self.o - c.mu_o
+            t[:, k] = math.log(c.weight) - math.log(2 * math.pi) - 0.5 * math.log(det) - 0.5 * (c.s_oo * u * u - 2 * c.s_do * u * v + c.s_dd * v * v) / det
+        top = t.max(1)
+        return t, top + np.log(np.exp(t - top[:, None]).sum(1))
+
+    def loglik(self, model: Model) -> float:
+        return float((self.w * self.terms(model)[1]).sum())
+
+    def fitted(self, share: np.ndarray, m: list[int]) -> list[dict]:
+        out = []
+        for k, name in enumerate(m):
+            r = self.w * share[:, k]
+            n = r.sum()
+            md, mo = (r * self.d).sum() / n, (r * self.o).sum() / n
+            out.append({"rel_id": self.rel_id, "m": name, "weight": n / self.n, "mu_d": md, "mu_o": mo, "s_dd": max((r * self.d * self.d).sum() / n - md * md, 0.0) + self.ridge, "s_do": (r * self.d * self.o).sum() / n - md * mo, "s_oo": max((r * self.o * self.o).sum() / n - mo * mo, 0.0) + self.ridge})
+        return out
+
+    def em(self, start: Model, tol: float, max_iter: int) -> tuple[Model, float]:
+        model, last = start, None
+        for i in range(max_iter + 1):
+            t, lp = self.terms(model)
+            ll = float((self.w * lp).sum())
+            with np.errstate(invalid="ignore", divide="ignore"):
+                new, _ = guarded(self.fitted(np.exp(t - lp[:, None]), [c.m for c in model]), self.ridge)
+            gain = math.inf if last is None else ll - last
+            last = ll
+            if abs(gain) / (1 + abs(ll)) < tol or not new or i == max_iter:
+                break
+            model = new
+        return model, last
+
+    def inserted(self, model: Model) -> Model:
+        best = None
+        for k, new in candidates(model):
+            mix = [c._replace(weight=c.weight / 2) if c.m == new.m else c for c in model] + [new._replace(m=len(model))]
+            key = (-self.loglik(mix), k)
+            if best is None or key < best[0]:
+                best = key, mix
+        return best[1]
+
+
+def grow_word(rel_id: int, d: np.ndarray, o: np.ndarray, w: np.ndarray, out: np.ndarray, max_components: int, stop: str, tol: float, max_iter: int, least_gain: float, ridge: float) -> tuple[Model, list[tuple]]:
+    """Greedy growth of one word's mixture: (model, trace)."""
+    n = w.sum()
+    md, mo = (w * d).sum() / n, (w * o).sum() / n
+    sd, so = max(math.sqrt((w * (d - md) ** 2).sum() / n), 1e-9), max(math.sqrt((w * (o - mo) ** 2).sum() / n), 1e-9)
+    z = (d - md) / sd, (o - mo) / so
+    if out.all():
+        return [], []
+    train, test = (Word(rel_id, z[0][part], z[1][part], w[part], ridge) for part in (~out, out))
+
+    def judge(model: Model, ll: float) -> float | None:
+        if stop == "holdout":
+            return test.loglik(model) if len(test.d) else None
+        return criterion(stop, ll, len(model), train.n)
+
+    model, _ = guarded(train.fitted(np.ones((len(train.d), 1)), [0]), ridge)
+    ll = train.loglik(model)
+    score = judge(model, ll)
+    trace = [(rel_id, 1, ll, ll if score is None else score, True)]
+    score = -math.inf if score is None else score
+    for m in range(2, max_components + 1 if train.n >= 2 else 2):
+        new, ll = train.em(train.inserted(model), tol, max_iter)
+        got = judge(new, ll)
+        better = (-math.inf if got is None else got) - score > least_gain * (1 + abs(score)) and len(new) == m
+        trace.append((rel_id, m, ll, got, bool(better)))
+        if not better:
+            break
+        model, score = new, got
+    return [Component(rel_id, c.m, c.weight, c.mu_d * sd + md, c.mu_o * so + mo, c.s_dd * sd * sd, c.s_do * sd * so, c.s_oo * so * so) for c in model], trace
+
+
 def _scales(vecs: DataFrame) -> DataFrame:
-    n = F.sum("w")
-    return vecs.groupBy("rel_id").agg((F.sum(F.col("w") * F.col("dist")) / n).alias("md"), F.stddev_pop("dist").alias("sd"), (F.sum(F.col("w") * F.col("theta")) / n).alias("mo"), F.stddev_pop("theta").alias("so"))
+    """Weighted means and deviations per word; deviations from the mean in a second step, which loses no digits."""
+    n, w = F.sum("w"), F.col("w")
+    mean = vecs.groupBy("rel_id").agg((F.sum(w * F.col("dist")) / n).alias("md"), (F.sum(w * F.col("theta")) / n).alias("mo"))
+    dev = lambda c, m: F.sqrt(F.sum(w * (F.col(c) - F.col(m)) * (F.col(c) - F.col(m))) / n)
+    return vecs.join(F.broadcast(mean), "rel_id").groupBy("rel_id").agg(F.first("md").alias("md"), dev("dist", "md").alias("sd"), F.first("mo").alias("mo"), dev("theta", "mo").alias("so"))
 
 
 def fit_fixed(vecs: DataFrame, k: int, rounds: int = 20, ridge: float = RIDGE) -> EmResult:

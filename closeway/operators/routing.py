@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.geo import distance, in_ellipse
 from ..session import Stored, small
-from .graph import RoadGraph, shortest
+from .graph import RoadGraph, shortest, tree_local
 
 UNREACHABLE = ("enriched", "widen", "null")
 
@@ -58,6 +58,14 @@ def entry_exit(nodes: DataFrame) -> DataFrame:
     return nodes.groupBy("city_id", "pair_id").agg(F.min(F.struct("ds", "poi_id")).alias("a"), F.min(F.struct("dt", "poi_id")).alias("b")).select("city_id", "pair_id", F.col("a.poi_id").alias("entry"), F.col("b.poi_id").alias("exit"))
 
 
+def entry_exit_network(g: RoadGraph, nodes: DataFrame, trips: DataFrame, cost: str = "len_dm") -> DataFrame:
+    """Like ``entry_exit`` with the distance by road; places out of reach are no entry and no exit."""
+    reach = Stored(tree_local(g, trips.select("city_id", F.col("s").alias("source")).unionByName(trips.select("city_id", F.col("t").alias("source"))), cost), "reach").df
+    far = lambda end, name: reach.select("city_id", F.col("source").alias(end), F.col("v").alias("vertex_id"), F.col("cost").alias(name))
+    at = nodes.select("city_id", "pair_id", "poi_id", "vertex_id").join(keyed(trips).select("city_id", "pair_id", "s", "t"), ["city_id", "pair_id"])
+    return entry_exit(at.join(far("s", "ds"), ["city_id", "s", "vertex_id"]).join(far("t", "dt"), ["city_id", "t", "vertex_id"]))
+
+
 def restricted_edges(nodes: DataFrame, closeness: DataFrame) -> DataFrame:
     """(city_id, pair_id, pi, pj, dist, W): closeness edges with both ends in the trip's region, both ways."""
     both = closeness.select("city_id", "pi", "pj", "dist", "W").unionByName(closeness.select("city_id", F.col("pj").alias("pi"), F.col("pi").alias("pj"), "dist", "W"))
@@ -118,13 +126,16 @@ def stops(trips_xy: DataFrame, sequence: DataFrame, pois: DataFrame) -> DataFram
     return every.withColumn("_p", F.lag("vertex_id").over(order)).where("_p is null or _p <> vertex_id").drop("_p")
 
 
-def expand(gc: RoadGraph, at: DataFrame, cost: str, strategy: str = "auto") -> tuple[DataFrame, DataFrame]:
-    """(legs, leg paths): consecutive stops; each distinct (from, to) of a city is searched once."""
+def legs_of(at: DataFrame) -> DataFrame:
+    """(city_id, pair_id, leg, s, t, leg_id): the ways between consecutive stops."""
     order = Window.partitionBy("city_id", "pair_id").orderBy("stop")
     legs = at.select("city_id", "pair_id", F.row_number().over(order).alias("leg"), F.col("vertex_id").alias("s"), F.lead("vertex_id").over(order).alias("t")).where("t is not null")
-    legs = legs.withColumn("leg_id", F.concat_ws(">", "s", "t"))
-    distinct = legs.select("city_id", F.col("leg_id").alias("pair_id"), "s", "t").distinct()
-    return legs, shortest(gc, distinct, cost, strategy)
+    return legs.withColumn("leg_id", F.concat_ws(">", "s", "t"))
+
+
+def expand(gc: RoadGraph, legs: DataFrame, cost: str, strategy: str = "auto") -> DataFrame:
+    """Leg paths: each distinct (from, to) of a city is searched once."""
+    return shortest(gc, legs.select("city_id", F.col("leg_id").alias("pair_id"), "s", "t").distinct(), cost, strategy)
 
 
 def concat_legs(legs: DataFrame, leg_paths: DataFrame) -> DataFrame:
@@ -139,12 +150,8 @@ def concat_legs(legs: DataFrame, leg_paths: DataFrame) -> DataFrame:
     return rows.join(ends, ["city_id", "pair_id"]).select("city_id", "pair_id", "s", "t", (F.col("offset") + F.col("seq")).cast("int").alias("seq"), "vertex_id", "edge_id")
 
 
-def poi_hop(gc: RoadGraph, closeness: DataFrame, pois: DataFrame, trips: DataFrame, cost: str, shape: str = "drawn", on_unreachable: str = "enriched", weight: str = "dist", alpha: float = 1.0, strategy: str = "auto") -> DataFrame:
-    """Path rows with ``fallback``: over the closeness graph inside the trip's region first, then by roads under ``cost``.
-
-    Where the region holds no place, entry and exit are apart or a leg can't be driven: the enriched route
-    (``enriched``), up to three regions 1.25 times as wide before that (``widen``), or no rows (``null``).
-    """
+def hop_plan(gc: RoadGraph, closeness: DataFrame, pois: DataFrame, trips: DataFrame, shape: str = "drawn", on_unreachable: str = "enriched", weight: str = "dist", alpha: float = 1.0) -> DataFrame:
+    """The legs of every trip over the closeness graph inside its region; they don't depend on the roads' costs."""
     if on_unreachable not in UNREACHABLE:
         raise ValueError(f"unknown choice {on_unreachable}")
     xy = Stored(located(trips, gc.vertices), "trips").df
@@ -155,8 +162,12 @@ def poi_hop(gc: RoadGraph, closeness: DataFrame, pois: DataFrame, trips: DataFra
         sequence = found if sequence is None else sequence.unionByName(found)
         if on_unreachable == "widen":
             todo = todo.join(found.select("pair_id").distinct(), "pair_id", "left_anti")
-    legs, leg_paths = expand(gc, stops(xy, sequence, pois), cost, strategy)
-    legs, leg_paths = Stored(legs, "legs").df, Stored(leg_paths, "leg-paths").df
+    return Stored(legs_of(stops(xy, sequence, pois)), "legs").df
+
+
+def drive(gc: RoadGraph, legs: DataFrame, trips: DataFrame, cost: str, on_unreachable: str = "enriched", strategy: str = "auto") -> DataFrame:
+    """Path rows with ``fallback`` from planned legs under ``cost``; trips that can't be driven so take the enriched route or none."""
+    leg_paths = Stored(expand(gc, legs, cost, strategy), "leg-paths").df
     done = Stored(concat_legs(legs, leg_paths).withColumn("fallback", F.lit(False)), "hop-routes").df
     if on_unreachable == "null":
         return done
@@ -164,6 +175,26 @@ def poi_hop(gc: RoadGraph, closeness: DataFrame, pois: DataFrame, trips: DataFra
     return done.unionByName(shortest(gc, rest, cost, strategy).withColumn("fallback", F.lit(True)))
 
 
+def poi_hop(gc: RoadGraph, closeness: DataFrame, pois: DataFrame, trips: DataFrame, cost: str, shape: str = "drawn", on_unreachable: str = "enriched", weight: str = "dist", alpha: float | None = None, strategy: str = "auto") -> DataFrame:
+    """Path rows with ``fallback``: over the closeness graph inside the trip's region first, then by roads under ``cost``.
+
+    Where the region holds no place, entry and exit are apart or a leg can't be driven: the enriched route
+    (``enriched``), up to three regions 1.25 times as wide before that (``widen``), or no rows (``null``). The hop weight
+    ``discounted`` takes the strength that ``cost`` has, unless ``alpha`` is given.
+    """
+    if alpha is None:
+        alpha = int(cost.rsplit("_", 1)[1]) / 100 if cost.startswith("cost_") else 1.0
+    legs = hop_plan(gc, closeness, pois, trips, shape, on_unreachable, weight, alpha)
+    return drive(gc, legs, trips, cost, on_unreachable, strategy)
+
+
+def sequence_cost(sequence: DataFrame, edges: DataFrame, weight: F.Column) -> DataFrame:
+    """(city_id, pair_id, hops, cost): steps of each sequence of places and their weights' sum."""
+    nxt = sequence.select("city_id", "pair_id", (F.col("seq") - 1).alias("seq"), F.col("poi_id").alias("pj"))
+    step = sequence.withColumnRenamed("poi_id", "pi").join(nxt, ["city_id", "pair_id", "seq"], "left").join(edges.withColumn("w", weight), ["city_id", "pair_id", "pi", "pj"], "left")
+    return step.groupBy("city_id", "pair_id").agg(F.max("seq").alias("hops"), F.coalesce(F.sum("w"), F.lit(0.0)).alias("cost"))
+
+
 def describe(paths: DataFrame, pois: DataFrame) -> DataFrame:
     """(city_id, pair_id, seq, poi_id, name): the places met along a route, in order."""
     return paths.join(small(pois.select("city_id", "vertex_id", "poi_id", "name")), ["city_id", "vertex_id"]).select("city_id", "pair_id", "seq", "poi_id", "name")

@@ -10,7 +10,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..session import small
+from ..session import Stored, small
 
 # Word classes of the rule tagger.
 PREPOSITIONS = ("in", "on", "at", "by", "with", "of", "for", "from", "near", "next", "close", "nearby", "beside", "behind", "within", "inside", "opposite", "to", "far", "away", "north", "south", "east", "west")
@@ -162,10 +162,13 @@ def match_relation(pairs: DataFrame, lexicon: tuple[Phrase, ...] = TABLE_LEXICON
     return pairs.withColumn("phrase", found).where("phrase <> ''").withColumn("rel_id", F.element_at(ids, F.col("phrase"))).drop("phrase")
 
 
-def extract_triplets(docs: DataFrame, gazetteer: DataFrame, patterns: tuple[str, ...] = PATTERNS, lexicon: tuple[Phrase, ...] = TABLE_LEXICON, use_syntax: bool = True, mode: str = "all", max_gap: int = 6, max_words: int = 1) -> DataFrame:
-    """(doc_id, sent_id, pi, rel_id, pj) with different ends. ``use_syntax=False`` is the baseline by words alone."""
+def extract_triplets(docs: DataFrame, gazetteer: DataFrame, patterns: tuple[str, ...] = PATTERNS, lexicon: tuple[Phrase, ...] = TABLE_LEXICON, use_syntax: bool = True, mode: str = "all", max_gap: int = 6, max_words: int = 1, mentions: DataFrame | None = None) -> DataFrame:
+    """(doc_id, sent_id, pi, rel_id, pj) with different ends. ``use_syntax=False`` is the baseline by words alone.
+
+    ``mentions`` are the texts' entities where they were found before. Null texts have no sentences.
+    """
     toks = tokens(split_sentences(docs))
-    pairs = entity_pairs(toks, entities(toks, gazetteer, max_words), mode, max_gap).where("pi <> pj")
+    pairs = entity_pairs(toks, entities(toks, gazetteer, max_words) if mentions is None else mentions, mode, max_gap).where("pi <> pj")
     return match_relation(match_syntax(pairs, patterns) if use_syntax else pairs, lexicon).select("doc_id", "sent_id", "at_i", "at_j", "pi", "rel_id", "pj")
 
 
@@ -194,8 +197,8 @@ def in_city(edges: DataFrame, places: DataFrame) -> DataFrame:
 def extraction_funnel(docs: DataFrame, gazetteer: DataFrame, heldout: DataFrame, lexicon: tuple[Phrase, ...] = TABLE_LEXICON, approximate: bool = False) -> DataFrame:
     """One row: texts, mentions, geocoded mentions, statements, pairs, geocode rate, statements per text."""
     known = gazetteer.select("name", "poi_id", "etype").unionByName(heldout.select("name", F.lit(None).cast("long").alias("poi_id"), F.lit(None).cast("string").alias("etype")))
-    mentions = geoparse(docs, known)
-    t = extract_triplets(docs, known, lexicon=lexicon)
+    mentions = Stored(geoparse(docs, known), "mentions").df
+    t = extract_triplets(docs, known, lexicon=lexicon, mentions=mentions)
     distinct = (lambda c: F.approx_count_distinct(c)) if approximate else F.count_distinct
     return (
         docs.agg(F.count("*").alias("texts"))

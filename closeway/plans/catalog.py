@@ -118,6 +118,35 @@ def docs_unlabelled_anti(s, d):
     return table(s, d, "documents").join(table(s, d, "labels"), "doc_id", "left_anti").select("doc_id")
 
 
+TRAVEL = [p.phrase for p in text.TRAVEL_LEXICON]
+PLANTED = "SELECT poi_id AS pi, lead(poi_id) OVER (PARTITION BY city_id ORDER BY poi_id) AS pj, CAST(poi_id % 11 AS INTEGER) AS nth FROM poi"
+
+
+def _travel(s, d) -> tuple[DataFrame, DataFrame]:
+    """(planted statements, statements found) on texts with all kinds of travel words."""
+    planted = fixtures.planted_statements(s, d, TRAVEL)
+    names = planted.select(F.col("ni").alias("name"), F.col("pi").alias("poi_id")).unionByName(planted.select("nj", "pj").toDF("name", "poi_id")).distinct().withColumn("etype", F.lit("LOC"))
+    return planted, text.extract_triplets(fixtures.planted_texts(planted, TRAVEL), names, lexicon=text.TRAVEL_LEXICON)
+
+
+@query(f"SELECT pi, pj, nth AS rel_id FROM ({PLANTED}) WHERE pj IS NOT NULL", "poi")
+def travel_statements(s, d):
+    """Statements by direction and remote words are found like those by close ones."""
+    return _travel(s, d)[1].select("pi", "pj", "rel_id")
+
+
+@query(f"SELECT pi, pj, nth AS rel_id FROM ({PLANTED}) WHERE pj IS NOT NULL AND nth NOT IN ({', '.join(str(p.rel_id) for p in text.TRAVEL_LEXICON if p.kind != 'close')})", "poi")
+def travel_closeness_statements(s, d):
+    """Only statements by close words go on to the closeness graph."""
+    return text.keep_closeness(_travel(s, d)[1], text.TRAVEL_LEXICON).select("pi", "pj", "rel_id")
+
+
+@query(f"SELECT count(*) AS hits, count(*) AS found, count(*) AS planted, CAST(1 AS DOUBLE) AS precision, CAST(1 AS DOUBLE) AS recall FROM ({PLANTED}) WHERE pj IS NOT NULL", "poi")
+def extraction_quality(s, d):
+    planted, found = _travel(s, d)
+    return text.extraction_quality(found, planted.select("pi", F.col("nth").alias("rel_id"), "pj"))
+
+
 # ---------------------------------------------------------------- features and mixtures
 
 simple(None, "SELECT city_id, rel_id, pi, pj, round(dist, 4) AS dist, round(theta, 4) AS theta, w FROM vec", "vec", name="feature_vectors", of=lambda w: rounded(w.vectors))
@@ -153,6 +182,36 @@ simple(ONE, f"SELECT {EM} FROM em1", "em1", name="em_one_step", of=lambda w: rou
 simple(ONE, f"SELECT {EM} FROM em2", "em2", name="em_fixed_k", of=lambda w: rounded(mixture.em_step(w.vectors, workloads.stored(mixture.em_step(w.vectors, two_components(w)).drop("loglik"), "em1"))))
 
 
+def _inserted(w: World) -> tuple[DataFrame, mixture.Model]:
+    """The words with five statements or more, and their single Gaussians after one insertion."""
+    many = w.vectors.groupBy("rel_id").agg(F.sum("w").alias("_n")).where("_n >= 5").select("rel_id")
+    part = workloads.stored(w.vectors.join(F.broadcast(many), "rel_id", "left_semi"), "many")
+    return part, mixture.insert_component(part, mixture.from_table(mixture.fit_single(part)))
+
+
+def _inserted_em(w: World) -> DataFrame:
+    part, model = _inserted(w)
+    return rounded(mixture.em_step(part, mixture.to_table(w.spark, model)))
+
+
+def _acceptance(w: World) -> DataFrame:
+    """(rel_id, no_gain, aic, bic): whether the grown mixture, after one round, is taken under each stop rule."""
+    part, model = _inserted(w)
+    before = {r.rel_id: (r.n, r.loglik) for r in mixture.loglik(part, mixture.fit_single(part)).collect()}
+    after = mixture.em_step(part, mixture.to_table(w.spark, model)).drop("loglik")
+    rows = []
+    for r in mixture.loglik(part, workloads.stored(after, "after")).collect():
+        n, ll = before[r.rel_id]
+        rows.append((r.rel_id, *(mixture.criterion(k, r.loglik, 2, n) - mixture.criterion(k, ll, 1, n) > 1e-9 * (1 + abs(mixture.criterion(k, ll, 1, n))) for k in ("no_gain", "aic", "bic"))))
+    return w.spark.createDataFrame(rows, "rel_id int, no_gain boolean, aic boolean, bic boolean")
+
+
+simple(ONE, f"SELECT rel_id, m, round(weight, 4) AS weight, {MODEL} FROM ins", "ins", name="mixture_insertion", of=lambda w: rounded(mixture.to_table(w.spark, _inserted(w)[1])))
+simple(ONE, f"SELECT {EM} FROM ins1", "ins1", name="mixture_insertion_em", of=_inserted_em)
+simple(ONE, """SELECT rel_id, c2 - c1 > 1e-9 * (1 + abs(c1)) AS no_gain, c2 - 11 - (c1 - 5) > 1e-9 * (1 + abs(c1 - 5)) AS aic, c2 - 5.5 * ln(greatest(n, 1)) - (c1 - 2.5 * ln(greatest(n, 1))) > 1e-9 * (1 + abs(c1 - 2.5 * ln(greatest(n, 1)))) AS bic
+  FROM (SELECT o.rel_id, o.n, o.ll AS c1, b.ll AS c2 FROM one_ll o JOIN (SELECT DISTINCT rel_id, loglik AS ll FROM ins2) b ON b.rel_id = o.rel_id)""", "one_ll", "ins2", name="growth_acceptance", of=_acceptance)
+
+
 @query()
 def greedy_mixture(s, d):
     return world(s, d).model
@@ -260,21 +319,14 @@ for _a in ("020", "050", "100"):
     simple(ONE, f"SELECT city_id, edge_id, len_dm, n_paths, round(cost_{_a}, 4) AS cost FROM cost", "cost", name=f"edge_costs_alpha_{_a}", of=lambda w, a=_a: rounded(w.costs.select("city_id", "edge_id", "len_dm", "n_paths", F.col(f"cost_{a}").alias("cost"))))
 
 
-@query("SELECT city_id, s AS source, v, CAST(cost AS DOUBLE) AS cost, hops, CASE WHEN pred >= 0 THEN pred END AS pred FROM ttree WHERE s IN (SELECT min(q.s) FROM tsrc q WHERE q.city_id = ttree.city_id)", "ttree")
+@query("SELECT city_id, s AS source, v, CAST(cost AS DOUBLE) AS cost, hops, CASE WHEN pred >= 0 THEN pred END AS pred FROM ttree", "ttree")
 def search_distributed(s, d):
-    """Labels by rounds over all executors, from each city's smallest trip start as its SQL has it; ``search_distributed_all`` has all starts."""
-    w = world(s, d)
-    return graph.tree_rounds(w.roads, w.trips_i.groupBy("city_id").agg(F.min("s").alias("source"))).drop("edge_id")
-
-
-@query()
-def search_distributed_all(s, d):
     """Labels by rounds over all executors, from every trip start."""
     w = world(s, d)
     return graph.tree_rounds(w.roads, w.trips_i.select("city_id", F.col("s").alias("source"))).drop("edge_id")
 
 
-ORACLES["search_distributed_all"] = ORACLES["shortest_trees"]
+simple(None, "SELECT t.city_id, t.pair_id, CAST(r.cost AS DOUBLE) AS cost FROM trip t JOIN ttree r ON r.city_id = t.city_id AND r.s = t.s AND r.v = t.t", "trip", "ttree", name="search_both_ends", of=lambda w: graph.costs_both_ends(w.roads, routing.keyed(w.trips_i)).drop("settled"))
 
 
 @query()
@@ -294,6 +346,7 @@ simple(None, TPATH, "tpath", name="route_landmarks", of=lambda w: routing.plain(
 simple(ONE, "SELECT t.city_id, t.pair_id, round(r.cost, 4) AS cost FROM trip t JOIN rtree r ON r.city_id = t.city_id AND r.s = t.s AND r.v = t.t", "trip", "rtree", name="route_enriched", of=lambda w: rounded(measures.path_costs(routing.enriched(w.enriched, w.trips_i, "cost_100"), w.costs, "cost_100").select("city_id", "pair_id", F.col("c").alias("cost"))))
 for _shape in ("drawn", "box", "confocal"):
     simple(None, f"SELECT city_id, pair_id, poi_id, round(ds, 4) AS ds, round(dt, 4) AS dt FROM node_{_shape}", f"node_{_shape}", name="ellipse_pois" if _shape == "drawn" else f"ellipse_pois_{_shape}", of=lambda w, k=_shape: rounded(routing.ellipse_pois(routing.located(w.trips_i, w.base.vertices), w.places, k).drop("vertex_id")))
+simple(None, "SELECT * FROM nends", "nends", name="entry_exit_network", of=lambda w: routing.entry_exit_network(w.base, routing.ellipse_pois(routing.located(w.trips_i, w.base.vertices), w.places), w.trips_i))
 simple(None, "SELECT * FROM ends", "ends", name="entry_exit", of=lambda w: routing.entry_exit(routing.ellipse_pois(routing.located(w.trips_i, w.base.vertices), w.places)))
 
 
@@ -311,7 +364,7 @@ def poi_sequence(s, d):
 
 
 def _ladder(w: World) -> DataFrame:
-    return w.routes(w.trips_i, (1.0,))
+    return w.ladder
 
 
 def _hop(**how):
@@ -340,9 +393,9 @@ simple(None, "SELECT city_id, CAST(hour(ts) AS INTEGER) AS hour, event_type, cou
 simple(None, "SELECT city_id, event_type, count(*) AS photos, CAST(grouping(city_id) * 2 + grouping(event_type) AS BIGINT) AS level FROM photo GROUP BY CUBE (city_id, event_type)", "photo", name="photo_cube", of=lambda w: w.photos.cube("city_id", "event_type").agg(F.count("*").alias("photos"), F.grouping_id().alias("level")))
 
 QUERIES |= {
-    "relative_measures": lambda s, d: rounded(world(s, d).measured(_ladder(world(s, d)), (1.0,))),
+    "relative_measures": lambda s, d: rounded(workloads.compared(world(s, d))),
     "route_overlap": lambda s, d: rounded(measures.overlap(_ladder(world(s, d)), world(s, d).costs)),
-    "dominance": lambda s, d: measures.dominance(world(s, d).measured(_ladder(world(s, d)), (1.0,))),
+    "dominance": lambda s, d: measures.dominance(workloads.compared(world(s, d))),
     "discount_popularity_corr": lambda s, d: rounded(measures.discount_popularity_corr(world(s, d).costs, "cost_100", world(s, d).vertex_photos)),
     "setting_alpha": lambda s, d: workloads.setting_alpha(world(s, d)),
     "setting_alpha_ratio_of_means": lambda s, d: workloads.setting_alpha(world(s, d), "ratio_of_means"),
@@ -356,6 +409,51 @@ QUERIES |= {
     "ablation": workloads.ablation,
 }
 
+# ---------------------------------------------------------------- the experiments with all that SQL can follow: one Gaussian per word, costs on a grid
+
+PINNED = {"single": True, "grid": O.GRID}
+FULL = "alpha = CAST(1 AS DOUBLE)"
+SWEPT = "alpha IN (" + ", ".join(f"CAST({a} AS DOUBLE)" for a in workloads.SWEEP) + ")"
+REL = "round(er, 4) AS er, round(er0, 4) AS er0, " + ", ".join(f"round({c}, 4) AS {c}" for c in O.CHANGES)
+ROWS = "SELECT city_id, algo, pair_id, CAST(seq AS INTEGER) AS seq, vertex_id, edge_id, fallback FROM xrows WHERE {}"
+PATH_ROWS = ("city_id", "algo", "pair_id", "seq", "vertex_id", "edge_id", "fallback")
+simple(PINNED, "SELECT city_id, edge_id, " + ", ".join(f"c{O.tag(a)} AS cost_{O.tag(a)}" for a in workloads.ALPHAS) + " FROM pcost", "pcost", name="pinned_edge_costs", of=lambda w: w.costs.drop("u", "v", "len_dm", "n_paths"))
+simple(PINNED, "SELECT city_id, 'ii' AS setting, bracket, CAST(trip_id AS INTEGER) AS trip_id, s, t FROM ytrip", "ytrip", name="trips_network", of=lambda w: w.trips_ii)
+simple(PINNED, ROWS.format(FULL), "xrows", name="pinned_ladder", of=lambda w: w.ladder.select(*PATH_ROWS))
+simple(PINNED, ROWS.format(f"{FULL} AND algo = 'enriched'"), "xrows", name="pinned_route_enriched", of=lambda w: w.ladder.where("algo = 'enriched'").select(*PATH_ROWS))
+simple(PINNED, ROWS.format(f"{FULL} AND algo = 'poi_hop'"), "xrows", name="pinned_route_poi_hop", of=lambda w: routing.poi_hop(w.enriched, w.closeness, w.places, w.trips_i, "cost_100").withColumn("algo", F.lit("poi_hop")).select(*PATH_ROWS))
+simple(PINNED, ROWS.format(f"{FULL} AND algo = 'poi_hop' AND NOT fallback"), "xrows", name="pinned_route_poi_hop_null", of=lambda w: routing.poi_hop(w.enriched, w.closeness, w.places, w.trips_i, "cost_100", on_unreachable="null").withColumn("algo", F.lit("poi_hop")).select(*PATH_ROWS))
+simple(PINNED, f"SELECT r.city_id, pair_id, CAST(seq AS INTEGER) AS seq, poi_id FROM xrows r JOIN snap ON snap.city_id = r.city_id AND snap.b.v = r.vertex_id WHERE {FULL} AND algo = 'poi_hop'", "xrows", "snap", name="pinned_described_routes", of=lambda w: routing.describe(w.ladder.where("algo = 'poi_hop'"), w.places).drop("name"))
+simple(PINNED, f"SELECT city_id, pair_id, algo, CAST(d AS BIGINT) AS d, round(c, 4) AS c, round(er, 4) AS er, hops, CAST(popularity AS BIGINT) AS popularity FROM xm WHERE {FULL}", "xm", name="pinned_measures", of=lambda w: rounded(measures.per_path(w.ladder, w.costs, "cost_100", w.vertex_photos)))
+simple(PINNED, f"SELECT city_id, pair_id, algo, alpha, bracket, d, d0, popularity, p0, {REL} FROM xrel WHERE {FULL}", "xrel", name="pinned_relative_measures", of=lambda w: rounded(workloads.compared(w)))
+simple(PINNED, f"""SELECT city_id, pair_id, round(CAST(sum(CASE WHEN n = 2 THEN len_dm ELSE 0 END) AS DOUBLE) / sum(len_dm), 4) AS overlap FROM (SELECT r.city_id, pair_id, r.edge_id, any_value(len_dm) AS len_dm, count(DISTINCT algo) AS n FROM xrows r JOIN pcost e ON e.city_id = r.city_id AND e.edge_id = r.edge_id
+  WHERE {FULL} AND algo <> 'poi_hop' GROUP BY 1, 2, 3) GROUP BY 1, 2""", "xrows", "pcost", name="pinned_overlap", of=lambda w: rounded(measures.overlap(w.ladder, w.costs)))
+simple(PINNED, f"""SELECT count(*) AS trips, count(*) FILTER (a.d < b.d) AS enriched_shorter, count(*) FILTER (a.d = b.d) AS same_length, count(*) FILTER (b.er < a.er) AS hop_lower_er, count(*) FILTER (b.popularity > a.popularity) AS hop_more_popular, count(*) FILTER (b.popularity = a.popularity) AS same_popularity
+  FROM xrel a JOIN xrel b ON a.pair_id = b.pair_id AND a.alpha = b.alpha AND a.algo = 'enriched' AND b.algo = 'poi_hop' WHERE a.{FULL}""", "xrel", name="pinned_dominance", of=lambda w: measures.dominance(workloads.compared(w)))
+simple(PINNED, "SELECT e.city_id, round(CASE WHEN stddev_pop(1 - c100 / len_dm) > 0 AND stddev_pop(coalesce(a.photos, 0) + coalesce(b.photos, 0)) > 0 THEN corr(1 - c100 / len_dm, coalesce(a.photos, 0) + coalesce(b.photos, 0)) END, 4) AS corr FROM pcost e LEFT JOIN vpop a ON a.city_id = e.city_id AND a.vertex_id = e.u LEFT JOIN vpop b ON b.city_id = e.city_id AND b.vertex_id = e.v GROUP BY 1", "pcost", "vpop", name="pinned_discount_popularity_corr", of=lambda w: rounded(measures.discount_popularity_corr(w.costs, "cost_100", w.vertex_photos)))
+simple(PINNED, O.summary("xrel", "city_id, algo, alpha", SWEPT), "xrel", name="pinned_setting_alpha", of=workloads.setting_alpha)
+simple(PINNED, O.summary("xrel", "city_id, algo, alpha", SWEPT, "ratio_of_means"), "xrel", name="pinned_setting_alpha_ratio_of_means", of=lambda w: workloads.setting_alpha(w, "ratio_of_means"))
+simple(PINNED, O.summary("yrel", "city_id, algo, bracket", FULL), "yrel", name="pinned_setting_bracket", of=workloads.setting_bracket)
+simple(PINNED, "SELECT setting, algo, alpha, bracket, round(avg(len_change), 4) AS len_change, round(avg(pop_change), 4) AS pop_change FROM (SELECT 'i' AS setting, * FROM xrel WHERE alpha = CAST(0.5 AS DOUBLE) UNION ALL SELECT 'ii', * FROM yrel) GROUP BY ALL", "xrel", "yrel", name="pinned_tradeoff", of=workloads.tradeoff)
+for _how, _sets in (("rollup", "ROLLUP"), ("cube", "CUBE")):
+    simple(PINNED, f"SELECT city_id, algo, CAST(grouping(city_id) * 2 + grouping(algo) AS BIGINT) AS level, count(*) AS trips, round(avg(len_change), 4) AS len_change, round(avg(er_gain), 4) AS er_gain, round(avg(pop_change), 4) AS pop_change FROM xrel WHERE {FULL} GROUP BY {_sets} (city_id, algo)", "xrel", name=f"pinned_summary_{_how}", of=lambda w, h=_how: workloads.summary_levels(w, h))
+simple(PINNED, f"SELECT city_id, round(avg(len_change) FILTER (algo = 'enriched'), 4) AS enriched, round(avg(len_change) FILTER (algo = 'poi_hop'), 4) AS poi_hop FROM xrel WHERE {FULL} GROUP BY 1", "xrel", name="pinned_pivot", of=workloads.pivoted)
+
+
+def _sequence_cost(kind: str):
+    def of(w: World) -> DataFrame:
+        nodes = workloads.stored(routing.ellipse_pois(routing.located(w.trips_i, w.base.vertices), w.places), "nodes")
+        edges = workloads.stored(routing.restricted_edges(nodes, w.closeness), "hop-edges")
+        weight = routing.hop_weight(kind, 1.0)
+        found = workloads.stored(routing.poi_sequence(edges, routing.entry_exit(nodes), weight), "sequence")
+        return rounded(routing.sequence_cost(found, edges, weight).select("city_id", "pair_id", "cost"))
+
+    return of
+
+
+for _kind, _block in (("discounted", "xhopd"), ("score", "xhopw")):
+    simple(PINNED, f"SELECT e.city_id, e.pair_id, round(h.cost, 4) AS cost FROM xends e JOIN {_block} h ON h.city_id = e.city_id AND h.pair_id = e.pair_id AND h.v = e.exit", "xends", _block, name=f"pinned_poi_sequence_{_kind}", of=_sequence_cost(_kind))
+
 # ---------------------------------------------------------------- streams
 
 
@@ -372,7 +470,45 @@ def stream_daily_photos(s, d):
     return done.select(F.to_date("start").alias("day"), "event_type", "photos")
 
 
-QUERIES |= {"stream_sliding_photos": _streamed(lambda e: streams.windowed(e, "1 day", "6 hours")), "stream_sessions": _streamed(lambda e: streams.sessions(e)), "stream_running_counts": _streamed(streams.running_counts, "update")}
+CLOCK = "yyyy-MM-dd HH:mm:ss.SSSSSS"
+STRF = "'%Y-%m-%d %H:%M:%S.%f'"
+
+
+@query(f"SELECT strftime(w, {STRF}) AS start, event_type, count(*) AS photos FROM (SELECT event_type, time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') - to_hours(6 * k) AS w FROM events, (VALUES (0), (1), (2), (3)) v(k)) GROUP BY 1, 2")
+def stream_sliding_photos(s, d):
+    done = _streamed(lambda e: streams.windowed(e, "1 day", "6 hours"))(s, d)
+    return done.select(F.date_format("start", CLOCK).alias("start"), "event_type", "photos")
+
+
+SESSIONS = """SELECT user_id, count(*) AS photos, min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS stop FROM (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM (
+  SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, k"""
+
+
+@query(f"SELECT user_id, photos, strftime(start, {STRF}) AS start, strftime(stop, {STRF}) AS stop FROM ({SESSIONS})")
+def stream_sessions(s, d):
+    done = _streamed(lambda e: streams.sessions(e))(s, d)
+    return done.select("user_id", "photos", F.date_format("start", CLOCK).alias("start"), F.date_format("end", CLOCK).alias("stop"))
+
+
+@query("SELECT user_id, count(*) AS seen FROM events GROUP BY 1")
+def stream_running_counts(s, d):
+    """Photos of each user so far, the last row of each."""
+    return _streamed(streams.running_counts, "update")(s, d).groupBy("user_id").agg(F.max("seen").alias("seen"))
+
+
+@query("SELECT * FROM vpop", "vpop")
+def stream_vertex_photos(s, d):
+    """Photos of each vertex so far: a stream-static join with the vertex grid."""
+    w = world(s, d)
+    return _streamed(lambda e: streams.near_vertices(fixtures.photos(s, d, e), w.base.vertices).groupBy("city_id", "vertex_id").agg(F.count("*").alias("photos")))(s, d)
+
+
+@query(DAILY)
+def stream_distinct_photos(s, d):
+    """Daily counts of a stream in which every photo comes twice; the repeat is dropped within the watermark."""
+    twice = lambda e: e.withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).drop("copy")
+    done = _streamed(lambda e: streams.distinct_photos(twice(e)), "append")(s, d)
+    return streams.windowed(done).select(F.to_date("start").alias("day"), "event_type", "photos")
 
 
 @query(DAILY)
@@ -380,8 +516,7 @@ def daily_photos(s, d):
     return streams.windowed(table(s, d, "events")).select(F.to_date("start").alias("day"), "event_type", "photos")
 
 
-@query("""SELECT user_id, count(*) AS photos, min(ts) AS start FROM (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM (
-  SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, k""")
+@query(f"SELECT user_id, photos, start FROM ({SESSIONS})")
 def photo_sessions(s, d):
     return streams.sessions(table(s, d, "events")).select("user_id", "photos", "start")
 
@@ -400,13 +535,11 @@ def photo_asof_model(s, d):
     return extra.asof_join(w.photos.select("city_id", "photo_id", "ts"), versions, ["city_id"]).select("city_id", "photo_id", "version")
 
 
-@query()
+@query("SELECT city_id, s AS source, v, hops FROM around", "around")
 def reachable(s, d):
-    return extra.reachable(world(s, d).base.edges, 0, 0, 6)
-
-
-O.BLOCKS["around"] = (("e",), "SELECT CAST(0 AS BIGINT) AS v, 0 AS h UNION SELECT a.b, h + 1 FROM around JOIN (SELECT u AS a, v AS b FROM e WHERE city_id = 0 UNION ALL SELECT v, u FROM e WHERE city_id = 0) a ON a.a = around.v WHERE h < 6")
-ORACLES["reachable"] = O.sql("SELECT v, CAST(min(h) AS INTEGER) AS hops FROM around GROUP BY 1", "around")
+    """Vertices within six steps of every trip start."""
+    w = world(s, d)
+    return extra.reachable(w.base.edges, w.trips_i.select("city_id", F.col("s").alias("source")), 6)
 
 
 @query()
@@ -415,7 +548,7 @@ def fuzzy_names(s, d):
     return extra.fuzzy_names(fixtures.heldout_names(s, d), w.gazetteer)
 
 
-@query()
+@query("""SELECT p.city_id, pair_id, '{"type":"LineString","coordinates":[' || string_agg('[' || x || ',' || y || ']', ',' ORDER BY seq) || ']}' AS route FROM tpath p JOIN v ON v.city_id = p.city_id AND v.vertex_id = p.vertex_id GROUP BY 1, 2""", "tpath", "v")
 def route_geojson(s, d):
     w = world(s, d)
     return extra.geojson(routing.plain(w.roads, w.trips_i), w.vertices)

@@ -97,6 +97,17 @@ def em_round(model: str, out: str) -> dict[str, tuple[tuple[str, ...], str]]:
 
 
 BLOCKS |= em_round("two", "em1") | em_round("em1", "em2")
+# One step of growth from the single Gaussian, for words with five statements or more.
+BLOCKS |= {
+    "axis": (("one",), """SELECT *, sqrt(greatest(top, 0)) AS sd, vx / sqrt(vx * vx + vy * vy) AS ex, vy / sqrt(vx * vx + vy * vy) AS ey FROM (SELECT *, CASE WHEN abs(s_do) > 1e-12 THEN s_do WHEN s_dd >= s_oo THEN 1 ELSE 0 END AS vx, CASE WHEN abs(s_do) > 1e-12 THEN top - s_dd WHEN s_dd >= s_oo THEN 0 ELSE 1 END AS vy
+      FROM (SELECT *, (s_dd + s_oo) / 2 + sqrt(pow((s_dd - s_oo) / 2, 2) + s_do * s_do) AS top FROM one WHERE n >= 5))"""),
+    "trial": (("axis",), """SELECT rel_id, k, m, 0.5 AS weight, mu_d + m * side * sd * ex AS mu_d, mu_o + m * side * sd * ey AS mu_o, (1 - 0.5 * m) * s_dd AS s_dd, (1 - 0.5 * m) * s_do AS s_do, (1 - 0.5 * m) * s_oo AS s_oo FROM axis, (VALUES (0, 1), (1, -1)) a(k, side), (VALUES (0), (1)) b(m)"""),
+    "judged": (("trial", "vec"), f"""SELECT rel_id, k, sum(w * lp) AS ll FROM (SELECT rel_id, k, city_id, pi, pj, any_value(w) AS w, max(mt) + ln(sum(exp(t - mt))) AS lp FROM (SELECT *, max(t) OVER (PARTITION BY rel_id, k, city_id, pi, pj) AS mt FROM (
+      SELECT vec.*, k, ln(weight) + {log_gauss('trial')} AS t FROM vec JOIN trial USING (rel_id))) GROUP BY 1, 2, 3, 4, 5) GROUP BY 1, 2"""),
+    "ins": (("trial", "judged"), "SELECT trial.* EXCLUDE (k) FROM trial JOIN (SELECT rel_id, min({'l': -ll, 'k': k}).k AS k FROM judged GROUP BY 1) b ON b.rel_id = trial.rel_id AND b.k = trial.k"),
+}
+BLOCKS |= em_round("ins", "ins1") | em_round("ins1", "ins2")
+BLOCKS["one_ll"] = (("one", "vec"), f"SELECT rel_id, sum(w) AS n, sum(w * lp) AS ll FROM (SELECT vec.*, {log_gauss('one')} AS lp FROM vec JOIN one USING (rel_id) WHERE n >= 5) GROUP BY 1")
 
 
 def posterior(prior: str) -> dict[str, tuple[tuple[str, ...], str]]:
@@ -195,6 +206,129 @@ BLOCKS |= {
 RECURSIVE = {t: f"{t}(city_id, s, v, cost, hops, pred) USING KEY (city_id, s, v)" for t in ("ttree", "ctree", "rtree")} | {"hop": "hop(city_id, pair_id, v, cost, hops, pred) USING KEY (city_id, pair_id, v)"}
 
 
+# ---------------------------------------------------------------- the experiments, with one Gaussian per word and costs on a binary grid
+
+#: Parts of a decimetre that a pinned cost is a multiple of.
+GRID = 1024
+ALPHAS = (0.2, 0.4, 0.5, 0.6, 0.8, 1.0)
+CHANGES = ("len_change", "er_gain", "er_drop", "pop_change")
+
+
+def tag(alpha: float) -> str:
+    return f"{round(100 * alpha):03d}"
+
+
+def labels(name: str, source: str, arcs: str, weight: str) -> dict[str, tuple[tuple[str, ...], str]]:
+    """Like ``tree``, over arcs that exist already."""
+    RECURSIVE[name] = f"{name}(city_id, s, v, cost, hops, pred) USING KEY (city_id, s, v)"
+    return {
+        name: ((source, arcs), f"""SELECT city_id, s, s, CAST(0 AS DOUBLE), 0, CAST(-1 AS BIGINT) FROM {source}
+         UNION (SELECT city_id, s, v, l.cost, l.hops, l.pred FROM (
+           SELECT t.city_id, t.s, r.b AS v, min({{'cost': t.cost + r.{weight}, 'hops': t.hops + 1, 'pred': t.v}}) AS l FROM {name} t JOIN {arcs} r ON r.city_id = t.city_id AND r.a = t.v GROUP BY 1, 2, 3) n
+           WHERE NOT EXISTS (SELECT 1 FROM recurring.{name} o WHERE o.city_id = n.city_id AND o.s = n.s AND o.v = n.v AND {{'cost': o.cost, 'hops': o.hops, 'pred': o.pred}} <= n.l))"""),
+    }
+
+
+FACTORS = ", ".join(f"product(1 - CAST({a} AS DOUBLE) * W) AS f{tag(a)}" for a in ALPHAS)
+COSTS = ", ".join(f"round(len_dm * coalesce(f{tag(a)}, 1) * {GRID}) / {GRID} AS c{tag(a)}" for a in ALPHAS)
+NAMES = ", ".join(f"c{tag(a)}" for a in ALPHAS)
+BLOCKS |= {
+    "pfac": (("cpath_e", "cp"), f"SELECT q.city_id, edge_id, {FACTORS} FROM (SELECT DISTINCT city_id, pair_id, edge_id FROM cpath_e WHERE edge_id IS NOT NULL) q JOIN cp ON cp.city_id = q.city_id AND cp.pair_id = q.pair_id GROUP BY 1, 2"),
+    "pcost": (("pfac", "e"), f"SELECT e.city_id, e.edge_id, u, v, CAST(len_dm AS DOUBLE) AS len, len_dm, {COSTS} FROM e LEFT JOIN pfac ON pfac.city_id = e.city_id AND pfac.edge_id = e.edge_id"),
+    "parc": (("pcost",), f"SELECT city_id, u AS a, v AS b, len, {NAMES} FROM pcost UNION ALL SELECT city_id, v, u, len, {NAMES} FROM pcost"),
+    "xtrip": (("trip",), "SELECT city_id, pair_id, '30-50' AS bracket, s, t, sx, sy, tx, ty FROM trip"),
+    "csrc2": (("cand",), "SELECT DISTINCT city_id, s FROM cand"),
+}
+BLOCKS |= labels("xreach", "csrc2", "parc", "len")
+BRACKET = "(VALUES " + ", ".join(f"('{lo}-{lo + 10}', CAST({lo / 100} AS DOUBLE), CAST({(lo + 10) / 100} AS DOUBLE))" for lo in range(10, 60, 10)) + ") b(bracket, lo, hi)"
+BLOCKS["ytrip"] = (("cand", "ext", "xreach"), f"""SELECT *, city_id || '/ii/' || bracket || '/' || trip_id AS pair_id FROM (
+  SELECT c.*, bracket, row_number() OVER (PARTITION BY c.city_id, bracket ORDER BY md5('42:' || c.s || ':' || c.t), c.s, c.t) AS trip_id FROM cand c JOIN ext ON ext.city_id = c.city_id
+  JOIN xreach r ON r.city_id = c.city_id AND r.s = c.s AND r.v = c.t, {BRACKET} WHERE r.cost / 10 / extent >= lo AND r.cost / 10 / extent < hi) WHERE trip_id <= {N_TRIPS}""")
+BLOCKS["pclo"] = (("clo", "pv"), """SELECT b.city_id, b.pi, b.pj, min(dist) AS dist, max(W) AS W FROM (SELECT pv.city_id, pv.pi, pv.pj, dist, W FROM pv JOIN clo USING (city_id, pi, pj) UNION ALL SELECT pv.city_id, pv.pj, pv.pi, dist, W FROM pv JOIN clo USING (city_id, pi, pj)) b GROUP BY 1, 2, 3""")
+
+
+def hops(x: str, weight: str, suffix: str = "") -> dict[str, tuple[tuple[str, ...], str]]:
+    """The sequences of places of the trips of block ``{x}trip``, under a weight of dist and W."""
+    n = f"{x}hop{suffix}"
+    RECURSIVE[n] = f"{n}(city_id, pair_id, v, cost, hops, pred) USING KEY (city_id, pair_id, v)"
+    return {
+        f"{n}_e": (("pclo", f"{x}node"), f"SELECT n.city_id, n.pair_id, b.pi AS a, b.pj AS b, {weight} AS w FROM {x}node n JOIN pclo b ON b.city_id = n.city_id AND b.pi = n.poi_id JOIN {x}node m ON m.city_id = n.city_id AND m.pair_id = n.pair_id AND m.poi_id = b.pj"),
+        n: ((f"{x}ends", f"{n}_e"), f"""SELECT city_id, pair_id, entry, CAST(0 AS DOUBLE), 0, CAST(-1 AS BIGINT) FROM {x}ends
+          UNION (SELECT city_id, pair_id, v, l.cost, l.hops, l.pred FROM (SELECT t.city_id, t.pair_id, r.b AS v, min({{'cost': t.cost + r.w, 'hops': t.hops + 1, 'pred': t.v}}) AS l FROM {n} t JOIN {n}_e r ON r.city_id = t.city_id AND r.pair_id = t.pair_id AND r.a = t.v GROUP BY 1, 2, 3) n
+          WHERE NOT EXISTS (SELECT 1 FROM recurring.{n} o WHERE o.city_id = n.city_id AND o.pair_id = n.pair_id AND o.v = n.v AND {{'cost': o.cost, 'hops': o.hops, 'pred': o.pred}} <= n.l))"""),
+    }
+
+
+def journey(x: str, alphas: tuple[float, ...]) -> dict[str, tuple[tuple[str, ...], str]]:
+    """The three planners on the trips of block ``{x}trip``: path rows {x}rows, per-path measures {x}m, changes {x}rel."""
+    t = f"{x}trip"
+    out = {
+        f"{x}node": ((t, "poi"), f"SELECT t.city_id, t.pair_id, p.poi_id, {LINE.format(x1='p.x', x2='sx', y1='p.y', y2='sy')} AS ds, {LINE.format(x1='p.x', x2='tx', y1='p.y', y2='ty')} AS dt FROM {t} t JOIN poi p ON p.city_id = t.city_id WHERE {in_shape('drawn')}"),
+        f"{x}ends": ((f"{x}node",), f"SELECT city_id, pair_id, min({{'d': ds, 'p': poi_id}}).p AS entry, min({{'d': dt, 'p': poi_id}}).p AS exit FROM {x}node GROUP BY 1, 2"),
+        **hops(x, "b.dist"),
+        f"{x}seq": ((f"{x}hop", f"{x}ends"), f"SELECT h.city_id, h.pair_id, h.hops AS seq, h.v AS poi_id, h.pred FROM {x}ends e JOIN {x}hop h ON h.city_id = e.city_id AND h.pair_id = e.pair_id AND h.v = e.exit UNION ALL SELECT h.city_id, h.pair_id, h.hops, h.v, h.pred FROM {x}seq q JOIN {x}hop h ON h.city_id = q.city_id AND h.pair_id = q.pair_id AND h.v = q.pred"),
+        f"{x}stop": ((f"{x}seq", "snap", t), f"""SELECT city_id, pair_id, stop, vertex_id FROM (SELECT *, lag(vertex_id) OVER (PARTITION BY pair_id ORDER BY stop) AS p FROM (
+          SELECT q.city_id, pair_id, seq + 1 AS stop, snap.b.v AS vertex_id FROM {x}seq q JOIN snap ON snap.city_id = q.city_id AND snap.poi_id = q.poi_id
+          UNION ALL SELECT city_id, pair_id, 0, s FROM {t} WHERE pair_id IN (SELECT pair_id FROM {x}seq) UNION ALL SELECT city_id, pair_id, 1000000, t FROM {t} WHERE pair_id IN (SELECT pair_id FROM {x}seq))) WHERE p IS NULL OR p <> vertex_id"""),
+        f"{x}leg": ((f"{x}stop",), f"SELECT *, s || '>' || t AS leg_id FROM (SELECT city_id, pair_id, row_number() OVER k AS leg, vertex_id AS s, lead(vertex_id) OVER k AS t FROM {x}stop WINDOW k AS (PARTITION BY pair_id ORDER BY stop)) WHERE t IS NOT NULL"),
+        f"{x}src": ((t, f"{x}leg"), f"SELECT city_id, s FROM {t} UNION SELECT city_id, s FROM {x}leg"),
+        f"{x}way": ((t, f"{x}leg"), f"SELECT city_id, 'trip' AS kind, pair_id, s, t FROM {t} UNION ALL SELECT DISTINCT city_id, 'leg', leg_id, s, t FROM {x}leg"),
+    }
+
+    def walked(name: str, tree: str, which: str) -> dict[str, tuple[tuple[str, ...], str]]:
+        return {
+            f"{name}_w": ((f"{x}way", tree), f"SELECT p.city_id, p.kind, p.pair_id, p.s, t.hops AS seq, t.v AS vertex_id, t.pred FROM {x}way p JOIN {tree} t ON t.city_id = p.city_id AND t.s = p.s AND t.v = p.t {which} UNION ALL SELECT w.city_id, w.kind, w.pair_id, w.s, t.hops, t.v, t.pred FROM {name}_w w JOIN {tree} t ON t.city_id = w.city_id AND t.s = w.s AND t.v = w.pred"),
+            name: ((f"{name}_w", "pcost"), f"SELECT w.city_id, w.kind, w.pair_id, w.seq, w.vertex_id, e.edge_id FROM {name}_w w LEFT JOIN pcost e ON e.city_id = w.city_id AND e.u = least(w.vertex_id, w.pred) AND e.v = greatest(w.vertex_id, w.pred)"),
+        }
+
+    out |= labels(f"{x}lt", f"{x}src", "parc", "len") | walked(f"{x}lp", f"{x}lt", "WHERE p.kind = 'trip'")
+    rows, need = [], [f"{x}lp", t, f"{x}leg"]
+    for a in alphas:
+        k = tag(a)
+        out |= labels(f"{x}t{k}", f"{x}src", "parc", f"c{k}") | walked(f"{x}p{k}", f"{x}t{k}", "")
+        out[f"{x}done{k}"] = ((f"{x}leg", f"{x}p{k}"), f"SELECT pair_id FROM {x}leg l LEFT JOIN (SELECT city_id, pair_id AS leg_id, max(seq) AS n FROM {x}p{k} WHERE kind = 'leg' GROUP BY 1, 2) q USING (city_id, leg_id) GROUP BY 1 HAVING count(*) = count(n)")
+        out[f"{x}h{k}"] = ((f"{x}leg", f"{x}p{k}", f"{x}done{k}"), f"""SELECT city_id, pair_id, row_number() OVER (PARTITION BY pair_id ORDER BY leg, seq) - 1 AS seq, vertex_id, edge_id FROM (
+          SELECT l.city_id, l.pair_id, leg, p.seq, p.vertex_id, p.edge_id FROM {x}leg l JOIN {x}p{k} p ON p.kind = 'leg' AND p.city_id = l.city_id AND p.pair_id = l.leg_id WHERE l.pair_id IN (SELECT pair_id FROM {x}done{k}) AND (p.seq > 0 OR leg = 1))""")
+        al = f"CAST({a} AS DOUBLE) AS alpha"
+        rows.append(f"""SELECT {al}, 'plain' AS algo, false AS fallback, city_id, pair_id, seq, vertex_id, edge_id FROM {x}lp UNION ALL SELECT {al}, 'enriched', false, city_id, pair_id, seq, vertex_id, edge_id FROM {x}p{k} WHERE kind = 'trip'
+          UNION ALL SELECT {al}, 'poi_hop', false, city_id, pair_id, seq, vertex_id, edge_id FROM {x}h{k} UNION ALL SELECT {al}, 'poi_hop', true, city_id, pair_id, seq, vertex_id, edge_id FROM {x}p{k} WHERE kind = 'trip' AND pair_id NOT IN (SELECT pair_id FROM {x}done{k})""")
+        need += [f"{x}p{k}", f"{x}h{k}", f"{x}done{k}"]
+    own = "CASE " + " ".join(f"WHEN alpha = CAST({a} AS DOUBLE) THEN c{tag(a)}" for a in alphas) + " END"
+    out[f"{x}rows"] = (tuple(need), " UNION ALL ".join(rows))
+    out[f"{x}m"] = ((f"{x}rows", "pcost", "vpop"), f"""SELECT *, CASE WHEN d > 0 THEN c / d END AS er FROM (SELECT alpha, algo, r.city_id, pair_id, coalesce(sum(len_dm), 0) AS d, coalesce(sum({own}), 0) AS c, count(r.edge_id) AS hops, coalesce(sum(photos), 0) AS popularity
+      FROM {x}rows r LEFT JOIN pcost e ON e.city_id = r.city_id AND e.edge_id = r.edge_id LEFT JOIN vpop q ON q.city_id = r.city_id AND q.vertex_id = r.vertex_id GROUP BY 1, 2, 3, 4)""")
+    over = lambda n, z: f"CASE WHEN {z} <> 0 THEN CAST({n} AS DOUBLE) / {z} END"
+    out[f"{x}rel"] = ((f"{x}m",), f"""SELECT m.alpha, m.algo, m.city_id, m.pair_id, split_part(m.pair_id, '/', 3) AS bracket, CAST(m.d AS BIGINT) AS d, CAST(b.d AS BIGINT) AS d0, m.er, b.er AS er0, CAST(m.popularity AS BIGINT) AS popularity, CAST(b.popularity AS BIGINT) AS p0,
+      {over('m.d', 'b.d')} - 1 AS len_change, {over('b.er', 'm.er')} - 1 AS er_gain, 1 - {over('m.er', 'b.er')} AS er_drop, {over('m.popularity', 'b.popularity')} - 1 AS pop_change
+      FROM {x}m m JOIN {x}m b ON b.alpha = m.alpha AND b.pair_id = m.pair_id AND b.algo = 'plain' WHERE m.algo <> 'plain'""")
+    return out
+
+
+BLOCKS |= {
+    "tsrc2": (("trip",), "SELECT DISTINCT city_id, t AS s FROM trip"),
+    "nends": (("node_drawn", "snap", "trip", "ttree", "utree"), """SELECT n.city_id, n.pair_id, min({'d': a.cost, 'p': n.poi_id}).p AS entry, min({'d': b.cost, 'p': n.poi_id}).p AS exit FROM node_drawn n JOIN snap ON snap.city_id = n.city_id AND snap.poi_id = n.poi_id
+      JOIN trip t ON t.city_id = n.city_id AND t.pair_id = n.pair_id JOIN ttree a ON a.city_id = n.city_id AND a.s = t.s AND a.v = snap.b.v JOIN utree b ON b.city_id = n.city_id AND b.s = t.t AND b.v = snap.b.v GROUP BY 1, 2"""),
+    "around": (("tsrc", "e"), """SELECT city_id, s, s, 0 FROM tsrc UNION (SELECT r.city_id, r.s, a.v, min(r.hops + 1) FROM around r JOIN (SELECT city_id, u, v FROM e UNION ALL SELECT city_id, v, u FROM e) a ON a.city_id = r.city_id AND a.u = r.v
+      WHERE r.hops < 6 AND NOT EXISTS (SELECT 1 FROM recurring.around o WHERE o.city_id = r.city_id AND o.s = r.s AND o.v = a.v) GROUP BY 1, 2, 3)"""),
+}
+RECURSIVE["around"] = "around(city_id, s, v, hops) USING KEY (city_id, s, v)"
+BLOCKS |= tree("tsrc2", "len_dm", "utree")
+RECURSIVE["utree"] = "utree(city_id, s, v, cost, hops, pred) USING KEY (city_id, s, v)"
+BLOCKS |= journey("x", (0.2, 0.4, 0.5, 0.6, 0.8, 1.0)) | journey("y", (0.5, 1.0)) | hops("x", "b.dist * (1 - b.W)", "d") | hops("x", "1 - b.W", "w")
+RECURSIVE |= {f"{x}{k}": f"{x}{k}" for x in "xy" for k in ("seq",)}
+
+
+def means(mode: str = "mean_of_ratios") -> str:
+    if mode == "mean_of_ratios":
+        return ", ".join(f"round(avg({c}), 4) AS {c}" for c in CHANGES)
+    ratio = lambda n, z: f"CASE WHEN avg({z}) <> 0 THEN avg({n}) / avg({z}) END"
+    return f"round({ratio('d', 'd0')} - 1, 4) AS len_change, round({ratio('er0', 'er')} - 1, 4) AS er_gain, round(1 - {ratio('er', 'er0')}, 4) AS er_drop, round({ratio('popularity', 'p0')} - 1, 4) AS pop_change"
+
+
+def summary(block: str, keys: str, where: str = "true", mode: str = "mean_of_ratios") -> str:
+    return f"SELECT {keys}, count(*) AS trips, count(*) FILTER (p0 = 0) AS n_undefined, {means(mode)} FROM {block} WHERE {where} GROUP BY ALL"
+
+
 def sql(final: str, *need: str) -> str:
     """``final`` with the blocks it needs before it."""
     order: list[str] = []

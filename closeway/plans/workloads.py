@@ -25,10 +25,12 @@ def stored(df: DataFrame, name: str) -> DataFrame:
 class World:
     """All stages of one scale, each made when first asked for."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, prior: str = "pair_frequency", scope: str = "per_relation", use_syntax: bool = True, pairs: str = "ordered", shape: str = "drawn", pseudo: bool = False, max_components: int = 3, combine: str = "sum", single: bool = False):
+    def __init__(self, spark: SparkSession, sf_dir: str, prior: str = "pair_frequency", scope: str = "per_relation", use_syntax: bool = True, pairs: str = "ordered", shape: str = "drawn", pseudo: bool = False, max_components: int = 3, combine: str = "sum", single: bool = False, grid: int = 0, trips: int | None = None):
         self.spark, self.sf_dir, self.prior, self.scope, self.use_syntax = spark, sf_dir, prior, scope, use_syntax
         self.pair_mode, self.shape, self.pseudo, self.max_components, self.combine = pairs, shape, pseudo, max_components, combine
         self.single = single  # one Gaussian per word in closed form instead of a grown mixture
+        self.grid = grid  # discounted costs rounded to so many parts of a decimetre: sums are then exact and paths unique in any engine
+        self.trips = trips  # per city and bracket; None: by the size of the smallest city
         self.lexicon = text.TABLE_LEXICON
 
     @property
@@ -109,7 +111,10 @@ class World:
 
     @cached_property
     def costs(self) -> DataFrame:
-        return stored(graph.edge_costs(self.roads.edges, self.pair_paths, self.pairs, list(ALPHAS)), "costs")
+        c = graph.edge_costs(self.roads.edges, self.pair_paths, self.pairs, list(ALPHAS))
+        if self.grid:
+            c = c.withColumns({k: F.round(F.col(k) * self.grid) / self.grid for k in map(graph.cost_name, ALPHAS)})
+        return stored(c, "costs")
 
     @cached_property
     def enriched(self) -> graph.RoadGraph:
@@ -125,6 +130,8 @@ class World:
 
     @cached_property
     def n_trips(self) -> int:
+        if self.trips is not None:
+            return self.trips
         least = self.vertices.groupBy("city_id").count().agg(F.min("count")).first()[0] or 0
         return TRIPS if least >= FEW_VERTICES else FEW_TRIPS
 
@@ -144,15 +151,21 @@ class World:
         """(alpha, algo, path rows): the plain route once, the other two per alpha."""
         no = F.lit(False).alias("fallback")
         plain = stored(routing.plain(self.roads, trips), "plain")
+        plan = routing.hop_plan(self.enriched, self.closeness, self.places, trips, self.shape)
         out = None
         for a in alphas:
             cost = graph.cost_name(a)
             e = routing.enriched(self.enriched, trips, cost).select("*", no, F.lit("enriched").alias("algo"))
-            h = routing.poi_hop(self.enriched, self.closeness, self.places, trips, cost, self.shape).withColumn("algo", F.lit("poi_hop"))
+            h = routing.drive(self.enriched, plan, trips, cost).withColumn("algo", F.lit("poi_hop"))
             part = plain.select("*", no, F.lit("plain").alias("algo")).unionByName(e).unionByName(h).withColumn("alpha", F.lit(a))
             out = part if out is None else out.unionByName(part)
         return stored(out, "routes")
 
+    @cached_property
+    def ladder(self) -> DataFrame:
+        """The three planners on the trips of setting i at full strength."""
+        return self.routes(self.trips_i, (1.0,))
+
     def measured(self, routes: DataFrame, alphas: tuple[float, ...]) -> DataFrame:
         """(alpha, per-trip changes against the plain route)."""
         out = None
@@ -179,6 +192,11 @@ def setting_bracket(w: World, mode: str = "mean_of_ratios") -> DataFrame:
     return rounded(measures.summarise(r, ["city_id", "algo", "bracket"], mode))
 
 
+def compared(w: World) -> DataFrame:
+    """Changes per trip of setting i at full strength."""
+    return w.measured(w.ladder, (1.0,))
+
+
 def tradeoff(w: World) -> DataFrame:
     """Popularity against length: alpha 0.5 for both settings, and 1 for setting ii."""
     i = w.measured(w.routes(w.trips_i, (0.5,)), (0.5,)).withColumn("setting", F.lit("i"))
@@ -188,34 +206,35 @@ def tradeoff(w: World) -> DataFrame:
 
 def summary_levels(w: World, how: str = "rollup") -> DataFrame:
     """Mean changes by city and planner with totals: ``rollup`` or ``cube``."""
-    r = w.measured(w.routes(w.trips_i, (1.0,)), (1.0,))
+    r = compared(w)
     g = r.rollup("city_id", "algo") if how == "rollup" else r.cube("city_id", "algo")
     return rounded(g.agg(F.grouping_id().alias("level"), F.count("*").alias("trips"), F.avg("len_change").alias("len_change"), F.avg("er_gain").alias("er_gain"), F.avg("pop_change").alias("pop_change")))
 
 
 def pivoted(w: World) -> DataFrame:
     """Length change with a column per planner."""
-    r = w.measured(w.routes(w.trips_i, (1.0,)), (1.0,))
+    r = compared(w)
     return rounded(r.groupBy("city_id").pivot("algo", ["enriched", "poi_hop"]).agg(F.avg("len_change")))
 
 
 def ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One row per variant: what the prior, normaliser, region, syntax test, pair order, snapping and combination change."""
+    """One row per variant: what the prior, normaliser, region, syntax test, pair order, snapping, combination and the grown mixture change."""
     variants = {
         "default": {}, "prior=pair_uniform": {"prior": "pair_uniform"}, "prior=corpus_frequency": {"prior": "corpus_frequency"}, "prior=corpus_uniform": {"prior": "corpus_uniform"},
         "scope=global": {"scope": "global"}, "scope=none": {"scope": "none"}, "syntax=off": {"use_syntax": False}, "pairs=unordered": {"pairs": "unordered"},
-        "shape=confocal": {"shape": "confocal"}, "shape=none": {"shape": "none"}, "snap=pseudo": {"pseudo": True}, "combine=noisy_or": {"combine": "noisy_or"},
+        "shape=confocal": {"shape": "confocal"}, "shape=none": {"shape": "none"}, "snap=pseudo": {"pseudo": True}, "combine=noisy_or": {"combine": "noisy_or"}, "model=single": {"single": True},
     }
     # Stages that a variant leaves alone are made once.
-    first = World(spark, sf_dir, single=True)
+    first = World(spark, sf_dir)
     roads = ("gazetteer", "pois", "vertices", "base", "photos", "n_trips", "trips_i")
     words = ("triplets", "relations", "vectors", "pair_vectors", "model")
     for stage in roads + words:
         getattr(first, stage)
     out = None
     for name, options in variants.items():
-        w = World(spark, sf_dir, single=True, **options)
-        w.__dict__.update({k: first.__dict__[k] for k in roads + words * ("use_syntax" not in options)})
+        w = World(spark, sf_dir, **options)
+        own = {"model"} if "single" in options else set()
+        w.__dict__.update({k: first.__dict__[k] for k in roads + words * ("use_syntax" not in options) if k not in own})
         r = w.measured(w.routes(w.trips_i, (1.0,)), (1.0,))
         s = measures.summarise(r, ["algo"]).withColumn("variant", F.lit(name))
         out = s if out is None else out.unionByName(s)

@@ -81,14 +81,18 @@ def heldout_names(spark: SparkSession, sf_dir: str) -> DataFrame:
     return names.where((hex_part(F.col("name"), 1) % 4 == 1) & (hex_part(F.col("name"), 9) % 25 == 0)).select("name")
 
 
-def photos(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(city_id, photo_id, user_id, ts, event_type, x, y): purchases and sign-ups near the host place, others spread."""
+def photos(spark: SparkSession, sf_dir: str, events: DataFrame | None = None) -> DataFrame:
+    """(city_id, photo_id, user_id, ts, event_type, x, y): purchases and sign-ups near the host place, others spread.
+
+    ``events`` may be a stream of the event table's rows.
+    """
+    events = table(spark, sf_dir, "events") if events is None else events
     vertices = road_vertices(spark, sf_dir)
     nation = table(spark, sf_dir, "nation").select(F.col("n_nationkey").alias("s_nationkey"), F.col("n_regionkey").cast("int").alias("city_id"))
     host = table(spark, sf_dir, "supplier").join(F.broadcast(nation), "s_nationkey").select("city_id", F.col("s_suppkey").alias("key"), F.abs(F.round(100 * F.col("s_acctbal"))).cast("long").alias("cents"))
     n = table(spark, sf_dir, "supplier").agg(F.count("*").alias("n"), F.min("s_suppkey").alias("lo"))
     placed = _placed(host, vertices).withColumnRenamed("x", "px").withColumnRenamed("y", "py").join(F.broadcast(_extent(vertices)), "city_id")
-    e = table(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type").join(F.broadcast(n)).withColumn("key", F.col("user_id") % F.col("n") + F.col("lo"))
+    e = events.select("event_id", "ts", "user_id", "event_type").join(F.broadcast(n)).withColumn("key", F.col("user_id") % F.col("n") + F.col("lo"))
     near = F.col("event_type").isin("purchase", "signup")
     i, c = F.col("event_id"), F.col("cents")
     return e.join(placed, "key").select(
@@ -138,3 +142,18 @@ def lineitem_vectors_source(spark: SparkSession, sf_dir: str) -> DataFrame:
     a, b = p.select(F.col("poi_id").alias("pi"), "city_id", F.col("x").alias("xi"), F.col("y").alias("yi")), p.select(F.col("poi_id").alias("pj"), F.col("city_id").alias("cj"), F.col("x").alias("xj"), F.col("y").alias("yj"))
     d = distance(F.col("xi"), F.col("yi"), F.col("xj"), F.col("yj"))
     return li.join(a, "pi").join(b, "pj").where("city_id = cj").join(F.broadcast(v)).where(d <= 100 * (2 + F.col("l_linenumber")) * F.greatest(F.lit(1.0), F.col("m") / 20.0)).select("city_id", (F.col("l_linenumber") % 5).cast("int").alias("rel_id"), "pi", "pj", "xi", "yi", "xj", "yj")
+
+
+def planted_statements(spark: SparkSession, sf_dir: str, phrases: list[str]) -> DataFrame:
+    """(doc_id, pi, pj, nth, ni, nj): every supplier beside the next of its city, with the place of one of the phrases and a name of letters each."""
+    p = pois(spark, sf_dir).select("city_id", "poi_id")
+    nxt = F.lead("poi_id").over(Window.partitionBy("city_id").orderBy("poi_id"))
+    name = lambda c: F.concat(F.lit("p"), F.translate(F.col(c).cast("string"), "0123456789", "abcdefghij"))
+    t = p.withColumn("pj", nxt).where("pj is not null").withColumnRenamed("poi_id", "pi")
+    return t.select(F.col("pi").alias("doc_id"), "pi", "pj", (F.col("pi") % len(phrases)).cast("int").alias("nth"), name("pi").alias("ni"), name("pj").alias("nj"))
+
+
+def planted_texts(planted: DataFrame, phrases: list[str]) -> DataFrame:
+    """(doc_id, text): a sentence for each statement, and one that says nothing."""
+    phrase = F.element_at(F.array(*map(F.lit, phrases)), F.col("nth") + 1)
+    return planted.select("doc_id", F.concat(F.col("ni"), F.lit(" is "), phrase, F.lit(" the "), F.col("nj"), F.lit(". We saw "), F.col("ni"), F.lit(" and then "), F.col("nj"), F.lit(" later.")).alias("text"))

@@ -76,11 +76,23 @@ def running_counts(photos: DataFrame, key: str = "user_id", expire_ms: int = 86_
 
 
 def finished(stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
-    """Run a stream over what there is now and give its result table (a memory sink; for small results)."""
+    """Run a stream over what there is now into Parquet files of the shared folder and read them.
+
+    Each micro-batch has a folder by its number, so a batch that is run again replaces its own files. ``complete`` reads
+    the last batch; ``append`` and ``update`` read all (a key that several batches update has a row from each).
+    """
     spark = stream.sparkSession
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{shared_dir(spark)}/stream-{name}").start()
+    path, last = f"{shared_dir(spark)}/stream-{name}", [-1]
+
+    def batch(df: DataFrame, batch_id: int) -> None:
+        df.write.mode("overwrite").parquet(f"{path}/out/batch={batch_id}")
+        last[0] = max(last[0], batch_id)
+
+    q = stream.writeStream.foreachBatch(batch).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{path}/state").start()
     q.awaitTermination()
-    return spark.table(name)
+    if last[0] < 0:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(f"{path}/out/batch={last[0]}" if mode == "complete" else f"{path}/out/batch=*")
 
 
 def incremental_pairs(texts: DataFrame, gazetteer: DataFrame, merge: Callable[[DataFrame, int], None], **how):

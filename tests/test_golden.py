@@ -2,6 +2,7 @@
 
 import math
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -239,3 +240,91 @@ def test_built_in_mixture_agrees(spark):
     ours = mixture.fit_fixed(v, 2, rounds=30).loglik[0]
     theirs = GaussianMixture(k=2, seed=3, maxIter=60).fit(VectorAssembler(inputCols=["dist", "theta"], outputCol="features").transform(v)).summary.logLikelihood
     assert ours >= theirs - 0.01 * abs(theirs)
+
+
+# ---------------------------------------------------------------- growth of mixtures, by hand and by both ways
+
+
+def two_clouds(spark, seed=5, n=120):
+    rng = np.random.default_rng(seed)
+    rows = []
+    for rel, centres in ((0, [(100.0, 1.0), (400.0, 4.0)]), (1, [(200.0, 2.0)]), (2, [(50.0, 0.5), (300.0, 3.0), (600.0, 5.5)])):
+        for i in range(n):
+            d, o = centres[i % len(centres)]
+            rows.append((rel, float(d + 15 * rng.standard_normal()), float(o + 0.1 * rng.standard_normal()), float(rng.integers(1, 4))))
+    return spark.createDataFrame(rows, "rel_id int, dist double, theta double, w double")
+
+
+@pytest.mark.parametrize("stop", ["no_gain", "bic", "holdout"])
+def test_local_growth_is_the_distributed_one(spark, stop):
+    v = two_clouds(spark)
+    a, b = (mixture.fit_greedy(v, 3, stop, strategy=k) for k in ("local", "distributed"))
+    assert [(t[0], t[1], t[4]) for t in a.trace] == [(t[0], t[1], t[4]) for t in b.trace]
+    assert [t[2] for t in a.trace] == pytest.approx([t[2] for t in b.trace], rel=1e-6)
+    assert len(a.model) == len(b.model)
+    for c, d in zip(a.model, b.model, strict=True):
+        assert c[:2] == d[:2] and list(c[2:]) == pytest.approx(list(d[2:]), rel=1e-4, abs=1e-6)
+    if stop == "bic":
+        assert [sum(c.rel_id == k for c in a.model) for k in (0, 1)] == [2, 1]
+
+
+def test_one_insertion_and_round_from_a_literal_start(spark):
+    """The candidate taken is the best of all by plain arithmetic, and one round lifts the log likelihood."""
+    v = two_clouds(spark).where("rel_id = 0")
+    pdf = v.toPandas()
+    start = [mixture.Component(0, 0, 1.0, 250.0, 2.5, 25000.0, 100.0, 3.0)]
+
+    def density(c, d, o):
+        s = np.array([[c.s_dd, c.s_do], [c.s_do, c.s_oo]])
+        x = np.array([d - c.mu_d, o - c.mu_o])
+        return math.exp(-0.5 * x @ np.linalg.inv(s) @ x) / (2 * math.pi * math.sqrt(np.linalg.det(s)))
+
+    def loglik(model):
+        return sum(w * math.log(sum(c.weight * density(c, d, o) for c in model)) for d, o, w in zip(pdf["dist"], pdf["theta"], pdf["w"], strict=True))
+
+    values, vectors = np.linalg.eigh(np.array([[25000.0, 100.0], [100.0, 3.0]]))
+    sd, axis = math.sqrt(values[1]), vectors[:, 1] * np.sign(vectors[0, 1])
+    made = []
+    for sign in (1, -1):
+        new = mixture.Component(0, 1, 0.5, 250.0 + sign * sd * axis[0], 2.5 + sign * sd * axis[1], 12500.0, 50.0, 1.5)
+        made.append([start[0]._replace(weight=0.5), new])
+    best = max(made, key=loglik)
+    got = mixture.insert_component(v, start)
+    for c, d in zip(got, best, strict=True):
+        assert list(c) == pytest.approx(list(d), rel=1e-9)
+    word = mixture.Word(0, *(pdf[c].to_numpy(float) for c in ("dist", "theta", "w")), mixture.RIDGE)
+    assert word.inserted(start) == got and word.loglik(got) == pytest.approx(loglik(got))
+    after = mixture.from_table(mixture.em_step(v, mixture.to_table(spark, got)))
+    assert loglik(after) > loglik(got)
+
+
+def test_search_from_both_ends_and_network_ends(spark):
+    rng = np.random.default_rng(3)
+    n = 60
+    edges = [(0, i, int(a), int(b), int(w)) for i, (a, b, w) in enumerate(zip(rng.integers(0, n, 150), rng.integers(0, n, 150), rng.integers(1, 50, 150), strict=True)) if a != b]
+    g = graph.RoadGraph(spark.createDataFrame([(0, i, i, 0) for i in range(n)], "city_id int, vertex_id long, x long, y long"), spark.createDataFrame(edges, "city_id int, edge_id long, u long, v long, len_dm long"))
+    pairs = spark.createDataFrame([(0, f"{s}>{t}", s, t) for s in range(0, 20) for t in (3, 30, 59)], "city_id int, pair_id string, s long, t long")
+    got = {r.pair_id: r.cost for r in graph.costs_both_ends(g, pairs).collect()}
+    tree = {(r.source, r.v): r.cost for r in graph.tree_local(g, pairs.selectExpr("city_id", "s as source")).collect()}
+    assert got == {f"{s}>{t}": tree[s, t] for s in range(0, 20) for t in (3, 30, 59) if (s, t) in tree}
+
+
+def test_places_without_roads_or_coordinates_keep_null_vertices(spark):
+    g = graph.RoadGraph(spark.createDataFrame([(0, 0, 0, 0), (0, 1, 9000, 0)], "city_id int, vertex_id long, x long, y long"), spark.createDataFrame([(0, 0, 0, 1, 90000)], "city_id int, edge_id long, u long, v long, len_dm long"))
+    points = spark.createDataFrame([(0, 1, 4500, 40), (0, 2, None, 5), (7, 3, 1, 1), (0, 4, 100, 20000)], "city_id int, poi_id long, x long, y long")
+    near = {r.poi_id: (r.vertex_id, r.snap_dist) for r in graph.snap(points, g.vertices).collect()}
+    assert near[2] == near[3] == (None, None) and near[1][0] == 0 and near[4][0] == 0
+    split, placed = graph.snap_pseudo(points, g)
+    at = {r.poi_id: (r.vertex_id, r.snap_dist) for r in placed.collect()}
+    assert at[1] == (2, 40.0) and at[4][1] == 20000.0 and at[2] == at[3] == (None, None)
+    assert split.edges.agg(F.sum("len_dm")).first()[0] == 90000 and split.edges.count() == 3
+
+
+def test_null_texts_and_empty_tables(spark):
+    gaz = spark.createDataFrame([("rome", 1, "LOC"), ("oslo", 2, "LOC"), (None, 3, "LOC")], "name string, poi_id long, etype string")
+    docs = spark.createDataFrame([(1, None), (2, ""), (3, "Rome is near the Oslo."), (3, "Rome is near the Oslo."), (None, "rome")], "doc_id long, text string")
+    assert [tuple(r) for r in text.extract_triplets(docs, gaz, lexicon=text.TRAVEL_LEXICON).select("doc_id", "pi", "rel_id", "pj").distinct().collect()] == [(3, 1, 2, 2)]
+    assert text.extract_triplets(docs.where("1 = 0"), gaz).count() == 0 == text.extract_triplets(docs, gaz.where("1 = 0")).count()
+    assert text.geoparse(docs, gaz).where("name = 'rome'").count() == 3
+    none = spark.createDataFrame([], "rel_id int, dist double, theta double, w double")
+    assert mixture.fit_greedy(none) == mixture.Grown([], []) == mixture.fit_greedy(none, strategy="distributed")
