@@ -7,7 +7,8 @@ patterns by the hash of that last block, split by the first word, where a direct
 
 Windows: every run of ``size`` words of an item; an item with fewer words, but not none, is one window. The patterns
 are small beside the corpus; they are cut into parts of bounded bytes, each a pass over the rows that carries on what
-was found, so a larger benchmark costs passes and not memory.
+was found. Passes are stored in between, so no worker ever holds the tables of more than one part: a larger benchmark
+costs passes and not memory. A worker compiles a part's tables once for all its tasks.
 
 Defined results: null and wordless texts and items have no words, hits or windows; an item id given twice counts
 once; null item ids are left out of the list of items but their windows hit; repeated documents each get a row; with
@@ -16,12 +17,16 @@ no items nothing is hit.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import uuid
+from collections.abc import Callable, Iterator
+from itertools import chain
 
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import Stored
 from .common import hand_back, only, text_rows
 
 SIZE = 10
@@ -111,18 +116,42 @@ def parts_of(benchmark: DataFrame, part_bytes: int = PART_BYTES) -> Iterator[lis
         yield part
 
 
+#: The tables that a worker holds: those of the last part it met.
+_COMPILED: dict[str, list[Table]] = {}
+
+
+def tables_of(name: str, part: list[tuple], size: int) -> list[Table]:
+    if name not in _COMPILED:
+        _COMPILED.clear()
+        _COMPILED[name] = compile_tables(part, size)
+    return _COMPILED[name]
+
+
+def passes(rows: DataFrame, benchmark: DataFrame, part_bytes: int, one: Callable[[DataFrame, str, Broadcast], DataFrame]) -> DataFrame:
+    """``one`` applied to the rows for each part of the benchmark in turn (one empty part where there is none)."""
+    held: list[Stored] = []
+    some = False
+    for part in chain(parts_of(benchmark, part_bytes), [None]):
+        if part is None and some:
+            break
+        if some:
+            held.append(Stored(rows, "decontaminated"))
+            rows = held[-1].df
+            if len(held) > 1:
+                held.pop(0).drop()
+        rows, some = one(rows, uuid.uuid4().hex, rows.sparkSession.sparkContext.broadcast(part or [])), True  # at most part_bytes
+    return rows
+
+
 def find_hits(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", part_bytes: int = PART_BYTES) -> DataFrame:
     """(doc_id, n_words, spans, items, n_hit) per document; spans are joined word ranges, items the ids found, sorted."""
     empty = F.array().cast("array<struct<first:long,end:long>>"), F.array().cast("array<long>")
     at = only(docs, doc_id=id_col, text=text_col).select(F.col("doc_id").cast("long"), "text", F.lit(0).cast("long").alias("n_words"), empty[0].alias("spans"), empty[1].alias("items"))
     span_type = pa.list_(pa.struct([("first", pa.int64()), ("end", pa.int64())]))
 
-    def one_part(part: list) -> DataFrame:
-        held: list[Table] = []
-
+    def one_part(rows: DataFrame, name: str, part: Broadcast) -> DataFrame:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            if not held:
-                held.extend(compile_tables(part, size))
+            held = tables_of(name, part.value, size)
             for batch, texts in text_rows(batches):
                 n_words, spans_out, items_out = [], [], []
                 for text, spans_in, items_in in zip(texts, batch.column(3).to_pylist(), batch.column(4).to_pylist(), strict=True):
@@ -134,15 +163,12 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, id_col: s
                     spans_out.append([{"first": s, "end": e} for s, e in joined(spans)])
                     items_out.append(sorted(found))
                 yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(n_words, pa.int64()), pa.array(spans_out, span_type), pa.array(items_out, pa.list_(pa.int64()))], ["doc_id", "text", "n_words", "spans", "items"])
+            hand_back()
 
-        return at.mapInArrow(run, HITS)
+        return rows.mapInArrow(run, HITS)
 
     bench = only(benchmark, item_id=item_col, text=item_text).withColumn("item_id", F.col("item_id").cast("long"))
-    some = False
-    for part in parts_of(bench, part_bytes):
-        at, some = one_part(part), True
-    if not some:
-        at = one_part([])
+    at = passes(at, bench, part_bytes, one_part)
     hit = F.aggregate("spans", F.lit(0).cast("long"), lambda a, s: a + s["end"] - s["first"])
     return at.select("doc_id", "n_words", "spans", "items", hit.alias("n_hit"))
 
@@ -150,12 +176,9 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, id_col: s
 def uncontaminated(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", part_bytes: int = PART_BYTES) -> DataFrame:
     """The rows, with all their columns, that hold no window of any item."""
 
-    def one_part(part: list, rows: DataFrame) -> DataFrame:
-        held: list[Table] = []
-
+    def one_part(rows: DataFrame, name: str, part: Broadcast) -> DataFrame:
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            if not held:
-                held.extend(compile_tables(part, size))
+            held = tables_of(name, part.value, size)
             for batch, texts in text_rows(batches, text_col):
                 clean = []
                 for text in texts:
@@ -168,9 +191,7 @@ def uncontaminated(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, text
 
         return rows.mapInArrow(run, docs.schema)
 
-    for part in parts_of(only(benchmark, item_id=item_col, text=item_text), part_bytes):
-        docs = one_part(part, docs)
-    return docs
+    return passes(docs, only(benchmark, item_id=item_col, text=item_text), part_bytes, one_part)
 
 
 ORACLE = r"""
