@@ -21,6 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import Stored
 from .common import only
 
 LENGTHS = (3, 4, 5)
@@ -88,29 +89,48 @@ class Model:
         return float(1 / (1 + np.exp(-np.clip(self.bias + self.weight[at].sum(), -60, 60))))
 
 
-def fit_logistic(rows: np.ndarray, cols: np.ndarray, scale: np.ndarray, y: np.ndarray, share: float, l2: float = 1.0, rounds: int = 300) -> tuple[np.ndarray, float]:
-    """Coefficients of the scaled sparse rows by gradient steps with momentum; ``share`` is the positive class's true share."""
+def fit_logistic(rows: np.ndarray, cols: np.ndarray, scale: np.ndarray, y: np.ndarray, share: float, l2: float = 1.0, rounds: int = 40) -> tuple[np.ndarray, float]:
+    """Coefficients of the scaled sparse rows at the optimum, by Newton's steps with conjugate gradients; ``share`` is the positive class's true share."""
     n, m = len(y), len(scale)
     own = y.mean()
-    sample_weight = np.where(y > 0, share / own, (1 - share) / (1 - own)) / n
-    w, b, vw, vb = np.zeros(m), float(np.log(share / (1 - share))), np.zeros(m), 0.0
-    value = scale[cols]
-    per_col = np.bincount(cols, weights=value * value * sample_weight[rows], minlength=m)
-    step = 1.0 / (0.25 * (per_col * np.sqrt(np.bincount(rows, minlength=n).mean() + 1) + l2 / n) + 1e-6)
-    for i in range(rounds):
-        aw, ab = w + vw * i / (i + 3), b + vb * i / (i + 3)
-        z = np.bincount(rows, weights=value * aw[cols], minlength=n) + ab
-        g = (1 / (1 + np.exp(-np.clip(z, -60, 60))) - y) * sample_weight
-        gw = np.bincount(cols, weights=value * g[rows], minlength=m) + l2 / n * aw
-        nw, nb = aw - np.minimum(step, 40.0) * gw * 0.5, ab - g.sum()
-        vw, vb, w, b = nw - w, nb - b, nw, nb
-    return w, b
+    weight = np.where(y > 0, share / own, (1 - share) / (1 - own)) / n
+    value, decay = scale[cols], np.append(np.full(m, l2 / n), 1e-9)
+    down = lambda t: np.bincount(rows, weights=value * t[:-1][cols], minlength=n) + t[-1]
+    up = lambda r: np.append(np.bincount(cols, weights=value * r[rows], minlength=m), r.sum())
+    loss = lambda z, t: float((weight * (np.logaddexp(0, z) - y * z)).sum() + 0.5 * (decay * t * t).sum())
+    t = np.append(np.zeros(m), np.log(share / (1 - share)))
+    z = down(t)
+    for _ in range(rounds):
+        p = 1 / (1 + np.exp(-np.clip(z, -60, 60)))
+        g = up(weight * (p - y)) + decay * t
+        size = float(np.linalg.norm(g))
+        if size < 1e-7:
+            break
+        h = weight * p * (1 - p)
+        diagonal = np.append(np.bincount(cols, weights=value * value * h[rows], minlength=m), h.sum()) + decay
+        d, r = np.zeros(m + 1), -g
+        q = r / diagonal
+        s, rq = q.copy(), float(r @ q)
+        for _ in range(60):
+            hs = up(h * down(s)) + decay * s
+            a = rq / float(s @ hs)
+            d, r = d + a * s, r - a * hs
+            if float(np.linalg.norm(r)) < min(0.1, size) * size:
+                break
+            q = r / diagonal
+            rq, old = float(r @ q), rq
+            s = q + rq / old * s
+        before, step, dz = loss(z, t), 1.0, down(d)
+        while step > 1e-4 and loss(z + step * dz, t + step * d) > before:
+            step /= 2
+        t, z = t + step * d, z + step * dz
+    return t[:-1], float(t[-1])
 
 
 def learn(labelled: DataFrame, features: int = FEATURES, sample: int = SAMPLE) -> Model:
     """Fit on rows of (id, text, label)."""
     rows = labelled.where("label in (0, 1)").select("id", F.col("label").cast("int").alias("label"), "text")
-    counts = bucket_counts(rows.select("text", "label"))
+    counts = Stored(bucket_counts(rows.select("text", "label")), "buckets").df  # read twice
     docs = {r.bucket: (r.n0, r.n1) for r in counts.where("bucket = -1").collect()}.get(-1, (0, 0))
     where = np.full(BUCKETS, -1, np.int32)
     if not docs[0] or not docs[1]:
