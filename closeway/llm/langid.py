@@ -18,12 +18,14 @@ from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
+from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import Stored
 from .common import hand_back, only
 
 UNKNOWN = "und"
@@ -35,8 +37,8 @@ HELD = 2_000_000
 GATHERED = 256
 #: Salted parts a language's n-grams are ranked in before the last ranking.
 PARTS = 16
-#: Most languages whose profiles are sent to the executors.
-LANGUAGES = 2_000
+#: Most languages whose profiles are sent to the executors together; more are compared in passes that carry on the best.
+LANGUAGES = 256
 BLANK = 32
 
 
@@ -115,16 +117,7 @@ class Profiles:
     size: int
 
 
-def learn(texts: DataFrame, size: int = RANKS) -> Profiles:
-    """Profiles from (lang, text); what comes to the driver is languages x parts x size rows at most."""
-    part = Window.partitionBy("lang", F.pmod(F.xxhash64("gram"), F.lit(PARTS))).orderBy(F.desc("n"), "gram")
-    top = gram_counts(texts).withColumn("_r", F.row_number().over(part)).where(F.col("_r") <= size).select("lang", "gram", "n")
-    by_lang: dict[str, list] = defaultdict(list)
-    for r in top.toLocalIterator():
-        by_lang[r.lang].append((-r.n, r.gram))
-        if len(by_lang) > LANGUAGES:
-            raise ValueError(f"more than {LANGUAGES} languages")
-    ranked = {lang: [g for _, g in sorted(x)[:size]] for lang, x in sorted(by_lang.items())}
+def profiles_of(ranked: dict[str, list[int]], size: int) -> Profiles:
     every = np.array(sorted({g for x in ranked.values() for g in x}), np.int64)
     ranks = np.full((len(ranked), len(every)), size, np.int32)
     for i, x in enumerate(ranked.values()):
@@ -132,6 +125,25 @@ def learn(texts: DataFrame, size: int = RANKS) -> Profiles:
     return Profiles(list(ranked), every, ranks, size)
 
 
+def learn_all(texts: DataFrame, size: int = RANKS, most: int = LANGUAGES) -> Iterator[Profiles]:
+    """Profiles from (lang, text), of ``most`` languages at a time in their order; the driver holds those and no more."""
+    part = Window.partitionBy("lang", F.pmod(F.xxhash64("gram"), F.lit(PARTS))).orderBy(F.desc("n"), "gram")
+    top = gram_counts(texts).withColumn("_r", F.row_number().over(part)).where(F.col("_r") <= size).select("lang", "gram", "n")
+    ranked: dict[str, list[int]] = {}
+    for lang, rows in groupby(top.orderBy("lang").toLocalIterator(), lambda r: r.lang):
+        if len(ranked) == most:
+            yield profiles_of(ranked, size)
+            ranked = {}
+        ranked[lang] = [g for _, g in sorted((-r.n, r.gram) for r in rows)[:size]]  # PARTS * size rows
+    yield profiles_of(ranked, size)
+
+
+def learn(texts: DataFrame, size: int = RANKS, most: int = LANGUAGES) -> Profiles | list[Profiles]:
+    """Profiles from (lang, text): one set, or several where there are more than ``most`` languages."""
+    every = list(learn_all(texts, size, most))
+    return every[0] if len(every) == 1 else every
+
+
 def judge(text: str | None, p: Profiles) -> tuple[str, float]:
     code, n = grams(text)
     if not len(code) or not p.langs:
@@ -147,23 +159,33 @@ def judge(text: str | None, p: Profiles) -> tuple[str, float]:
     return p.langs[best], float(1 - total[best] / (p.size * len(top)))
 
 
-def predict(docs: DataFrame, profiles: Profiles, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, lang_pred, score) of every row."""
+def predict(docs: DataFrame, profiles: Profiles | list[Profiles], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, lang_pred, score) of every row; several sets of profiles are a stored pass each."""
+    at = only(docs, doc_id=id_col, text=text_col).select(F.col("doc_id").cast("long"), "text", F.lit(UNKNOWN).alias("lang_pred"), F.lit(0.0).alias("score"))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            said = [judge(t.as_py(), profiles) for t in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array([x for x, _ in said], pa.string()), pa.array([x for _, x in said], pa.float64())], ["doc_id", "lang_pred", "score"])
+    def one(rows: DataFrame, p: Profiles) -> DataFrame:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                said = []
+                for text, lang, score in zip(batch.column(1), batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+                    new = judge(text.as_py(), p)
+                    said.append(new if new[0] != UNKNOWN and (lang == UNKNOWN or new[1] > score) else (lang, score))
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([x for x, _ in said], pa.string()), pa.array([x for _, x in said], pa.float64())], ["doc_id", "text", "lang_pred", "score"])
+
+        return rows.mapInArrow(run, "doc_id long, text string, lang_pred string, score double")
 
-    return only(docs, doc_id=id_col, text=text_col).mapInArrow(run, "doc_id long, lang_pred string, score double")
+    for i, p in enumerate(profiles if isinstance(profiles, list) else [profiles]):
+        at = one(Stored(at, "languages").df if i else at, p)
+    return at.drop("text")
 
 
-def recognised(docs: DataFrame, profiles: Profiles, text_col: str = "text") -> DataFrame:
+def recognised(docs: DataFrame, profiles: Profiles | list[Profiles], text_col: str = "text") -> DataFrame:
     """The rows, with all their columns, whose text has a letter: the nearest profile recognises it at any distance.
 
     Where nothing was learned no text is judged, and those with a letter stay as well.
     """
     place = docs.columns.index(text_col)
+    profiles = profiles[0] if isinstance(profiles, list) else profiles  # any set recognises a text with a letter
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
