@@ -18,8 +18,10 @@ from pyspark.sql import functions as F
 from ..functions.geo import distance
 from ..session import cut, small
 
-#: Sources searched by one task of the local form.
+#: Sources searched by one task of the local form, at least.
 SOURCES = 32
+#: Blocks of a city's sources for each core, at most.
+WAVES = 2
 #: Vertices whose distances bound the rest of a way.
 LANDMARKS = 6
 #: Cities with more edges than this are searched by rounds over all executors.
@@ -187,8 +189,12 @@ class Adjacency:
 
 
 def _blocked(left: DataFrame, edges: DataFrame, source: str) -> tuple[DataFrame, DataFrame]:
-    """Sources dealt into blocks per city, and the city's arcs once for every block of it."""
-    counted = left.groupBy("city_id").agg(F.count_distinct(source).alias("_n")).withColumn("_parts", F.ceil(F.col("_n") / SOURCES).cast("int"))
+    """Sources dealt into blocks per city, and the city's arcs once for every block of it.
+
+    A city has no more blocks than ``WAVES`` for each core of the cluster, so copies of its arcs don't grow with the pairs.
+    """
+    most = WAVES * left.sparkSession.sparkContext.defaultParallelism
+    counted = left.groupBy("city_id").agg(F.count_distinct(source).alias("_n")).withColumn("_parts", F.least(F.ceil(F.col("_n") / SOURCES), F.lit(most)).cast("int"))
     dealt = left.join(small(counted.select("city_id", "_parts")), "city_id").withColumn("block", F.pmod(F.xxhash64(source), F.col("_parts")).cast("int")).drop("_parts")
     every = edges.join(small(counted.select("city_id", "_parts")), "city_id").withColumn("_b", F.explode(F.sequence(F.lit(0), F.col("_parts") - 1))).drop("_parts").withColumnRenamed("city_id", "_c")
     return dealt, every

@@ -42,14 +42,27 @@ def located(trips: DataFrame, vertices: DataFrame) -> DataFrame:
 def ellipse_pois(trips_xy: DataFrame, pois: DataFrame, shape: str = "drawn", widen: float = 1.0) -> DataFrame:
     """(city_id, pair_id, poi_id, ds, dt): places in a trip's region with their distances to both ends.
 
-    A city's trips meet its places, which are few beside the road network; the join is by city with the region's test.
+    A region lies within 0.8 of the (widened) distance from the trip's middle; cells at least that wide, by powers of two, make
+    an equality join of each trip's nine cells with the places, which are put into a cell of every width that occurs. The
+    shape ``none`` takes all places of the city.
     """
     w = F.lit(widen)
     mx, my = (F.col("sx") + F.col("tx")) / 2, (F.col("sy") + F.col("ty")) / 2
     grow = lambda c, m: m + (F.col(c) - m) * w
     ends = [grow("sx", mx), grow("sy", my), grow("tx", mx), grow("ty", my)] if widen != 1.0 else [F.col(c) for c in ("sx", "sy", "tx", "ty")]
     p = pois.select("city_id", "poi_id", F.col("x").alias("px"), F.col("y").alias("py"), "vertex_id")
-    met = trips_xy.join(small(p), "city_id").where(in_ellipse(F.col("px"), F.col("py"), *ends, shape))
+    test = in_ellipse(F.col("px"), F.col("py"), *ends, shape)
+    if shape == "none":
+        met = trips_xy.join(small(p), "city_id").where(test)
+    else:
+        reach = 0.8 * widen * distance(F.col("sx"), F.col("sy"), F.col("tx"), F.col("ty"))
+        t = trips_xy.withColumn("_level", F.ceil(F.log2(F.greatest(reach, F.lit(1.0)) * 1.0001)).cast("int"))
+        levels = sorted(r._level for r in t.select("_level").distinct().collect())  # fewer than 64
+        cell = lambda c: F.floor(c / F.pow(F.lit(2.0), F.col("_level"))).cast("long")
+        around = F.sequence(F.lit(-1), F.lit(1))
+        t = t.withColumn("_cx", F.explode(F.transform(around, lambda i: cell(mx) + i))).withColumn("_cy", F.explode(F.transform(around, lambda i: cell(my) + i)))
+        p = p.withColumn("_level", F.explode(F.array(*map(F.lit, levels)) if levels else F.array().cast("array<int>"))).withColumns({"_cx": cell(F.col("px")), "_cy": cell(F.col("py"))})
+        met = t.join(p, ["city_id", "_level", "_cx", "_cy"]).where(test)
     return met.select("city_id", "pair_id", "poi_id", "vertex_id", distance(F.col("px"), F.col("py"), F.col("sx"), F.col("sy")).alias("ds"), distance(F.col("px"), F.col("py"), F.col("tx"), F.col("ty")).alias("dt"))
 
 

@@ -1,6 +1,9 @@
 """From texts to closeness statements: sentences, tokens, tags, places, pairs and the two tests.
 
 Everything stays narrow, one nested row per sentence, until statements exist; the only join is to the gazetteer.
+
+Defined results: texts are told apart by doc_id, so the mentions of a row given twice count once; null and empty texts have
+no sentences; null names and empty gazetteers match nothing; empty tables give no rows (the funnel one row of zeros).
 """
 
 from __future__ import annotations
@@ -10,7 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..session import Stored, small
+from ..session import BROADCAST_ROWS, Stored, small
 
 # Word classes of the rule tagger.
 PREPOSITIONS = ("in", "on", "at", "by", "with", "of", "for", "from", "near", "next", "close", "nearby", "beside", "behind", "within", "inside", "opposite", "to", "far", "away", "north", "south", "east", "west")
@@ -88,17 +91,41 @@ def tagged(toks: DataFrame) -> DataFrame:
     return toks.withColumn("tags", F.array_join(F.transform("toks", tag_of), ""))
 
 
-def entities(toks: DataFrame, gazetteer: DataFrame, max_words: int = 4) -> DataFrame:
+#: Bits of the sieve for each name, and most names that it is made for (its size is two bytes a name).
+SIEVE_BITS, SIEVE_NAMES = 16, 100_000_000
+#: Bits in one bitmap of Spark's bitmap functions.
+BITMAP = 32_768
+
+
+def sifted(cand: DataFrame, names: DataFrame, rows: int) -> DataFrame:
+    """The candidates whose name may be among ``rows`` names: a bit per hash, in bitmaps joined by their number.
+
+    All names pass, and of other candidates about one in ``SIEVE_BITS``; so few rows go on to the join by name.
+    """
+    h = F.pmod(F.xxhash64("name"), F.lit(BITMAP * -(-SIEVE_BITS * rows // BITMAP)))
+    part, bit = F.floor(h / BITMAP).cast("int"), (h % BITMAP).cast("int")
+    maps = names.select(part.alias("_part"), bit.cast("long").alias("_bit")).groupBy("_part").agg(F.bitmap_construct_agg("_bit").alias("_map"))
+    met = cand.withColumns({"_part": part, "_bit": bit}).join(F.broadcast(maps), "_part")  # two bytes a name
+    byte = F.conv(F.hex(F.substring("_map", F.expr("_bit div 8 + 1"), F.lit(1))), 16, 10).cast("int")
+    return met.where(F.expr("_bit").isNotNull() & ((F.floor(byte / F.pow(F.lit(2), F.col("_bit") % 8)) % 2) == 1)).select(cand.columns)
+
+
+def entities(toks: DataFrame, gazetteer: DataFrame, max_words: int = 4, most: int = BROADCAST_ROWS) -> DataFrame:
     """(doc_id, sent_id, first, last, name, poi_id, etype): the longest names at each place, leftmost first.
 
     ``gazetteer`` rows with a null poi_id are places that can't be located. Names are compared in lower case; a name of
     up to ``max_words`` words is looked for at every place. Of overlapping names the earlier, then the longer one stays.
+    Up to ``most`` names are broadcast; with more, a sieve of bits takes out nearly all other words before the join.
     """
     first = F.sequence(F.lit(0), F.size("toks") - 1)
     spans = F.flatten(F.transform(first, lambda i: F.transform(F.sequence(F.lit(1), F.least(F.lit(max_words), F.size("toks") - i)), lambda n: F.struct(i.alias("first"), (i + n - 1).alias("last"), F.lower(F.array_join(F.slice("toks", i + 1, n), " ")).alias("name")))))
     cand = toks.where(F.size("toks") >= 1).select("doc_id", "sent_id", F.inline(spans))
     names = gazetteer.groupBy(F.lower("name").alias("name")).agg(F.min("poi_id").alias("poi_id"), F.min("etype").alias("etype"))
-    hits = cand.join(small(names), "name")
+    if names.limit(most + 1).count() <= most:
+        hits = cand.join(F.broadcast(names), "name")
+    else:
+        rows = names.count()
+        hits = (sifted(cand, names, rows) if rows <= SIEVE_NAMES else cand).join(names, "name")
     # A place's hits are few; they are swept in one row per sentence.
     hit = F.struct("first", (-F.col("last")).alias("neg"), "name", "poi_id", "etype")
     per = hits.groupBy("doc_id", "sent_id").agg(F.array_sort(F.collect_list(hit)).alias("h"))
