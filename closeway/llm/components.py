@@ -41,3 +41,15 @@ def components(links: DataFrame) -> DataFrame:
     if not maps:
         return e.select(F.col("hi").alias("v"), F.col("lo").alias("p"))
     return reduce(lambda have, later: _follow(have, "p", later).select("v", "p").unionByName(later), maps[1:], maps[0])
+
+
+def numbered(classes: DataFrame) -> DataFrame:
+    """Classes (key, id, ...) with a ``node`` each: the id, or a number above all ids where a class of a smaller key has the id."""
+    c = cut(classes)
+    first = c.groupBy("id").agg(F.min("key").alias("_first"))
+    again = c.join(first, "id").where("key <> _first").select(F.col("key").alias("_k"))
+    if again.isEmpty():
+        return c.withColumn("node", F.col("id"))
+    top = c.agg(F.max("id")).first()[0]
+    more = cut(again.select("_k", (F.lit(top) + 1 + F.monotonically_increasing_id()).alias("_node")))
+    return c.join(more, F.col("key") == F.col("_k"), "left").select(*c.columns, F.coalesce("_node", "id").alias("node"))

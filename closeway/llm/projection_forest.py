@@ -8,12 +8,13 @@ join over the forest.
 
 Growing is distributed: each round routes all rows through the trees so far, counts every leaf exactly, and splits the
 overfull ones (``LEAF`` rows) on ``SAMPLE`` of their rows. A node whose rows mostly lie in the margin can't be split;
-it is compared in blocks of ``LEAF`` rows, each pair of blocks a task of its own. Only split points come to the driver:
-about rows / LEAF per tree.
+it is compared in blocks of ``BLOCK`` rows, each pair of blocks on its own. Only split points come to the driver and
+go to the executors: about 2 rows / LEAF per tree, and never more than ``CUTS``, for leaves grow beyond that.
 
 Defined results: rows are compared only when labels and lengths are equal and labels not null; null, empty, zero and
-non-finite vectors link with nothing; equal vectors are one node with a count; rows with a null id get no links and a
-null component; rows repeating an id and vector count as that many vectors; an empty table gives no rows.
+non-finite vectors link with nothing; equal vectors of a label are one node with a count; rows with a null id get no
+links and a null component; rows that repeat an id are vectors of their own, told apart by vector and label; an empty
+table gives no rows.
 """
 
 from __future__ import annotations
@@ -27,19 +28,23 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..session import Stored, cut
-from .common import only
-from .components import components
+from ..session import Stored, cut, small
+from .common import hand_back, only
+from .components import components, numbered
 
-TREES = 6
-LEAF = 1000
+TREES = 5
+LEAF = 48
+#: Rows of a block where a node can't be split.
+BLOCK = 1000
 #: Rows of a node that its split is fitted on, at most about.
-SAMPLE = 4000
+SAMPLE = 16_000
+#: Most split points of the forest, about: what is sent to the executors is bounded by it.
+CUTS = 2_000_000
 #: Half the margin, in standard deviations of a linked pair's distance along a direction.
 SPILL = 0.5
 DEPTH = 48
 #: A split is given up if it sends more than this many rows on for each row.
-WASTE = 1.8
+WASTE = 1.25
 
 
 def directions(dim: int, trees: int) -> np.ndarray:
@@ -98,31 +103,32 @@ def unit(x: np.ndarray) -> np.ndarray:
 
 
 def vectors(rows: DataFrame, kind: str) -> DataFrame:
-    """(id, grp, vec) of the rows that can link: vec holds the components' bytes, grp label and length."""
+    """(id, grp, vec) of all rows: vec holds the components' bytes, null where the row can't link; grp is label and length."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, groups, out = [], [], []
+            groups, out = [], []
             for i, label, v in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
-                if i is None or label is None or not v.is_valid or not len(v.values) or v.values.null_count:
-                    continue
-                x = v.values.to_numpy(zero_copy_only=False).astype(kind)
-                with np.errstate(over="ignore"):
-                    n = float(np.linalg.norm(x.astype(float)))
-                if np.isfinite(n) and n > 0 and np.isfinite(x).all():
-                    ids.append(i)
-                    groups.append(f"{label}|{len(x)}")
-                    out.append((x + 0.0).tobytes())  # minus zero equals zero
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(groups, pa.string()), pa.array(out, pa.binary())], ["id", "grp", "vec"])
+                group = data = None
+                if i is not None and label is not None and v.is_valid and len(v.values) and not v.values.null_count:
+                    x = v.values.to_numpy(zero_copy_only=False).astype(kind)
+                    with np.errstate(over="ignore"):
+                        n = float(np.linalg.norm(x.astype(float)))
+                    if np.isfinite(n) and n > 0 and np.isfinite(x).all():
+                        group, data = f"{label}|{len(x)}", (x + 0.0).tobytes()  # minus zero equals zero
+                groups.append(group)
+                out.append(data)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(groups, pa.string()), pa.array(out, pa.binary())], ["id", "grp", "vec"])
 
     return rows.mapInArrow(run, "id long, grp string, vec binary")
 
 
 def leaves(nodes: DataFrame, forest: Forest, kind: str) -> DataFrame:
     """(tree, grp, node, id, n, vec, all) per leaf of each row; ``all`` numbers all of its leaves, tree by tree."""
-    trees = forest.trees
+    trees, sent = forest.trees, nodes.sparkSession.sparkContext.broadcast(forest)  # bounded by CUTS
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forest = sent.value
         dirs: dict[int, np.ndarray] = {}
         for batch in batches:
             groups = np.array(batch.column(1).to_pylist(), object)
@@ -163,7 +169,7 @@ def grow(nodes: DataFrame, forest: Forest, kind: str, leaf: int, sample: int) ->
             return over
         wanted = spark.createDataFrame([(t, g, n, min(1.0, sample / c), c) for t, g, n, c in todo], "tree int, grp string, node long, share double, size long")
         u = F.pmod(F.xxhash64("id", "tree"), F.lit(1 << 30)) / float(1 << 30)
-        drawn = leaves(nodes, forest, kind).join(F.broadcast(wanted), ["tree", "grp", "node"]).where(u < F.col("share")).select("tree", "grp", "node", "size", "vec")
+        drawn = leaves(nodes, forest, kind).join(small(wanted), ["tree", "grp", "node"]).where(u < F.col("share")).select("tree", "grp", "node", "size", "vec")
 
         def fit(pdf: pd.DataFrame) -> pd.DataFrame:
             tree, group, top, size = int(pdf["tree"].iloc[0]), pdf["grp"].iloc[0], int(pdf["node"].iloc[0]), int(pdf["size"].iloc[0])
@@ -174,7 +180,7 @@ def grow(nodes: DataFrame, forest: Forest, kind: str, leaf: int, sample: int) ->
             while queue:
                 node, rows = queue.pop()
                 depth = node.bit_length() - 1
-                if len(rows) * per <= leaf or depth >= DEPTH - 1 or (node != top and len(rows) < 200):
+                if len(rows) * per <= leaf or depth >= DEPTH - 1 or (node != top and len(rows) < 200 and size > len(x)):
                     continue
                 at = float(np.median(p[rows, depth]))
                 d = p[rows, depth] - at
@@ -192,87 +198,121 @@ def grow(nodes: DataFrame, forest: Forest, kind: str, leaf: int, sample: int) ->
         forest.stuck.update((t, g, n) for t, g, n, _ in todo if (t, g, n) not in seen)
 
 
-def compare(leaf_rows: DataFrame, least: float, kind: str, trees: int) -> DataFrame:
-    """(id, links, root) from the tasks (tree, grp, node, i, j): links first found in that leaf, weighted by copies, and the smallest id linked within it."""
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        ids, count, block = pdf["id"].to_numpy(), pdf["n"].to_numpy(float), pdf["block"].to_numpy()
-        x = np.frombuffer(b"".join(pdf["vec"]), kind).reshape(len(ids), -1).astype(float)
-        norm = np.linalg.norm(x, axis=1)
-        own = int(pdf["node"].iloc[0]) * trees + int(pdf["tree"].iloc[0])
-        mine = int(pdf["tree"].iloc[0])
-        # Leaves that come before this one: of an earlier tree, or an earlier number in this tree.
-        flat = np.concatenate(pdf["all"].to_list())
-        row = np.repeat(np.arange(len(ids)), [len(a) for a in pdf["all"]])
-        tree = flat % trees
-        before = (tree < mine) | ((tree == mine) & (flat < own))
-        codes, at = np.unique(flat[before], return_inverse=True)
-        held = np.zeros((len(ids), len(codes)), np.float32)
+def runs(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[pa.RecordBatch]:
+    """Rows sorted by the first ``keys`` columns as one batch for each run of equal keys."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        new = np.zeros(batch.num_rows, bool)
+        for c in range(keys):
+            x = batch.column(c).to_numpy(zero_copy_only=False)
+            new[1:] |= x[1:] != x[:-1]
+        new[0] = not held or any(held[-1].column(c)[-1] != batch.column(c)[0] for c in range(keys))
+        at = [*np.flatnonzero(new).tolist(), batch.num_rows]
+        if held and at[0]:
+            held.append(batch.slice(0, at[0]))
+        for lo, hi in zip(at, at[1:], strict=False):
+            if held:
+                yield pa.concat_batches(held)
+            held = [batch.slice(lo, hi - lo)]
+    if held:
+        yield pa.concat_batches(held)
+
+
+def linked(group: pa.RecordBatch, least: float, kind: str, trees: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(ids, links, roots) of the rows of one leaf that link: see ``compare``."""
+    mine, node, i, j = (group.column(c)[0].as_py() for c in ("tree", "node", "i", "j"))
+    ids, count, block = (group.column(c).to_numpy() for c in ("id", "n", "block"))
+    x = np.frombuffer(b"".join(group.column("vec").to_pylist()), kind).reshape(len(ids), -1).astype(float)
+    norm = np.linalg.norm(x, axis=1)
+    hit = np.empty((len(ids), len(ids)), bool)
+    for lo in range(0, len(ids), 512):
+        part = slice(lo, lo + 512)
+        hit[part] = (x[part] @ x.T) / (norm[part, None] * norm[None, :]) >= least
+    np.fill_diagonal(hit, False)
+    if i != j:
+        hit &= block[:, None] != block[None, :]
+    some = np.flatnonzero(hit.any(1))
+    hit = hit[np.ix_(some, some)]
+    label = ids[some]
+    while len(some):
+        least_label = np.minimum(label, np.where(hit, label[None, :], label[:, None]).min(1))
+        if (least_label == label).all():
+            break
+        label = least_label
+    # A pair counts only in the first leaf that holds both: of an earlier tree, or an earlier number in this tree.
+    lists = [np.array(a) for a in group.column("all").take(pa.array(some)).to_pylist()]
+    flat = np.concatenate([*lists, np.empty(0, np.int64)]).astype(np.int64)
+    row = np.repeat(np.arange(len(some)), [len(a) for a in lists])
+    tree = flat % trees
+    before = (tree < mine) | ((tree == mine) & (flat < node * trees + mine))
+    codes, at = np.unique(flat[before], return_inverse=True)
+    if len(codes):
+        held = np.zeros((len(some), len(codes)), np.float32)
         held[row[before], at] = 1
-        apart = pdf["i"].iloc[0] != pdf["j"].iloc[0]
-        links, label = np.zeros(len(ids)), ids.copy()
-        near: list[tuple[np.ndarray, np.ndarray]] = []
-        for lo in range(0, len(ids), 512):
-            part = slice(lo, min(lo + 512, len(ids)))
-            hit = (x[part] @ x.T) / (norm[part, None] * norm[None, :]) >= least
-            hit[np.arange(part.stop - lo), np.arange(lo, part.stop)] = False
-            if apart:
-                hit &= block[part, None] != block[None, :]
-            if not hit.any():
-                continue
-            r, c = np.nonzero(hit)
-            near.append((r + lo, c))
-            new = hit & ((held[part] @ held.T) == 0) if len(codes) else hit
-            links[part] += new @ count
-        moved = bool(near)
-        while moved:
-            old = label.copy()
-            for r, c in near:
-                np.minimum.at(label, r, label[c])
-            moved = bool((old != label).any())
-        some = (links > 0) | (label != ids)
-        return pd.DataFrame({"id": ids[some], "links": links[some].astype(np.int64), "root": label[some]})
-
-    return leaf_rows.groupBy("tree", "grp", "node", "i", "j").applyInPandas(run, "id long, links long, root long")
-
-
-def near_vectors(table: DataFrame, least: float = 0.98, trees: int = TREES, leaf: int = LEAF, sample: int = SAMPLE, id_col: str = "vec_id", vec_col: str = "embedding", label_col: str = "label") -> DataFrame:
+        hit &= (held @ held.T) == 0
+    return ids[some], hit @ count[some], label
+
+
+def compare(leaf_rows: DataFrame, least: float, kind: str, trees: int) -> DataFrame:
+    """(id, links, root) by leaf (tree, node, grp, i, j): links first found in that leaf, weighted by copies, and the smallest id linked within it."""
+    keys = ["tree", "node", "i", "j", "grp"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in runs(batches, len(keys)):
+            ids, links, roots = linked(group, least, kind, trees)
+            if len(ids):
+                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(links.astype(np.int64)), pa.array(roots)], ["id", "links", "root"])
+        hand_back()
+
+    dealt = leaf_rows.select(*keys, "id", "n", "vec", "all", "block").repartition(*keys).sortWithinPartitions(*keys)
+    return dealt.mapInArrow(run, "id long, links long, root long")
+
+
+def near_vectors(table: DataFrame, least: float = 0.98, trees: int = TREES, leaf: int = LEAF, sample: int = SAMPLE, block: int = BLOCK, id_col: str = "vec_id", vec_col: str = "embedding", label_col: str = "label") -> DataFrame:
     """(vec_id, n_links, component_id, kept) of every row."""
     rows = only(table, id=id_col, label=label_col, vec=vec_col).withColumn("id", F.col("id").cast("long"))
     kind = "<f4" if dict(rows.dtypes)["vec"] == "array<float>" else "<f8"
     if kind == "<f8":
         rows = rows.withColumn("vec", F.col("vec").cast("array<double>"))
-    usable = Stored(vectors(rows, kind).withColumn("key", F.sha2(F.concat(F.col("vec"), F.col("grp").cast("binary")), 256)), "vectors")
-    classes = usable.df.groupBy("key").agg(F.min("id").alias("id"), F.count("*").alias("n"))
-    classes = Stored(classes, "vector-classes")
-    bare = usable.df.select(F.col("id").alias("id"), F.col("key").alias("_k"), "grp", "vec")
-    nodes = Stored(classes.df.join(bare, "id").where("key = _k").select("id", "grp", "n", "vec").dropDuplicates(["id", "grp"]), "vector-nodes")
-    dim = nodes.df.select(F.max(F.octet_length("vec"))).first()[0] or 4
-    margin = SPILL * float(np.sqrt(2 - 2 * least) / np.sqrt(dim / int(kind[2])))
+    every = Stored(vectors(rows, kind).withColumn("key", F.sha2(F.concat(F.col("vec"), F.col("grp").cast("binary")), 256)), "vectors")
+    usable = every.df.where("key is not null")
+    classes = Stored(numbered(usable.groupBy("key").agg(F.min("id").alias("id"), F.count("*").alias("n"))), "vector-classes")
+    bare = usable.select(F.col("id").alias("_id"), F.col("key").alias("_k"), "grp", "vec")
+    met = classes.df.join(bare, (F.col("id") == F.col("_id")) & (F.col("key") == F.col("_k")))
+    nodes = Stored(met.select(F.col("node").alias("id"), "grp", "n", "vec").dropDuplicates(["id"]), "vector-nodes")
+    many, width = nodes.df.agg(F.count("*"), F.max(F.octet_length("vec"))).first()
+    leaf = max(leaf, -(-2 * trees * many // CUTS))
+    margin = SPILL * float(np.sqrt(2 - 2 * least) / np.sqrt((width or 4) / int(kind[2])))
     forest = Forest(margin, trees)
     over = grow(nodes.df, forest, kind, leaf, sample)
     spark = table.sparkSession
-    blocks = spark.createDataFrame([(t, g, n, -(-c // leaf)) for (t, g, n), c in over.items()], "tree int, grp string, node long, parts int")
+    blocks = spark.createDataFrame([(t, g, n, -(-c // block)) for (t, g, n), c in over.items()], "tree int, grp string, node long, parts int")
     dealt = (
         leaves(nodes.df, forest, kind)
-        .join(F.broadcast(blocks), ["tree", "grp", "node"], "left")
+        .join(small(blocks), ["tree", "grp", "node"], "left")
         .withColumn("parts", F.coalesce("parts", F.lit(1)))
         .withColumn("block", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int"))
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
         .select("tree", "grp", "node", "id", "n", "vec", "all", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
     )
     found = Stored(compare(dealt, least, kind, trees), "vector-links")
+    nodes.drop()
     links = found.df.groupBy("id").agg(F.sum("links").alias("links"))
     roots = cut(components(found.df.select(F.col("id").alias("a"), F.col("root").alias("b"))))
     done = (
-        classes.df.join(links, "id", "left")
+        classes.df.select("key", F.col("id").alias("own"), F.col("node").alias("id"), "n")
+        .join(links, "id", "left")
         .join(roots.select(F.col("v").alias("id"), "p"), "id", "left")
-        .select(F.col("key").alias("_k"), (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("p", "id").alias("comp"))
-    )
-    keyed = usable.df.select("id", "key").join(done, F.col("key") == F.col("_k")).groupBy("id").agg(F.max("n_links").alias("n_links"), F.min("comp").alias("comp"))
-    return rows.select("id").join(keyed, "id", "left").select(
-        F.col("id").alias("vec_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("comp", "id").alias("component_id"), F.coalesce(F.coalesce("comp", "id") == F.col("id"), F.lit(True)).alias("kept")
+        .select(F.col("key").alias("_k"), (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"), "own", F.coalesce("p", "id").alias("root"))
     )
+    # A root may be a number that is no id: the component has its vectors' smallest id.
+    first = done.groupBy("root").agg(F.min("own").alias("comp"))
+    done = done.join(first, "root").drop("root")
+    said = every.df.select("id", "key").join(done, F.col("key") == F.col("_k"), "left")
+    component = F.coalesce("comp", "id")
+    return said.select(F.col("id").alias("vec_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(component == F.col("id"), F.lit(True)).alias("kept"))
 
 
 ORACLE = """

@@ -34,7 +34,7 @@ from pyspark.sql.types import BinaryType, StructField, StructType
 
 from ..session import Stored, cut, small
 from .common import hand_back, only, text_rows
-from .components import components
+from .components import components, numbered
 
 WORDS = 5
 #: Sketch parameters: base, rate, largest value, length.
@@ -248,8 +248,10 @@ def rest(buckets: DataFrame, reps: DataFrame, texts: DataFrame, percent: int, bl
                 mark[hit] = True
         return pdf.loc[mark, ["h", "id", "comp", "i", "j"]]
 
-    rows = Stored(met.groupBy("h", "i", "j").applyInPandas(take_part, "h long, id long, comp long, i int, j int"), "rest-rows")
-    with_sets = rows.df.join(texts, "id")
+    # The work grows with pairs and not with bytes: a fixed number of parts, which is not merged by size.
+    parts_in_all = int(buckets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = Stored(met.repartition(parts_in_all, "h", "i", "j").groupBy("h", "i", "j").applyInPandas(take_part, "h long, id long, comp long, i int, j int"), "rest-rows")
+    with_sets = rows.df.join(texts, "id").repartition(parts_in_all, "h", "i", "j")
 
     def link(pdf: pd.DataFrame) -> pd.DataFrame:
         ids, comp = pdf["id"].to_numpy(), pdf["comp"].to_numpy()
@@ -330,7 +332,7 @@ class NearDuplicates:
         classes = self.sketches.df.where("key is not null and doc_id is not null").groupBy("key").agg(F.min("doc_id").alias("id"))
         self.again = cut(self.sketches.df.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select(F.col("doc_id").alias("_again")))
         self.repeats = not self.again.isEmpty()
-        self.classes = Stored(_nodes(classes) if self.repeats else classes.withColumn("node", F.col("id")), "classes")
+        self.classes = Stored(numbered(classes) if self.repeats else classes.withColumn("node", F.col("id")), "classes")
         alone = self.sketches.df.select(F.col("doc_id").alias("id"), F.col("key").alias("_k"), F.col("n_shingles").alias("n"), "regs")
         picked = self.classes.df.join(alone, "id").where("key = _k").select(F.col("node").alias("id"), "n", "regs")
         banded = bands(picked, percent)
@@ -342,22 +344,27 @@ class NearDuplicates:
         if self.repeats:
             named = cut(self.classes.df.join(members.withColumnRenamed("id", "node"), "node").select(F.col("id").alias("doc_id")).distinct())
         texts = Stored(class_texts(rows.join(small(named, SENT_IDS), "doc_id"), self.classes.df), "texts")
-        links, roots = None, None
+        links, roots, done = None, None, [buckets, reps, texts]
         for leader in ("lead", "second"):
             labelled = buckets.df.select("h", "id", F.col(leader).alias("with"))
             pairs = labelled.where("id <> with").select(F.least("id", "with").alias("a"), F.greatest("id", "with").alias("b")).distinct()
             if roots is not None:
                 pairs = _labelled(_labelled(pairs, roots, "a").withColumnRenamed("comp", "ca"), roots, "b").where("ca <> comp").select("a", "b")
-            found = Stored(confirmed(Stored(likely(pairs, reps.df, percent), "likely").df, texts.df, percent), "links")
+            hopeful = Stored(likely(pairs, reps.df, percent), "likely")
+            found = Stored(confirmed(hopeful.df, texts.df, percent), "links")
+            done += [hopeful, found]
             links = found.df if links is None else links.unionByName(found.df)
             roots = cut(components(links))
         left = _labelled(buckets.df.select("h", "band", "id"), roots)
         mixed_up = left.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("h")
         left = cut(left.join(mixed_up, "h"))
         if not left.isEmpty():
-            links = links.unionByName(Stored(rest(left, reps.df, texts.df, percent), "rest").df)
-            roots = cut(components(Stored(links, "links").df))
+            more = Stored(rest(left, reps.df, texts.df, percent), "rest")
+            roots = cut(components(links.unionByName(more.df)))
+            done.append(more)
         self.roots = roots
+        for t in done:  # the components are checkpointed and need none of these any more
+            t.drop()
 
     def marked(self) -> DataFrame:
         """(doc_id, key, n_shingles, component_id, kept) of every row."""
@@ -378,15 +385,6 @@ class NearDuplicates:
         return self.marked().drop("key")
 
 
-def _nodes(classes: DataFrame) -> DataFrame:
-    """Classes (key, id) with a node each: the id, or a number above all ids where a class of a smaller key has the id."""
-    c = cut(classes)
-    first = c.groupBy("id").agg(F.min("key").alias("_first"))
-    top = c.agg(F.max("id")).first()[0] or 0
-    more = cut(c.join(first, "id").where("key <> _first").select(F.col("key").alias("_k"), (F.lit(top) + 1 + F.monotonically_increasing_id()).alias("_node")))
-    return c.join(more, F.col("key") == F.col("_k"), "left").select("key", "id", F.coalesce("_node", "id").alias("node"))
-
-
 def deduplicated(docs: DataFrame, percent: int = 85, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row of each group with all its columns: that of the group's smallest id; rows without links all stay.
 
