@@ -18,7 +18,7 @@ import pyarrow.compute as pc
 import regex
 
 #: Most segments a worker remembers, and most pieces. When more are met the later half is forgotten: frequent ones are met early.
-REMEMBERED = 600_000
+REMEMBERED = 300_000
 #: Bytes of text whose segments are numbered and encoded together.
 ROUND_BYTES = 8 << 20
 
@@ -45,7 +45,10 @@ def gathered(flat: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.nd
     """The runs of ``flat`` that begin at ``starts``, one after another."""
     ends = np.cumsum(lengths)
     total = int(ends[-1]) if len(ends) else 0
-    return flat[np.repeat(starts - (ends - lengths), lengths) + np.arange(total)]
+    small = np.int32 if max(total, len(flat)) < 1 << 31 else np.int64
+    at = np.repeat((starts - (ends - lengths)).astype(small), lengths)
+    at += np.arange(total, dtype=small)
+    return flat[at]
 
 
 class Memory:
@@ -87,7 +90,7 @@ class Memory:
         offsets = lists.offsets.to_numpy().astype(np.int64)
         numbered = lists.values.slice(offsets[0], offsets[-1] - offsets[0]).dictionary_encode()
         offsets -= offsets[0]
-        code, keys = numbered.indices.to_numpy().astype(np.int64), numbered.dictionary.to_numpy(zero_copy_only=False).tolist()
+        code, keys = np.array(numbered.indices.to_numpy()), numbered.dictionary.to_numpy(zero_copy_only=False).tolist()
         first = offsets[:-1]  # a text's first segment has no blank before it
         heads = [keys[c] for c in code[first]]
         after = np.ones(len(code), bool)
@@ -114,8 +117,10 @@ class Memory:
             code = code[keep]
         lengths = np.fromiter(map(len, forms), np.int64, len(forms)) // 4
         flat = np.frombuffer(b"".join(forms), "<u4")
-        every = gathered(flat, (np.cumsum(lengths) - lengths)[code], lengths[code])
-        ends = np.concatenate(([0], np.cumsum(lengths[code])))[offsets]
+        del forms, keys, lists, numbered
+        own = lengths[code]
+        every = gathered(flat, (np.cumsum(lengths) - lengths)[code], own)
+        ends = np.concatenate(([0], np.cumsum(own)))[offsets]
         return np.split(every, ends[1:-1]) if len(texts) else []
 
     def clear(self) -> None:

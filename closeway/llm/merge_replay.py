@@ -29,15 +29,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe_words import REMEMBERED, memory, splitter
-from .common import hand_back, only
+from .common import hand_back, only, steady
 
 NONE = np.int64(1 << 40)
 #: Bytes of text whose new segments are encoded together; every replay walks all ranks that occur, so few long ones are cheaper.
-TOGETHER_BYTES = 32 << 20
+TOGETHER_BYTES = 16 << 20
 #: Rows in a batch of results.
 ROWS_OUT = 1000
-#: Segments remembered where the memory is emptied after each task.
-FORGOTTEN = 100_000
+#: Segments remembered, and bytes of text encoded together, where the memory is emptied after each task.
+FORGOTTEN, FEW_BYTES = 40_000, 2 << 20
 
 
 def parse_ranks(lines: list[str]) -> dict[bytes, int]:
@@ -200,7 +200,8 @@ def read_ranks(path: str) -> list[str]:
 class Encoder:
     """Encodes texts; remembers each segment's ids as bytes."""
 
-    def __init__(self, ranks: list[str], pattern: str, most: int = REMEMBERED):
+    def __init__(self, ranks: list[str], pattern: str, most: int = REMEMBERED, together_bytes: int = TOGETHER_BYTES):
+        self.together_bytes = together_bytes
         key, self.merges = _ready(ranks)
         self.split, self.memory = splitter(pattern), memory(f"replay-{key}-{most}", most)
         self.bytes_of = [self.merges.bytes_of.get(i, b"") for i in range(max(self.merges.bytes_of, default=-1) + 1)]
@@ -211,7 +212,7 @@ class Encoder:
 
     def encode(self, texts: pa.Array) -> Iterator[np.ndarray]:
         """The ids of each text (null: none)."""
-        return self.memory.ids(pc.fill_null(texts, ""), self.split, self._encode, TOGETHER_BYTES)
+        return self.memory.ids(pc.fill_null(texts, ""), self.split, self._encode, self.together_bytes)
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, ids))
@@ -236,17 +237,19 @@ def together(batches: Iterator[pa.RecordBatch], most: int, column: int = 1) -> I
 def encode_and_decode(docs: DataFrame, ranks: list[str], pattern: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False, forget: bool = False) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256[, ids]) of every row; a null text is encoded as empty.
 
-    ``ids`` are the token ids. ``forget`` empties the worker's memory of segments after each task, for stages that
-    others follow. Texts are encoded whole; repeated rows each get a row.
+    ``ids`` are the token ids. ``forget`` keeps the worker small, for stages beside others: less text together, and the
+    memory of segments emptied after each task. Texts are encoded whole; repeated rows each get a row.
     """
     spark = docs.sparkSession
+    steady(spark)
     sent = spark.sparkContext.broadcast(ranks)  # one vocabulary file
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = None
-        for batch in together(batches, TOGETHER_BYTES):
-            encoder = encoder or Encoder(sent.value, pattern, FORGOTTEN if forget else REMEMBERED)
+        size = FEW_BYTES if forget else TOGETHER_BYTES
+        for batch in together(batches, size):
+            encoder = encoder or Encoder(sent.value, pattern, FORGOTTEN if forget else REMEMBERED, size)
             ids = encoder.encode(batch.column(1))
             for lo in range(0, batch.num_rows, ROWS_OUT):
                 doc = batch.column(0).slice(lo, ROWS_OUT)

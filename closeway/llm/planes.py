@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 
 from ..session import Stored
 from .bpe_words import memory, splitter
-from .common import hand_back, only
+from .common import hand_back, only, steady
 
 MAGIC = b"CWPLN1"
 FOOT = struct.Struct("<QIQIQIQI6s")
@@ -185,6 +185,7 @@ def write_files(docs: DataFrame, spec: str, pattern: str, end_id: int = 0, mode:
     Null ids come first and are kept in the files as the least long; null texts are empty. ``first`` counts the part's
     ids before the file.
     """
+    steady(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast((spec, pattern))  # one vocabulary file
     rows = only(docs, doc_id=id_col, text=text_col).select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("doc_id"), "text", F.xxhash64("text").alias("tie"))
     dealt = rows.repartitionByRange("doc_id", "tie").sortWithinPartitions("doc_id", "tie").drop("tie")
