@@ -9,6 +9,7 @@ import zlib
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -72,6 +73,18 @@ def test_language_dirty(dirty, nothing):
     assert none.langs == [] and {r.lang_pred for r in langid.predict(dirty, none).collect()} == {"und"} and langid.predict(nothing, p).count() == 0
 
 
+def test_more_languages_than_go_together(spark):
+    rng = random.Random(28)
+    rows = [(f"l{k:02d}", " ".join("".join(rng.choice("abcdefghijkl"[k % 9 : k % 9 + 4]) for _ in range(5)) for _ in range(40))) for k in range(11)]
+    texts = spark.createDataFrame(rows, "lang string, text string")
+    d = spark.createDataFrame([(i, t) for i, (_, t) in enumerate(rows)] + [(99, "1 2"), (100, None)], "doc_id long, text string")
+    whole, parts = langid.learn(texts, 50), langid.learn(texts, 50, most=3)
+    assert len(parts) == 4 and [x for p in parts for x in p.langs] == whole.langs
+    said = [sorted(map(tuple, langid.predict(d, p).collect())) for p in (whole, parts)]
+    assert said[0] == said[1] and {x for _, x, _ in said[0]} == {*whole.langs, "und"}
+    assert langid.recognised(d, parts).count() == 11
+
+
 # ---- 2
 
 
@@ -100,6 +113,16 @@ def test_decontamination_by_hand(spark, dirty, nothing):
     assert decontam.find_hits(dirty, b.limit(0)).where("n_hit > 0").count() == 0 and decontam.uncontaminated(dirty, b.limit(0)).count() == dirty.count()
 
 
+def test_a_larger_benchmark_takes_passes_and_not_memory(spark):
+    d = spark.createDataFrame([(1, "a b c d e f"), (2, "x y z"), (2, "a b c d e f")], "doc_id long, text string")
+    b = spark.createDataFrame([(i, t) for i, t in enumerate(["a b c", "y z", "q r s", "d e f"])], "item_id long, text string")
+    for df in (decontam.find_hits(d, b, 3, part_bytes=1), decontam.uncontaminated(d, b, 3, part_bytes=1)):
+        assert df._jdf.queryExecution().executedPlan().toString().count("MapInArrow") == 1
+    got = sorted((r.doc_id, r["items"], r.n_hit) for r in decontam.find_hits(d, b, 3, part_bytes=1).collect())
+    assert got == [(1, [0, 3], 6), (2, [0, 3], 6), (2, [1], 2)]
+    assert decontam.uncontaminated(d, b, 3, part_bytes=1).count() == 0
+
+
 def test_decontamination_oracle(spark, small_dir):
     c = duckdb.connect()
     for t in ("documents", "benchmark"):
@@ -138,6 +161,28 @@ def test_forest_against_brute_force(spark):
     assert (got["component_id"].to_numpy() == comp).mean() > 0.98 and (got["kept"] == (got["vec_id"] == got["component_id"])).all()
 
 
+def test_forest_query_splits_and_finds_all(spark, small_dir):
+    """The registered parameters on the given vectors and changed copies of some: several leaves a label, and every link found."""
+    e = spark.read.parquet(f"{small_dir.replace('sf0.001', 'sf0.01')}/embeddings.parquet").where("label is not null").select("vec_id", "embedding", "label").toPandas()
+    assert e.groupby("label").size().max() > projection_forest.LEAF
+    rng, rows = np.random.default_rng(15), [(r.vec_id, list(r.embedding), r.label) for r in e.itertuples()]
+    for r in e.iloc[::3].itertuples():
+        for k in range(1, 5):
+            v = np.array(r.embedding) + (0.03 * k * np.linalg.norm(r.embedding) / 8) * rng.standard_normal(len(r.embedding))
+            rows.append((10_000 * k + r.vec_id, v.astype(np.float32).tolist(), r.label))
+    d = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label long")
+    links, comp = brute_links([i for i, _, _ in rows], np.array([v for _, v, _ in rows], np.float32).astype(float), np.array([k for _, _, k in rows]))
+    got = projection_forest.near_vectors(d).toPandas().set_index("vec_id").loc[[i for i, _, _ in rows]]
+    assert links.sum() > 500 and got["n_links"].sum() >= 0.999 * links.sum() and (got["component_id"].to_numpy() == comp).mean() > 0.999
+
+
+def test_forest_vectors_that_repeat_an_id(spark):
+    rows = [(1, [1.0, 0.0], 0), (1, [0.0, 1.0], 0), (2, [1.0, 0.01], 0), (3, [0.0, 2.0], 0), (1, [1.0, 0.0], 1), (4, [1.0, 0.0], 1), (0, [5.0, 5.0], 0), (1, [0.0, 1.0], 0)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int")
+    got = sorted((r.vec_id, r.n_links, r.component_id, r.kept) for r in projection_forest.near_vectors(df, leaf=2).collect())
+    assert got == sorted([(1, 1, 1, True), (1, 2, 1, True), (1, 2, 1, True), (2, 1, 1, False), (3, 2, 1, False), (1, 1, 1, True), (4, 1, 1, False), (0, 0, 0, True)])
+
+
 def test_forest_dirty(spark):
     rows = [(1, [1.0, 0.0], 0), (2, [2.0, 0.0], 0), (3, [1.0, 0.0], None), (4, None, 0), (5, [], 0), (6, [0.0, 0.0], 0), (7, [float("nan"), 1.0], 0), (8, [None, 1.0], 0), (9, [1.0, 0.0, 0.0], 0), (10, [1.0, 0.0], 0), (None, [1.0, 0.0], 0), (11, [float("inf"), 1.0], 0)]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").selectExpr("*", "'x' as id", "1 as n", "2 as grp", "3 as vec")
@@ -175,6 +220,61 @@ def test_toxicity_learns_a_planted_word(spark, dirty, nothing):
     assert {r.predicted for r in toxicity.score(dirty, none).collect()} == {0}
 
 
+def slow_classifier(rows, features):
+    """Ratios, selection and fit over (text, label) with a dense table, step by step as documented; a function from text to score."""
+    seen = {}
+    for t, y in rows:
+        for b in set(toxicity.buckets(t).tolist()):
+            seen.setdefault(b, [0, 0])[y] += 1
+    n = [sum(y == k for _, y in rows) for k in (0, 1)]
+    ratio, tells = {}, {}
+    for b, (c0, c1) in seen.items():
+        ratio[b] = math.log((c1 + 1) / (n[1] + 2)) - math.log((c0 + 1) / (n[0] + 2))
+        even = [(c0 + c1) * k / sum(n) for k in n]
+        tells[b] = 2 * sum(c * math.log(c / e) for c, e in zip((c0, c1), even, strict=True) if c)
+    kept = [b for b in sorted(seen, key=lambda b: (-tells[b], b)) if tells[b] >= toxicity.TELLS and sum(seen[b]) >= toxicity.LEAST][:features]
+    dense = lambda t: np.array([ratio[b] * (b in own) for own in [set(toxicity.buckets(t).tolist())] for b in kept])
+    x, y = np.array([dense(t) for t, _ in rows]), np.array([k for _, k in rows], float)
+    lam = 1.0 / len(rows)  # the penalty of the mean loss
+    w, b = np.zeros(len(kept)), 0.0
+    for _ in range(60):  # Newton's steps to the optimum; the intercept is free
+        p = 1 / (1 + np.exp(-(x @ w + b)))
+        full = np.c_[x, np.ones(len(y))]
+        grad = full.T @ (p - y) / len(y) + np.append(lam * w, 0)
+        hess = (full * (p * (1 - p))[:, None]).T @ full / len(y) + np.diag(np.append(np.full(len(w), lam), 1e-12))
+        step = np.linalg.solve(hess, grad)
+        w, b = w - step[:-1], b - step[-1]
+    return kept, lambda t: float(1 / (1 + np.exp(-(dense(t) @ w + b))))
+
+
+def test_toxicity_against_a_slow_classifier(spark):
+    rng = random.Random(27)
+    rows = []
+    for i in range(400):
+        bad = int(rng.random() < 0.4)
+        w = [rng.choice(WORDS) for _ in range(25)]
+        for k in range(25):
+            if rng.random() < (0.12 if bad else 0.02):
+                w[k] = rng.choice(["vile", "scum", "grub"])
+        rows.append((i, " ".join(w), bad))
+    model = toxicity.learn(spark.createDataFrame(rows, "id long, text string, label int"), features=12)
+    kept, slow = slow_classifier([(t, y) for _, t, y in rows], 12)
+    assert set(np.flatnonzero(model.where >= 0).tolist()) == set(kept) and len(kept) == 12
+    texts = [t for _, t, _ in rows] + ["", None, "vile scum", "alpha beta"]
+    assert [model.score(t) for t in texts] == pytest.approx([slow(t) for t in texts], abs=0.02)
+
+
+def test_toxicity_query(spark, small_dir):
+    middle = small_dir.replace("sf0.001", "sf0.01")
+    p = catalog.op4_toxicity(spark, middle).toPandas().set_index("doc_id")
+    labels = spark.read.parquet(f"{middle}/labels.parquet").toPandas().set_index("doc_id")["toxic"]
+    assert len(p) == spark.read.parquet(f"{middle}/documents.parquet").count() and all(r.held_out == (crc(i, 5) == 0) and r.predicted == int(r.score >= 0.5) for i, r in p.iterrows())
+    held = [i for i in p.index if i in labels.index and p.loc[i, "held_out"]]
+    right = np.mean([p.loc[i, "predicted"] == labels[i] for i in held])
+    print("held-out accuracy", right, "base", max(np.mean(labels[held]), 1 - np.mean(labels[held])))
+    assert right > 0.97
+
+
 def test_bucket_counts_by_hand(spark):
     rows = [("abc", 0), ("abcd", 1), ("", 1), (None, 0)]
     got = {r.bucket: (r.n0, r.n1) for r in toxicity.bucket_counts(spark.createDataFrame(rows, "text string, label int")).collect()}
@@ -188,23 +288,49 @@ def test_bucket_counts_by_hand(spark):
 # ---- 5
 
 
-def test_forward_is_the_sum_over_all_paths():
+@pytest.mark.parametrize(("long", "piece"), [(8192, 2048), (3, 2), (1, 3)])
+def test_recursions_are_sums_over_all_paths(monkeypatch, long, piece):
+    """Whole sequences and sequences in pieces: likelihoods and Baum-Welch counts by listing all paths of states."""
+    monkeypatch.setattr(hmm, "LONG", long)
+    monkeypatch.setattr(hmm, "PIECE", piece)
+    monkeypatch.setattr(hmm, "BATCH_TOKENS", 9)
     rng = np.random.default_rng(6)
     m = hmm.Model(np.array([0.6, 0.4]), np.array([[0.7, 0.3], [0.2, 0.8]]), rng.dirichlet(np.ones(5), 2).T)
-    seqs = [rng.integers(0, 5, n).astype(np.uint16) for n in (1, 4, 7, 4)]
-    got = hmm.forward(m, seqs)
-    for s, g in zip(seqs, got, strict=True):
-        total = 0.0
+    seqs = [rng.integers(0, 5, n).astype(np.uint16) for n in (1, 4, 7, 4, 9, 2)]
+    start, step, emit, fit = np.zeros(2), np.zeros((2, 2)), np.zeros((5, 2)), []
+    for s in seqs:
+        paths = []
         for path in range(2 ** len(s)):
             z = [path >> k & 1 for k in range(len(s))]
             p = m.start[z[0]] * m.emit[s[0], z[0]]
             for a, b, o in zip(z, z[1:], s[1:], strict=False):
                 p *= m.step[a, b] * m.emit[o, b]
-            total += p
-        assert g == pytest.approx(math.log10(total))
-    runs = [(True, s) for s in seqs]
-    start, step, emit, fit = hmm.expect(m, runs)
-    assert fit == pytest.approx(got.sum()) and emit.sum() == pytest.approx(sum(map(len, seqs))) and start.sum() == pytest.approx(4) and step.sum() == pytest.approx(sum(len(s) - 1 for s in seqs))
+            paths.append((p, z))
+        total = sum(p for p, _ in paths)
+        fit.append(math.log10(total))
+        for p, z in paths:
+            start[z[0]] += p / total
+            for a, b in zip(z, z[1:], strict=False):
+                step[a, b] += p / total
+            for o, a in zip(s, z, strict=True):
+                emit[o, a] += p / total
+    assert hmm.forward(m, seqs) == pytest.approx(fit)
+    got = hmm.expect(m, seqs)
+    for have, want in zip(got, (start, step, emit, sum(fit)), strict=True):
+        assert have == pytest.approx(want, rel=2e-5, abs=1e-5)
+
+
+def test_pieces_of_a_long_sequence_change_nothing(monkeypatch):
+    rng = np.random.default_rng(14)
+    s, c = hmm.STATES, 300
+    m = hmm.Model(rng.dirichlet(np.ones(s)), rng.dirichlet(np.ones(s), s), rng.dirichlet(np.full(c, 0.05) + 1e-3, s).T)
+    seqs = [rng.integers(0, c, n).astype(np.uint16) for n in (20_000, 3, 700, 5000)]
+    whole, counts = hmm.forward(m, seqs), hmm.expect(m, seqs)
+    monkeypatch.setattr(hmm, "LONG", 50)
+    monkeypatch.setattr(hmm, "PIECE", 40)
+    assert hmm.forward(m, seqs) == pytest.approx(whole, rel=1e-9)
+    for have, want in zip(hmm.expect(m, seqs), counts, strict=True):
+        assert have == pytest.approx(want, rel=1e-3, abs=0.05)
 
 
 def test_language_model_counts_and_gain(spark, small_dir, docs):
@@ -258,13 +384,20 @@ def test_plane_query_and_dirty(spark, small_dir, docs, dirty, nothing, tmp_path)
     with open(public_tokenizers.path("byte_bpe_50k.json")) as f:
         spec = f.read()
     t = Tokenizer.from_str(spec)
-    t.encode_special_tokens = True
     p = catalog.op6_planes(spark, small_dir).toPandas().sort_values("doc_id")
     start = 0
     for r, text in zip(p.itertuples(), docs.sort_values("doc_id")["text"], strict=True):
         ids = [*t.encode(text or "", add_special_tokens=False).ids, 0]
         assert (r.start, r.n_tokens, r.ids_crc32) == (start, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
         start += len(ids)
+    texts = ["a <|endoftext|> b", "<|endoftext|>", " x<|endoftext|><|endoftext|>", "<|endoftext |>", "plain  text \n\n here ", ""]
+    coder = planes.SegmentTokenizer(spec, public_tokenizers.PATTERN)
+    rng = random.Random(26)
+    letters = "abcdeaaa  \n\t'stll  éüñ日本語한국\u0085\x1c ²½Ⅷ١😀👍🏽̀ \r\x00\ufeff–!?##"
+    texts += ["".join(rng.choice(letters) for _ in range(rng.randint(0, 50))) for _ in range(800)]
+    for text, ids in zip(texts, coder.encode(pa.array(texts)), strict=True):
+        assert ids.tolist() == t.encode(text, add_special_tokens=False).ids, text
+    assert 50256 in next(coder.encode(pa.array(texts)))
     files = planes.write_files(dirty, spec, public_tokenizers.PATTERN, file_ids=5000)
     got = planes.read_files(files.df).orderBy("start").collect()
     assert len(got) == dirty.count() and got[0].doc_id is None and [r.start for r in got] == np.cumsum([0, *[r.n_tokens for r in got]])[:-1].tolist()
@@ -402,8 +535,10 @@ def test_merges_like_the_library(ranks):
     letters = "abcdeaaa  \n\t'stll  éüñ日本語한국\u0085\x1c ²½Ⅷ١😀👍🏽̀ \r\x00﻿–!?##"
     texts = ["".join(rng.choice(letters) for _ in range(rng.randint(0, 50))) for _ in range(800)] + ["", "a" * 999, " " * 300, "\n" * 50, "abab" * 200]
     e = merge_replay.Encoder(ranks, public_tokenizers.PATTERN)
-    for t, ids in zip(texts, e.encode(texts), strict=True):
+    for t, ids in zip(texts, e.encode(pa.array(texts)), strict=True):
         assert ids.tolist() == want.encode_ordinary(t) and e.decode(ids.tolist()) == t.encode()
+    long = "".join(rng.choice("abcde") for _ in range(30_000))
+    assert e.merges.alone(long.encode()) == want.encode_ordinary(long)
     for w in ("hello", "aaaa", "日本語", "x"):
         assert e.merges.replay([w.encode()])[0].tolist() == e.merges.alone(w.encode()) == want.encode_ordinary(w)
 
@@ -499,12 +634,55 @@ def test_shards_by_hand(spark, dirty, nothing):
     assert len(r) == dirty.count() and all(sorted(x["slot"]) == list(range(len(x))) for _, x in r.groupby("shard")) and sharding.shard_by_bytes(nothing).count() == 0
 
 
+def test_overfull_ranges_are_subdivided_and_change_nothing(spark):
+    rng = random.Random(24)
+    rows = [(i % 700 if i % 3 else 5, "hot" if i % 3 == 0 else f"{rng.random()} " * rng.randint(1, 9)) for i in range(2100)]
+    d = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    columns = ["doc_id", "size", "text_crc32", "shard", "slot"]
+    want = sorted(map(tuple, sharding.shard_by_bytes(d, 7).select(columns).collect()))
+    for per, most in ((1, 50), (3, 9), (32, 4)):
+        assert sorted(map(tuple, sharding.shard_by_bytes(d, 7, per, most).select(columns).collect())) == want
+    same = spark.createDataFrame([(1, 10), (2, 10), (3, 25)], "range long, many long").select("range", F.explode(F.sequence(F.lit(1).cast("long"), "many")).alias("rid"))
+    ranged, sizes = sharding.subdivided(same.select("*", F.lit(7).cast("long").alias("key"), F.lit(1).cast("long").alias("n"), F.lit(3).cast("long").alias("weight")), 4, 1)
+    assert sizes.agg(F.max("rows")).first()[0] <= 4 and ranged.count() == 45
+    marks = ranged.groupBy("range").agg(F.min("rid").alias("lo"), F.max("rid").alias("hi")).orderBy("range").collect()
+    assert sum(a.hi >= b.lo for a, b in zip(marks, marks[1:], strict=False)) == 2  # ascending within each of the three
+
+
+def test_shards_of_large_sizes(spark, monkeypatch):
+    """Sizes given, not texts: 4e15 bytes in all, with a group of equal rows of a third of them; the law in whole numbers."""
+    monkeypatch.setattr(sharding, "RUN", 100)
+    rng = random.Random(25)
+    rows = [(i, rng.randrange(1 << 60), rng.choice([8, 10**12, 10**12 + 7]), 1) for i in range(3000)] + [(9, 5 << 55, 10**12 + 1, 2)] * 1500 + [(3001, (1 << 60) - 1, 8, 1)]
+    got = sharding.deal(spark.createDataFrame(rows, "id long, key long, size long, text_crc32 long")).collect()
+    total, at, want, slots = sum(r[2] for r in rows), 0, [], collections.Counter()
+    for i, _, size, c in sorted(rows, key=lambda r: (r[1], r[0])):
+        shard = 24 * at // total
+        want.append((i, size, c, shard, slots[shard]))
+        slots[shard] += 1
+        at += size
+    assert sorted(map(tuple, got)) == sorted(want) and {r.shard for r in got} == set(range(24))
+
+
 def test_splitter_search(spark):
     marks = [(i * 3, i) for i in range(37)]
     df = spark.range(-5, 130).select("id", sharding.range_of(F.col("id"), F.lit(10).cast("long"), marks).alias("r"))
     assert all(r.r == sum(m <= (r.id, 10) for m in marks) for r in df.collect())
 
 
+def test_registered_queries_against_their_sql(spark, small_dir):
+    """op3, op7 and op10 with their registered parameters."""
+    c = duckdb.connect()
+    for t in ("documents", "embeddings"):
+        c.sql(f"create view {t} as select * from '{small_dir}/{t}.parquet'")
+    for name in ("op3_projection_forest", "op7_setsketch", "op10_shards"):
+        want, got = c.sql(catalog.oracle_sql()[name]).df(), catalog.queries()[name](spark, small_dir).toPandas()
+        cols = sorted(want.columns)
+        key = "vec_id" if "vec_id" in cols else "doc_id"
+        a, b = (x[cols].sort_values(key).reset_index(drop=True).drop(columns=["grown_shard"], errors="ignore").astype(str) for x in (got, want))
+        assert (a == b).all().all(), name
+
+
 # ---- the pipeline
 
 
@@ -515,6 +693,19 @@ def test_pipeline_keeps_texts_where_no_language_was_learned(spark, small_dir):
     assert {r.doc_id for r in dict(pipeline.STAGES)["language_id"](spark, d, small_dir).collect()} == {0, 4, 5}
 
 
+def test_pipeline_stages_dirty(spark, small_dir, dirty, nothing):
+    """Nulls, empty texts, repeated rows and ids, clashing columns and empty tables pass through every stage."""
+    pipeline = pytest.importorskip("corpus_pipeline")
+    d, empty = (x.withColumn("n_chars", F.lit(0).cast("long")) for x in (dirty, nothing))
+    columns = d.columns
+    for name, stage in pipeline.STAGES:
+        d, empty = stage(spark, d, small_dir).persist(), stage(spark, empty, small_dir)
+        assert empty.count() == 0 < d.count(), name
+        if name != "bpe":
+            assert d.columns == empty.columns == columns
+    assert d.where("n_tokens <> size(ids)").isEmpty()
+
+
 def test_pipeline_stages(spark, small_dir, docs):
     pipeline = pytest.importorskip("corpus_pipeline")
     d = spark.read.parquet(f"{small_dir}/documents.parquet")
@@ -528,7 +719,7 @@ def test_pipeline_stages(spark, small_dir, docs):
         d = out
     letters = {i for i, t in texts.items() if t and any(ch.isalpha() for ch in t)}
     assert set(seen["language_id"]) == letters
-    _, groups = brute_groups({i: texts[i] for i in letters})
+    _, groups = brute_groups({i: texts[i] for i in letters}, 80)  # stages on word shingles take a similarity of 0.8
     assert set(seen["near_dedup"]) == {i for i in letters if groups[i] == i}
     bench = [r.text for r in spark.read.parquet(f"{small_dir}/benchmark.parquet").collect()]
     norm = lambda t: decontam.words_of((t or "").encode())
@@ -537,5 +728,7 @@ def test_pipeline_stages(spark, small_dir, docs):
     assert set(seen["decontamination"]) == set(seen["near_dedup"]) - dirty_ids == set(seen["secret_scan"]) == set(seen["bpe"])
     for i, r in seen["secret_scan"].items():
         assert r.text == secrets.redact(texts[i]) and r.n_chars == len(r.text)
-        assert seen["bpe"][i].n_tokens > 0 and seen["bpe"][i].decoded_sha256 == hashlib.sha256(r.text.encode()).hexdigest()
+        ids = ",".join(map(str, seen["bpe"][i].ids))
+        assert len(seen["bpe"][i].ids) == seen["bpe"][i].n_tokens > 0 and hashlib.sha256(ids.encode()).hexdigest() == seen["bpe"][i].ids_sha256
+        assert seen["bpe"][i].decoded_sha256 == hashlib.sha256(r.text.encode()).hexdigest()
     assert pipeline.run(spark, small_dir).count() == len(seen["bpe"])
