@@ -53,7 +53,7 @@ def test_fuzzy_names_are_one_edit_off(spark):
 
 def test_recursion_counts_hops(spark):
     g = tables.lattice(spark, 4, 4)
-    got = {r.v: r.hops for r in extra.reachable(g.edges, 0, 0, 3).collect()}
+    got = {r.v: r.hops for r in extra.reachable(g.edges, spark.createDataFrame([(0, 0)], "city_id int, source long"), 3).collect()}
     assert got == {4 * y + x: x + y for x in range(4) for y in range(4) if x + y <= 3}
 
 
