@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from closeway.functions import sql
-from closeway.operators import extra, graph, text
+from closeway.operators import extra, graph, measures, text
 from closeway.sources import tables
 from closeway.streaming import photos as streams
 
@@ -85,3 +85,22 @@ def test_stored_tables_can_be_swept(spark):
     assert sweep() >= 1 and not Stored.live
     with pytest.raises(Exception, match="PATH_NOT_FOUND|does not exist"):
         t.df.count()
+
+
+def grid(spark, n: int):
+    """(vertices, photos): n vertices 100 m apart in a row, a photo at each of the first three and two at the fourth."""
+    v = spark.range(n).select(F.lit(0).alias("city_id"), F.col("id").alias("vertex_id"), (100 * F.col("id")).alias("x"), F.lit(0).cast("long").alias("y"))
+    p = spark.createDataFrame([(0, i, 100 * min(i, 3), 20) for i in range(5)], "city_id int, photo_id long, x long, y long")
+    return v, p
+
+
+def plan(df) -> str:
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_many_vertices_are_not_broadcast_to_photos(spark):
+    v, p = grid(spark, 40_000)
+    got = measures.vertex_popularity(p, v)
+    assert "BroadcastHashJoin" not in plan(got)
+    assert sorted((r.vertex_id, r.photos) for r in got.collect()) == [(0, 1), (1, 1), (2, 1), (3, 2)]
+    assert "BroadcastHashJoin" in plan(measures.vertex_popularity(p, v.limit(10)))
