@@ -104,3 +104,15 @@ def test_many_vertices_are_not_broadcast_to_photos(spark):
     assert "BroadcastHashJoin" not in plan(got)
     assert sorted((r.vertex_id, r.photos) for r in got.collect()) == [(0, 1), (1, 1), (2, 1), (3, 2)]
     assert "BroadcastHashJoin" in plan(measures.vertex_popularity(p, v.limit(10)))
+
+
+def counts(spark, n: int):
+    """(city_id, vertex_id, photos) of n vertices, a photo each."""
+    return spark.range(n).select(F.lit(0).alias("city_id"), F.col("id").alias("vertex_id"), F.lit(1).cast("long").alias("photos"))
+
+
+def test_many_counts_are_not_broadcast_to_edges(spark):
+    costs = spark.createDataFrame([(0, i, i, i + 1, 10, 10.0 - i) for i in range(3)], "city_id int, edge_id long, u long, v long, len_dm long, cost_100 double")
+    got = measures.discount_popularity_corr(costs, "cost_100", counts(spark, 300_000).where("vertex_id <> 1"))
+    assert "BroadcastHashJoin" not in plan(got)
+    assert got.first().corr == pytest.approx(0.866025, abs=1e-6)  # discounts 0, 0.1, 0.2; photos 1, 1, 2
