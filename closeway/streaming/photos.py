@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import text
-from ..session import Stored, shared_dir, small
+from ..session import ROAD_ROWS, Stored, shared_dir, small
 
 LATE = "1 hour"
 
@@ -53,7 +53,7 @@ def near_vertices(photos: DataFrame, vertices: DataFrame, radius: float = 20.0)
     v = vertices.select("city_id", "vertex_id", F.col("x").alias("vx"), F.col("y").alias("vy"), F.explode(F.transform(around, lambda i: at("x") + i)).alias("cx"), at("y").alias("_cy")).withColumn("cy", F.explode(F.transform(around, lambda i: F.col("_cy") + i))).drop("_cy")
     p = photos.withColumn("cx", at("x")).withColumn("cy", at("y"))
     d = F.sqrt(((F.col("x") - F.col("vx")) * (F.col("x") - F.col("vx")) + (F.col("y") - F.col("vy")) * (F.col("y") - F.col("vy"))).cast("double"))
-    return p.join(small(v), ["city_id", "cx", "cy"]).where(d <= radius).drop("vx", "vy", "cx", "cy")
+    return p.join(small(v, ROAD_ROWS), ["city_id", "cx", "cy"]).where(d <= radius).drop("vx", "vy", "cx", "cy")
 
 
 def running_counts(photos: DataFrame, key: str = "user_id", expire_ms: int = 86_400_000) -> DataFrame:

@@ -116,3 +116,9 @@ def test_many_counts_are_not_broadcast_to_edges(spark):
     got = measures.discount_popularity_corr(costs, "cost_100", counts(spark, 300_000).where("vertex_id <> 1"))
     assert "BroadcastHashJoin" not in plan(got)
     assert got.first().corr == pytest.approx(0.866025, abs=1e-6)  # discounts 0, 0.1, 0.2; photos 1, 1, 2
+
+
+def test_many_vertices_are_not_broadcast_to_a_stream(spark):
+    v, p = grid(spark, 40_000)
+    got = streams.near_vertices(p, v)
+    assert "BroadcastHashJoin" not in plan(got) and sorted(r.vertex_id for r in got.collect()) == [0, 1, 2, 3, 3]
