@@ -122,3 +122,16 @@ def test_many_vertices_are_not_broadcast_to_a_stream(spark):
     v, p = grid(spark, 40_000)
     got = streams.near_vertices(p, v)
     assert "BroadcastHashJoin" not in plan(got) and sorted(r.vertex_id for r in got.collect()) == [0, 1, 2, 3, 3]
+
+
+@pytest.fixture(scope="module")
+def way(spark):
+    """A path over three vertices with its edges' costs, of which there are many, as there are of counts."""
+    paths = spark.createDataFrame([(0, "p", "plain", 0, 5, None), (0, "p", "plain", 1, 6, 5), (0, "p", "plain", 2, 7, 6)], "city_id int, pair_id string, algo string, seq int, vertex_id long, edge_id long")
+    costs = spark.range(300_000).select(F.lit(0).alias("city_id"), F.col("id").alias("edge_id"), (F.col("id") % 10 + 1).alias("len_dm"), F.lit(3.0).alias("cost_100"))
+    return paths, costs
+
+
+def test_many_counts_are_not_broadcast_to_paths(spark, way):
+    got = measures.popularity(way[0], counts(spark, 300_000))
+    assert "BroadcastHashJoin" not in plan(got) and [r.popularity for r in got.collect()] == [3]
