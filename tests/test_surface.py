@@ -135,3 +135,9 @@ def way(spark):
 def test_many_counts_are_not_broadcast_to_paths(spark, way):
     got = measures.popularity(way[0], counts(spark, 300_000))
     assert "BroadcastHashJoin" not in plan(got) and [r.popularity for r in got.collect()] == [3]
+
+
+def test_many_counts_and_lengths_are_not_broadcast_to_running_sums(spark, way):
+    got = measures.running(*way, counts(spark, 300_000))
+    assert "BroadcastHashJoin" not in plan(got)
+    assert sorted((r.seq, r.run_len, r.run_pop) for r in got.collect()) == [(0, 0, 1), (1, 6, 2), (2, 13, 3)]
