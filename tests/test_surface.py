@@ -141,3 +141,9 @@ def test_many_counts_and_lengths_are_not_broadcast_to_running_sums(spark, way):
     got = measures.running(*way, counts(spark, 300_000))
     assert "BroadcastHashJoin" not in plan(got)
     assert sorted((r.seq, r.run_len, r.run_pop) for r in got.collect()) == [(0, 0, 1), (1, 6, 2), (2, 13, 3)]
+
+
+def test_many_costs_are_not_broadcast_to_paths(way):
+    got, same = measures.path_costs(*way, "cost_100"), measures.overlap(*way, "plain", "plain")
+    assert "BroadcastHashJoin" not in plan(got) and "BroadcastHashJoin" not in plan(same)
+    assert [(r.d, r.c, r.hops) for r in got.collect()] == [(13, 6.0, 2)]
