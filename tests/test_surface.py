@@ -6,7 +6,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from closeway.functions import sql
-from closeway.operators import extra, graph, measures, text
+from closeway.operators import extra, graph, measures, routing, text
+from closeway.plans import workloads
 from closeway.sources import tables
 from closeway.streaming import photos as streams
 
@@ -147,3 +148,20 @@ def test_many_costs_are_not_broadcast_to_paths(way):
     got, same = measures.path_costs(*way, "cost_100"), measures.overlap(*way, "plain", "plain")
     assert "BroadcastHashJoin" not in plan(got) and "BroadcastHashJoin" not in plan(same)
     assert [(r.d, r.c, r.hops) for r in got.collect()] == [(13, 6.0, 2)]
+
+
+def test_stored_vertices_of_many_are_not_broadcast_to_trips(spark):
+    v = workloads.stored(grid(spark, 300_000)[0], "vertices")
+    trips = spark.createDataFrame([(0, "i", "30-50", 1, 2, 299_999)], "city_id int, setting string, bracket string, trip_id int, s long, t long")
+    got = routing.located(trips, v)
+    assert "BroadcastHashJoin" not in plan(got) and [(r.sx, r.tx) for r in got.collect()] == [(200, 29_999_900)]
+    few = workloads.stored(v.where("vertex_id < 10"), "vertices")
+    assert "BroadcastHashJoin" in plan(routing.located(trips, few))
+
+
+def test_cells_of_many_places_are_not_broadcast_to_vertices(spark):
+    v, _ = grid(spark, 10)
+    places = spark.range(40_000).select(F.lit(0).alias("city_id"), F.col("id").alias("poi_id"), (F.col("id") % 900).alias("x"), F.lit(5).alias("y"))
+    got = graph._snap_round(places, v, "poi_id", 200)
+    assert "BroadcastHashJoin" not in plan(got) and got.count() == 40_000
+    assert got.where("poi_id = 149").first().vertex_id == 1
