@@ -165,3 +165,14 @@ def test_cells_of_many_places_are_not_broadcast_to_vertices(spark):
     got = graph._snap_round(places, v, "poi_id", 200)
     assert "BroadcastHashJoin" not in plan(got) and got.count() == 40_000
     assert got.where("poi_id = 149").first().vertex_id == 1
+
+
+def test_trip_costs_are_those_of_whole_trees(spark, monkeypatch, small_dir):
+    g = tables.lattice(spark, 7, 7)
+    cut_off = g._replace(edges=g.edges.where("u <> 48 and v <> 48"))
+    want = spark.createDataFrame([(0, s, t) for s in (0, 5, 99) for t in (3, 48, 20, 77)], "city_id int, s long, t long")
+    tree = graph.tree_local(cut_off, want.select("city_id", F.col("s").alias("source"))).select("city_id", F.col("source").alias("s"), F.col("v").alias("t"), "cost")
+    got = sorted(map(tuple, graph.costs_local(cut_off, want).collect()))
+    assert got == sorted(map(tuple, tree.join(want, ["city_id", "s", "t"]).select("city_id", "s", "t", "cost").collect())) and len(got) == 4
+    monkeypatch.setattr(graph, "tree_local", None)  # trips need no labels of whole cities
+    assert workloads.World(spark, small_dir, trips=1).trips_ii.count() > 0
