@@ -176,3 +176,13 @@ def test_trip_costs_are_those_of_whole_trees(spark, monkeypatch, small_dir):
     assert got == sorted(map(tuple, tree.join(want, ["city_id", "s", "t"]).select("city_id", "s", "t", "cost").collect())) and len(got) == 4
     monkeypatch.setattr(graph, "tree_local", None)  # trips need no labels of whole cities
     assert workloads.World(spark, small_dir, trips=1).trips_ii.count() > 0
+
+
+def test_fallback_takes_the_enriched_routes_at_hand(spark):
+    g = tables.lattice(spark, 6, 6)
+    trips = spark.createDataFrame([(0, "i", "b", 1, 0, 14), (0, "i", "b", 2, 3, 30)], "city_id int, setting string, bracket string, trip_id int, s long, t long")
+    legs = spark.createDataFrame([(0, "0/i/b/1", 1, 0, 7, "0>7"), (0, "0/i/b/1", 2, 7, 14, "7>14")], "city_id int, pair_id string, leg int, s long, t long, leg_id string")
+    known = routing.enriched(g, trips, "len_dm")
+    rows = lambda df: sorted(map(tuple, df.select("pair_id", "seq", "vertex_id", F.coalesce("edge_id", F.lit(-1)), "fallback").collect()))
+    got = rows(routing.drive(g, legs, trips, "len_dm", enriched_paths=known))
+    assert got == rows(routing.drive(g, legs, trips, "len_dm")) and {(r[0], r[4]) for r in got} == {("0/i/b/1", False), ("0/i/b/2", True)}
