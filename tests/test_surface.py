@@ -160,7 +160,7 @@ def test_stored_vertices_of_many_are_not_broadcast_to_trips(spark):
 
 
 def test_cells_of_many_places_are_not_broadcast_to_vertices(spark):
-    v, _ = grid(spark, 10)
+    v, _ = grid(spark, 300_000)
     places = spark.range(40_000).select(F.lit(0).alias("city_id"), F.col("id").alias("poi_id"), (F.col("id") % 900).alias("x"), F.lit(5).alias("y"))
     got = graph._snap_round(places, v, "poi_id", 200)
     assert "BroadcastHashJoin" not in plan(got) and got.count() == 40_000
